@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from fuzzcount.llm import oracles
 from fuzzcount.llm.cuckoo import exact_groups
+from fuzzcount.llm.packing import pack
 from fuzzcount.llm.prefix_counts import token_counts
 from fuzzcount.llm.warc import round_trip
 from fuzzcount.sources.tables import table
@@ -30,12 +31,23 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
 
 
+def packed(docs: DataFrame) -> DataFrame:
+    """The pieces of all documents, with production parameters."""
+    import public_tokenizers
+
+    return pack(docs, vocabulary("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).drop("source", "ids")
+
+
+def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packed(table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+
+
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "pages", "page_id", "url", "html")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op5_token_counts, op10_warc)}
+    return {f.__name__: f for f in (op2_exact_dedup, op5_token_counts, op7_packing, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
