@@ -11,6 +11,7 @@ from fuzzcount.llm import oracles
 from fuzzcount.llm.cuckoo import exact_groups
 from fuzzcount.llm.packing import pack
 from fuzzcount.llm.prefix_counts import token_counts
+from fuzzcount.llm.toxic_segments import fold, score, train
 from fuzzcount.llm.warc import round_trip
 from fuzzcount.sources.tables import table
 
@@ -26,6 +27,13 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    model = train(docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
+    scored = score(docs, model)
+    return scored.select("doc_id", (fold("doc_id") == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), F.size("segments").alias("n_segments"))
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     counts = token_counts(table(spark, sf_dir, "documents", "doc_id", "text"), vocabulary("word_bpe_49k.json"))
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
@@ -47,7 +55,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op5_token_counts, op7_packing, op10_warc)}
+    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op5_token_counts, op7_packing, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
