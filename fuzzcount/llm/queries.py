@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from fuzzcount.llm import oracles
 from fuzzcount.llm.cuckoo import exact_groups
+from fuzzcount.llm.near_copies import near_groups
 from fuzzcount.llm.packing import pack
 from fuzzcount.llm.prefix_counts import token_counts
 from fuzzcount.llm.toxic_segments import fold, score, train
@@ -34,6 +35,10 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", (fold("doc_id") == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), F.size("segments").alias("n_segments"))
 
 
+def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_groups(table(spark, sf_dir, "documents", "doc_id", "text"), size=3, percent=85)
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     counts = token_counts(table(spark, sf_dir, "documents", "doc_id", "text"), vocabulary("word_bpe_49k.json"))
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
@@ -55,7 +60,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op5_token_counts, op7_packing, op10_warc)}
+    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op7_packing, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
