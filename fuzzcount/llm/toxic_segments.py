@@ -70,7 +70,7 @@ class Tally:
         words = set(words_of(text))
         if len(self.known) > WORDS_CACHED:
             self.known.clear()
-        for word in words - self.known.keys():
+        for word in [w for w in words if w not in self.known]:
             self.known[word] = cells_of(word)
         if words:
             np.add.at(sums, np.array([self.known[w] for w in words]), 1)
@@ -227,9 +227,10 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         yield pa.RecordBatch.from_arrays([pa.array(toxic.astype(np.int32)), pa.array(part.astype(np.int32)), pa.array(cell.astype(np.int32)), pa.array(sums[toxic, part, cell])], names=["toxic", "part", "cell", "n"])
 
     counted = rows.select("toxic", F.col("fold").cast("int").alias("fold"), "text").mapInArrow(count, "toxic int, part int, cell int, n bigint")
-    found = counted.groupBy("toxic", "part", "cell").agg(F.sum("n").alias("n")).toPandas()  # 2 * FOLDS * CELLS rows at most
+    found = counted.groupBy("toxic", "part", "cell").agg(F.sum("n").alias("n")).toArrow()  # 2 * FOLDS * CELLS rows at most
     sums = np.zeros((2, FOLDS, CELLS))
-    sums[found["toxic"], found["part"], found["cell"]] = found["n"]
+    toxic, part, cell, n = (found.column(i).to_numpy() for i in range(4))
+    sums[toxic, part, cell] = n
     weights = log_odds(sums[1].sum(0), sums[0].sum(0))
     if not sums[1].sum() or not sums[0].sum():
         return Model(weights, None)
