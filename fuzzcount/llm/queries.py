@@ -14,6 +14,7 @@ from fuzzcount.llm.packing import pack
 from fuzzcount.llm.phrase_index import contamination
 from fuzzcount.llm.prefix_counts import token_counts
 from fuzzcount.llm.toxic_segments import fold, score, train
+from fuzzcount.llm.url_templates import judge
 from fuzzcount.llm.warc import round_trip
 from fuzzcount.sources.tables import table
 
@@ -45,6 +46,10 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
 
 
+def op6_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge(table(spark, sf_dir, "pages", "page_id", "url"))
+
+
 def packed(docs: DataFrame) -> DataFrame:
     """The pieces of all documents, with production parameters."""
     import public_tokenizers
@@ -65,7 +70,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op7_packing, op8_decontamination, op10_warc)}
+    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
