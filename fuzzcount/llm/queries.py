@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from fuzzcount.llm import oracles
 from fuzzcount.llm.cuckoo import exact_groups
+from fuzzcount.llm.license_index import licences
 from fuzzcount.llm.near_copies import near_groups
 from fuzzcount.llm.packing import pack
 from fuzzcount.llm.phrase_index import contamination
@@ -26,6 +27,10 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(table(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -70,7 +75,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op10_warc)}
+    return {f.__name__: f for f in (op1_licenses, op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
