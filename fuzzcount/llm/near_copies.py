@@ -5,11 +5,13 @@ A document's set holds its distinct word shingles.  Table keys combine one of `h
 2 * halves * PER_HALF minhash functions; the number of halves follows from the similarity and `MISS`,
 the chance that a pair just at the similarity meets in no table.
 
-Documents with equal sets are one node.  In each bucket every node is first checked against the least
-node.  Where a bucket still holds several components, the nodes of different ones are checked against
-each other, unless their sizes or their distances to the least node exclude a link (Jaccard distance obeys
-the triangle inequality); pairs inside a component need no check, so no link is lost and a large group of
-copies is never expanded into all pairs.  Sets are compared whole, by 64-bit hashes of their shingles.
+Documents with equal sets are one node.  In each bucket every node is first checked against its hub, the
+least node.  Only where a hub's nodes are still in several components do more pairs matter, and a linked
+pair then either rests on what both share with the hub, which sizes and distances bound, or has shingles
+in common outside the hub's set: nodes are indexed by these, checked against the least node of each such
+group, and pair by pair only in groups that even then are in several components.  Pairs inside a component
+need no check, so no link between candidates is lost and a large group is not expanded into all pairs.
+Sets are compared whole, by 64-bit hashes of their shingles.
 
 Edge cases: a null text, or one without words, has an empty set and is linked with nothing; a text with
 fewer words than a shingle is one shingle; rows that share an id are one document; a row with a null id
@@ -137,16 +139,58 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.mapInArrow(sets, "id bigint, shingles array<bigint>")
 
 
-def checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """`pairs` (a, b) with `distance` and `linked`, compared on their whole sets."""
+def with_sets(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """`pairs` (a, b, ...) with the sets of both as `left` and `right`."""
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("left"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("right"))
-    both = pairs.join(left, "a").join(right, "b")
-    shared = F.size(F.array_intersect("left", "right")).cast("bigint")
-    joint = F.size("left") + F.size("right") - F.col("shared")
-    both = both.select("a", "b", shared.alias("shared"), F.size("left").alias("n"), F.size("right").alias("m"))
-    joint = F.col("n") + F.col("m") - F.col("shared")
-    return both.select("a", "b", (1 - F.col("shared") / joint).alias("distance"), (100 * F.col("shared") >= percent * joint).alias("linked"))
+    return pairs.join(left, "a").join(right, "b")
+
+
+def checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """`pairs` (a, b) with the sizes `n` and `m` of their whole sets, what they share, and whether they are linked."""
+    sized = with_sets(pairs, sets).select("a", "b", F.size("left").alias("n"), F.size("right").alias("m"), F.size(F.array_intersect("left", "right")).alias("shared"))
+    return sized.withColumn("linked", 100 * F.col("shared") >= percent * (F.col("n") + F.col("m") - F.col("shared")))
+
+
+def links_of(found: DataFrame) -> DataFrame:
+    return found.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
+
+
+def placed(rows: DataFrame, groups: DataFrame) -> DataFrame:
+    """`rows` (id, ...) with the component of each id."""
+    return rows.join(groups.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+
+
+def still_open(rows: DataFrame, *by: str) -> DataFrame:
+    """The groups of `rows` that hold more than one component."""
+    return cut(rows.groupBy(*by).agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select(*by))
+
+
+def contained_pairs(members: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of members of one hub that could be linked by what each shares with the hub alone."""
+    inside = members.where(100 * F.col("shared") >= percent * F.col("n"))
+    inside = cut(inside.withColumn("size", F.floor(F.log("n") / -math.log(percent / 100))))
+    x, y = inside.withColumn("size", F.explode(F.array(*(F.col("size") + i for i in (-1, 0, 1))))).alias("x"), inside.alias("y")
+    both = F.col("x.n") + F.col("y.n")
+    return x.join(y, ["hub", "size"]).where(
+        (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id"))
+        & ((100 + percent) * F.least("x.shared", "y.shared") >= percent * both)
+        & (F.abs(F.col("x.distance") - F.col("y.distance")) <= 1 - percent / 100 + 1e-9)
+    ).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
+
+
+def residual_groups(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(hub, token, id, n): shingles outside the hub's set of which linked members must have one in common.
+
+    A pair that its shared part of the hub cannot link shares at least `need` shingles outside it, so in any
+    common order the first `outside - need + 1` of both have one in common.
+    """
+    pairs = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b"), "n", "shared")
+    outside = F.array_sort(F.array_except("left", "right"))
+    need = F.greatest(F.lit(1), F.ceil(percent * F.col("n") / 100).cast("int") - F.col("shared"))
+    first = with_sets(pairs, sets).select(F.col("b").alias("hub"), F.col("a").alias("id"), "n", outside.alias("outside"), need.alias("need"))
+    first = first.where(F.size("outside") >= F.col("need"))
+    return first.select("hub", "id", "n", F.explode(F.slice("outside", 1, F.size("outside") - F.col("need") + 1)).alias("token"))
 
 
 def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -154,37 +198,39 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     halves = halves_for(percent / 100)
     docs = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     rows = cut(described(docs, size, halves))
-    nodes = cut(
-        rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys"), F.first("n_shingles").alias("n"))
-    )
-    members = nodes.select("id", "n", F.explode("keys").alias("key"))
-    buckets = cut(members.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last"), F.count("*").alias("many")).where("hub < last"))
-    met = cut(members.join(buckets.select("key", "hub", "many"), "key"))
-    pairs = cut(met.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct())
+    nodes = cut(rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys")))
+    members = nodes.select("id", F.explode("keys").alias("key"))
+    buckets = cut(members.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last").select("key", "hub"))
+    pairs = cut(members.join(buckets, "key").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct())
     needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size))
     first = cut(checked(pairs, sets, percent))
-    links = first.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    groups = cut(components(links))
-
-    # Buckets that still hold several components.
-    placed = met.where("many > 2").join(groups, met["id"] == groups["node"], "left").select("id", "n", "key", "hub", F.coalesce("component", "id").alias("component"))
-    placed = cut(placed)
-    open_keys = cut(placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key"))
-    apart = placed.join(open_keys, "key").join(first.select(F.col("a").alias("id"), F.col("b").alias("hub"), "distance"), ["id", "hub"])
-    far = 1 - percent / 100
-    width = far + 1e-9
-    apart = apart.select("id", "n", "key", "component", "distance", F.floor(F.log(F.col("n")) / -math.log(percent / 100)).alias("by_size"), F.floor(F.col("distance") / width).alias("by_distance"))
-    apart = cut(apart)
-    near = apart.withColumn("by_size", F.explode(F.array(*(F.col("by_size") + i for i in (-1, 0, 1))))).withColumn("by_distance", F.explode(F.array(*(F.col("by_distance") + i for i in (-1, 0, 1)))))
-    x, y = near.alias("x"), apart.alias("y")
-    across = x.join(y, ["key", "by_size", "by_distance"]).where(
-        (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id")) & (F.abs(F.col("x.distance") - F.col("y.distance")) <= width)
-        & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
-    )
-    across = across.select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti")
-    second = checked(cut(across), sets, percent).where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    merged = components(groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v")).unionByName(second))
+    groups = cut(components(links_of(first)))
+
+    # Hubs whose members are still in several components.
+    hubs = first.select(F.col("b").alias("id"), F.col("b").alias("hub"), F.col("m").alias("n"), F.col("m").alias("shared"), F.lit(0.0).alias("distance")).distinct()
+    distance = 1 - F.col("shared") / (F.col("n") + F.col("m") - F.col("shared"))
+    around = placed(first.select(F.col("a").alias("id"), F.col("b").alias("hub"), "n", "shared", distance.alias("distance")).unionByName(hubs), groups)
+    around = cut(around)
+    around = cut(around.join(still_open(around, "hub"), "hub"))
+    sharing = cut(placed(residual_groups(around, sets, percent), groups))
+    sharing = cut(sharing.join(still_open(sharing, "hub", "token"), ["hub", "token"]).drop("component"))
+    least = cut(sharing.groupBy("hub", "token").agg(F.min("id").alias("b")))
+    stars = sharing.join(least, ["hub", "token"]).where("id <> b").select(F.col("id").alias("a"), "b")
+    again = cut(stars.unionByName(contained_pairs(around, percent)).distinct().join(pairs, ["a", "b"], "left_anti"))
+    second = cut(checked(again, sets, percent))
+    tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))
+    groups = cut(components(tree.unionByName(links_of(second))))
+
+    # What shares a shingle outside its hub and is still apart is compared pair by pair.
+    rest = cut(placed(sharing, groups))
+    rest = cut(rest.join(still_open(rest, "hub", "token"), ["hub", "token"]))
+    x, y = rest.alias("x"), rest.alias("y")
+    apart = (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id")) & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
+    last = x.join(y, ["hub", "token"]).where(apart).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
+    last = last.join(pairs, ["a", "b"], "left_anti").join(again, ["a", "b"], "left_anti")
+    tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))
+    merged = components(tree.unionByName(links_of(checked(cut(last), sets, percent))))
     labelled = cut(nodes.select("set_key", "id").join(merged, nodes["id"] == merged["node"], "left").select("set_key", F.coalesce("component", "id").alias("component")))
     return rows.select("doc_id", "n_shingles", "set_key").join(labelled, "set_key", "left").select(
         "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(False)).alias("kept")
