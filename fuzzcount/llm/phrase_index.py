@@ -118,9 +118,14 @@ def n_words(text: Column) -> Column:
     return F.when(normal == "", 0).otherwise(F.length(normal) - F.length(F.replace(normal, F.lit(" "), F.lit(""))) + 1).cast("bigint")
 
 
+def row_key(row_id: Column, text: Column) -> Column:
+    """A key that is equal for rows with equal id and text, without nulls inside."""
+    return F.struct(F.coalesce(row_id.cast("string"), F.lit("")).alias("id"), row_id.isNull().alias("none"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("text"))
+
+
 def contamination(docs: DataFrame, items: DataFrame, width: int = WIDTH) -> DataFrame:
     """One row per row of `docs` (doc_id, text): n_words, n_hit, n_items, items_sha256, contaminated."""
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("row", F.struct("doc_id", F.xxhash64("text").alias("text_hash")))
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("row", row_key(F.col("doc_id"), F.col("text")))
     spans = cut(phrase_matches(rows.select("row", "text"), items, width))
     hits = covered(spans)
     named = spans.select("row", F.col("item_id").cast("string").alias("item")).distinct().groupBy("row").agg(F.count("*").alias("n_items"), F.sha2(F.array_join(F.array_sort(F.collect_list("item")), ","), 256).alias("items_sha256"))
@@ -151,7 +156,7 @@ def proximity_matches(docs: DataFrame, terms: list[str], distance: int) -> DataF
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, width: int = WIDTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """`docs` without the rows that hold any window of an item."""
-    named = docs.withColumn("__row", F.struct(F.col(id_col).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_hash")))
+    named = docs.withColumn("__row", row_key(F.col(id_col), F.col(text_col)))
     rows = named.select(F.col("__row").alias("row"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     hit = cut(phrase_matches(rows, items, width).select(F.col("row").alias("__row")).distinct())
     return named.join(hit, "__row", "left_anti").select(*docs.columns)

@@ -14,6 +14,7 @@ from fuzzcount.llm.near_copies import near_groups
 from fuzzcount.llm.packing import pack
 from fuzzcount.llm.phrase_index import contamination
 from fuzzcount.llm.prefix_counts import token_counts
+from fuzzcount.llm.repeat_spans import removed
 from fuzzcount.llm.toxic_segments import fold, score, train
 from fuzzcount.llm.url_templates import judge
 from fuzzcount.llm.warc import round_trip
@@ -70,12 +71,16 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+def op9_repeated_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return removed(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "pages", "page_id", "url", "html")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_licenses, op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op10_warc)}
+    return {f.__name__: f for f in (op1_licenses, op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op9_repeated_spans, op10_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
