@@ -10,8 +10,8 @@ grows with the logarithm of the length; its parameters come from labelled clean
 A segment is significant by its chance under that law, the chances of a text's significant segments are
 combined, and a one-dimensional logistic fit turns the evidence into a score.
 
-Fitting reads all labelled training rows for the weights; the two calibrations use at most
-`CALIBRATION_ROWS` of them, chosen by a hash of the id.  Weights for a calibration row come from the
+Fitting uses about `TRAINING_ROWS` labelled rows for the weights and `CALIBRATION_ROWS` for the two calibrations,
+chosen by a hash of the id, or all if there are fewer.  Weights for a calibration row come from the
 other fold only.  Labels, language, source and id are never inputs of a score.
 
 Edge cases: a null or empty text, or one without words, has no segment and gets the score of no
@@ -36,7 +36,8 @@ from pyspark.sql import functions as F
 CELLS = 1 << 19
 STEMS = (4, 5, 6)  # leading letters that count as tokens beside the whole word
 FOLDS = 2
-CALIBRATION_ROWS = 20_000
+#: Labelled rows that the weights and the calibrations are fitted on, about, by a hash of the id; 24 bytes a row are broadcast.
+TRAINING_ROWS, CALIBRATION_ROWS = 200_000, 20_000
 PRIOR = 2.0  # tokens of prior in each cell, dealt over the kinds by their sizes
 DRIFT = 0.2  # what a word without evidence takes off a segment
 LEAST_Z = 4.0
@@ -214,8 +215,16 @@ def fold(id_col: str) -> Column:
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Model:
     """Weights and calibration from the rows whose remainder is not 0."""
     told = labels.where("toxic IS NOT NULL").select(F.col(id_col).alias("__id"), F.col("toxic").cast("int").alias("toxic"))
-    rows = docs.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    rows = rows.join(told, "__id").withColumn("fold", fold("__id")).where("fold <> 0")
+    told = told.withColumn("fold", fold("__id")).where("fold <> 0")
+    texts = docs.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    there = max(1, told.count())
+
+    def sample(most: int) -> DataFrame:
+        """The texts of about `most` labelled rows, or of all if there are no more; the labels are broadcast."""
+        below = int(2**63 * min(1.0, most / there) * 2) - 2**63 - 1
+        return texts.join(F.broadcast(told.where(F.xxhash64("__id") <= below)), "__id")
+
+    rows = sample(TRAINING_ROWS)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally, sums = Tally(), np.zeros((2, FOLDS, CELLS), np.int64)
@@ -246,14 +255,14 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                 out.append((toxic, len(scores), [v for _, _, v in segments(scores)]))
             yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.int64()), pa.array([sorted(o[2], reverse=True)[:64] for o in out], pa.list_(pa.float64()))], names=["toxic", "words", "found"])
 
-    chosen = rows.select("toxic", F.col("fold").cast("int").alias("fold"), "text", F.xxhash64("__id").alias("h")).orderBy("h").limit(CALIBRATION_ROWS)
-    sample = chosen.select("toxic", "fold", "text").mapInArrow(best, "toxic int, words bigint, found array<double>").toPandas()
-    toxic, words = sample["toxic"].to_numpy(), sample["words"].to_numpy(float)
-    top = np.array([f[0] if len(f) else 0.0 for f in sample["found"]])
+    chosen = sample(CALIBRATION_ROWS).select("toxic", F.col("fold").cast("int").alias("fold"), "text")
+    judged = chosen.mapInArrow(best, "toxic int, words bigint, found array<double>").toPandas()
+    toxic, words = judged["toxic"].to_numpy(), judged["words"].to_numpy(float)
+    top = np.array([f[0] if len(f) else 0.0 for f in judged["found"]])
     clean = (toxic == 0) & (top > 0) & (words > 0)
     rate, scale = fit_null(top[clean], words[clean]) if clean.sum() > 10 else (1.0, 0.01)
     law = Calibration(rate, scale, 0.0, 0.0)
-    evidence = np.array([law.evidence([(0, 0, float(v)) for v in f], int(n)) for f, n in zip(sample["found"], words, strict=True)])
+    evidence = np.array([law.evidence([(0, 0, float(v)) for v in f], int(n)) for f, n in zip(judged["found"], words, strict=True)])
     slope, offset = fit_logistic(evidence, (toxic == 1).astype(float))
     return Model(weights, Calibration(rate, scale, slope, offset))
 
