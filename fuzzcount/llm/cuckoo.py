@@ -194,7 +194,11 @@ def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
 
     Rows that repeat both id and text are reduced to one.
     """
-    stay = exact_groups(docs, id_col, text_col).where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__digest")).distinct()
-    named = docs.withColumn("__digest", F.sha2(lowered(F.col(text_col)), 256)).withColumn("__id", F.col(id_col).cast("bigint"))
-    kept = named.join(stay, (named["__id"].eqNullSafe(stay["__id"])) & (named["__digest"] == stay["__digest"]), "left_semi")
-    return kept.dropDuplicates(["__id", "__digest"]).select(*docs.columns)
+    none = -(1 << 63)
+    stay = exact_groups(docs, id_col, text_col).where("kept").groupBy(F.coalesce("doc_id", F.lit(none)).alias("__id"), F.col("text_sha256").alias("__digest"))
+    stay = cut(stay.agg(F.count("*").alias("__rows")))
+    named = docs.withColumn("__digest", F.sha2(lowered(F.col(text_col)), 256)).withColumn("__id", F.coalesce(F.col(id_col).cast("bigint"), F.lit(none)))
+    kept = named.join(stay, ["__id", "__digest"])
+    if stay.where("__rows > 1").limit(1).count():
+        kept = kept.where("__rows = 1").unionByName(kept.where("__rows > 1").dropDuplicates(["__id", "__digest"]))
+    return kept.select(*docs.columns)

@@ -79,8 +79,14 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "pages", "page_id", "url", "html")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_licenses, op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op9_repeated_spans, op10_warc)}
+    return {f.__name__: f for f in (op1_licenses, op2_exact_dedup, op3_toxicity, op4_minhash, op5_token_counts, op6_url_filters, op7_packing, op8_decontamination, op9_repeated_spans, op10_warc, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -284,3 +284,18 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([t[0] for t in told], pa.float64()), pa.array(found, pa.list_(passage))], names=["doc_id", "score", "segments"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).mapInArrow(judge, SCORED)
+
+
+def drop_toxic(docs: DataFrame, model: Model, threshold: float = 0.5, text_col: str = "text") -> DataFrame:
+    """`docs` without the rows that score `threshold` or more; all columns stay as they are."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = shared.value
+        weigher = Weigher(known.weights)
+        for batch in batches:
+            scores = [known.judge(weigher.of(text.as_py() or ""))[0] for text in batch.column(at)]
+            yield batch.filter(pa.array([s < threshold for s in scores], pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)

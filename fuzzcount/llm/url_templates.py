@@ -65,7 +65,8 @@ def segments_of(path: Column) -> Column:
     return F.when(F.size(parts) > LEVELS, F.concat(F.slice(parts, 1, LEVELS - 1), F.array(F.lit("**")))).otherwise(parts)
 
 
-_SUMS = [F.sum(c).alias(c) for c in ("pages", "labelled", "blocked")]
+def _sums() -> list[Column]:
+    return [F.sum(c).alias(c) for c in ("pages", "labelled", "blocked")]
 
 
 def templates(paths: DataFrame) -> DataFrame:
@@ -73,7 +74,7 @@ def templates(paths: DataFrame) -> DataFrame:
     rows = paths.withColumn("template", F.lit(""))
     for level in range(LEVELS):
         rows = cut(rows.withColumn("segment", F.get("segments", level)))
-        children = cut(rows.where("segment IS NOT NULL").groupBy("host", "template", "segment").agg(*_SUMS))
+        children = cut(rows.where("segment IS NOT NULL").groupBy("host", "template", "segment").agg(*_sums()))
         nodes = cut(
             children.groupBy("host", "template").agg(
                 F.count("*").alias("children"), F.sum("pages").alias("all_pages"), F.sum("labelled").alias("all_labelled"), F.sum("blocked").alias("all_blocked")
@@ -92,7 +93,7 @@ def templates(paths: DataFrame) -> DataFrame:
 
 def purity(rows: DataFrame) -> DataFrame:
     """(host, template, purity) of each template of `rows`: its blocked share, smoothed towards `BASE`."""
-    own = rows.groupBy("host", "template").agg(*_SUMS)
+    own = rows.groupBy("host", "template").agg(*_sums())
     return own.select("host", "template", ((F.col("blocked") + PRIOR * BASE) / (F.col("labelled") + PRIOR)).alias("purity"))
 
 
