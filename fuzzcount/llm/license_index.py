@@ -75,7 +75,8 @@ def starts_of(words: Column, phrase: str) -> Column:
 def scanned(docs: DataFrame, templates: list[Template]) -> DataFrame:
     """Per row: n_words, the places of base phrases, its licence words, and its normal form if a mandatory phrase stands in it."""
     vocabulary = sorted({w for t in templates for w in t.words.split(" ")})
-    rows = docs.select("doc_id", trimmed_words(F.col("text")).alias("normal"))
+    # One element exploded: the plan then computes the normal form once, not in each expression that uses it.
+    rows = docs.select("doc_id", F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
     has = lambda phrase: F.contains(F.col("normal"), F.lit(f" {phrase} "))
     words = F.split(F.trim("normal"), " ")
     none = F.array().cast("array<int>")
