@@ -75,10 +75,11 @@ def starts_of(words: Column, phrase: str) -> Column:
 def scanned(docs: DataFrame, templates: list[Template]) -> DataFrame:
     """Per row: n_words, the places of base phrases, its licence words, and its normal form if a mandatory phrase stands in it."""
     vocabulary = sorted({w for t in templates for w in t.words.split(" ")})
-    # One element exploded: the plan then computes the normal form once, not in each expression that uses it.
+    # One element exploded: the plan then computes it once, not in each expression, or each step of a lambda, that uses it.
     rows = docs.select("doc_id", F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
+    rows = rows.select("doc_id", "normal", F.explode(F.array(F.split(F.trim("normal"), " "))).alias("words"))
     has = lambda phrase: F.contains(F.col("normal"), F.lit(f" {phrase} "))
-    words = F.split(F.trim("normal"), " ")
+    words = F.col("words")
     none = F.array().cast("array<int>")
     any_of = lambda phrases: F.greatest(*(has(p) for p in phrases)) if len(phrases) > 1 else has(phrases[0])
     return rows.select(
@@ -127,6 +128,7 @@ def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFram
     held = rows.where("normal IS NOT NULL").select("row", "normal", F.split(F.trim("normal"), " ").alias("words"), "licence_words")
     rated = F.array(*(F.struct(F.lit(-v).alias("r"), F.lit(w).alias("w")) for w, v in sorted(idf.items()))) if idf else F.array().cast("array<struct<r:double,w:string>>")
     own = F.slice(F.filter(F.array_sort(rated), lambda x: F.array_contains("licence_words", x["w"])), 1, 2 * RARE_WORDS)
+    held = cut(held)  # lambdas below must not split the text again at each step
     held = held.withColumn("rarest", F.transform(own, lambda x: x["w"]))
     tokens = held.select("row", "rarest", F.posexplode("words").alias("place", "word")).where(F.array_contains("rarest", F.col("word")))
     met = tokens.join(F.broadcast(index), "word").select("row", "template", "needed", "word", (F.col("place") - F.col("at")).alias("diagonal"))
