@@ -36,7 +36,7 @@ from fuzzcount.sources.tables import cut
 PER_HALF = 2
 MISS = 2e-4
 BLOCK = 1 << 15
-WORDS_CACHED = 300_000
+WORDS_CACHED = 100_000
 _U = np.uint64
 
 
@@ -101,6 +101,10 @@ class Tables:
         return mix(codes[0][:, None] * _U(0x9E3779B97F4A7C15) + codes[1][None, :] + self.numbers).ravel()
 
 
+def sliced(batch: pa.RecordBatch, rows: int = 256) -> Iterator[pa.RecordBatch]:
+    return (batch.slice(at, rows) for at in range(0, batch.num_rows, rows))
+
+
 def _lowered(column: pa.Array) -> list[bytes]:
     return pc.ascii_lower(column).cast(pa.binary()).to_pylist()
 
@@ -110,7 +114,7 @@ def described(docs: DataFrame, size: int, halves: int) -> DataFrame:
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, tables = Shingler(size), Tables(halves)
-        for batch in batches:
+        for batch in (part for whole in batches for part in sliced(whole)):
             counts, names, keys = [], [], []
             for text in _lowered(batch.column(1)):
                 found = shingler.of(text)
@@ -129,9 +133,8 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(size)
-        for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+        for whole in batches:
+            for part in sliced(whole):
                 found = [shingler.of(text).view(np.int64) for text in _lowered(part.column(1))]
                 ends = np.cumsum([0, *map(len, found)], dtype=np.int32)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(found)))], names=["id", "shingles"])
