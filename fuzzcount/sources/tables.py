@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import gc
+
 from pyspark.sql import DataFrame, SparkSession
 
 #: Used only where the session names no folder, as in tests on one machine.
@@ -29,3 +31,12 @@ def cut(df: DataFrame) -> DataFrame:
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(shared_folder(spark))
     return df.checkpoint()
+
+
+def tidy(spark: SparkSession) -> None:
+    """Collect the driver's garbage: shuffle files and checkpoints of plans that nothing refers to any more are removed then.
+
+    For operators of many steps, whose files would else stay until the driver happens to run short of memory.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
