@@ -21,17 +21,28 @@ def _hang(links: DataFrame) -> DataFrame:
 def components(links: DataFrame) -> DataFrame:
     """(node, component) of every node in `links` (u, v); the component is its least node."""
     edges = cut(links.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
-    state = None
-    while True:
+    while not _are_stars(edges):
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         larger = both.join(_hang(both), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         larger = cut(larger.where("u <> v").distinct())
         smaller = larger.join(_hang(larger), "u")
         edges = smaller.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(smaller.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         edges = cut(edges)
-        now = edges.agg(F.count("*").alias("n"), F.coalesce(F.expr("bit_xor(xxhash64(u, v))"), F.lit(0)).alias("x")).first()
-        if now == state:
-            break
-        state = now
     roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(roots)
+
+
+def _are_stars(edges: DataFrame) -> bool:
+    """Whether each node hangs on one other, and what it hangs on hangs on nothing."""
+    ends = edges.select(F.col("u").alias("x"), F.lit(1).alias("hangs"), F.lit(0).alias("holds"))
+    ends = ends.unionByName(edges.select(F.col("v").alias("x"), F.lit(0).alias("hangs"), F.lit(1).alias("holds")))
+    return ends.groupBy("x").agg(F.sum("hangs").alias("n"), F.max("holds").alias("h")).where("n > 1 OR (n = 1 AND h = 1)").limit(1).count() == 0
+
+
+def merged(groups: DataFrame, links: DataFrame) -> DataFrame:
+    """`groups` (node, component) after some more links (u, v); without any, as they are."""
+    links = cut(links)
+    if not links.limit(1).count():
+        return groups
+    tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))
+    return components(tree.unionByName(links))

@@ -30,8 +30,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzcount.llm.components import components
-from fuzzcount.sources.tables import cut
+from fuzzcount.llm.components import components, merged
+from fuzzcount.sources.tables import cut, tidy
 
 PER_HALF = 2
 MISS = 2e-4
@@ -207,9 +207,12 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     pairs = cut(members.join(buckets, "key").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct())
     needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size))
+    tidy(docs.sparkSession)
     first = cut(checked(pairs, sets, percent))
     groups = cut(components(links_of(first)))
 
+    tidy(docs.sparkSession)
+
     # Hubs whose members are still in several components.
     hubs = first.select(F.col("b").alias("id"), F.col("b").alias("hub"), F.col("m").alias("n"), F.col("m").alias("shared"), F.lit(0.0).alias("distance")).distinct()
     distance = 1 - F.col("shared") / (F.col("n") + F.col("m") - F.col("shared"))
@@ -221,9 +224,9 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     least = cut(sharing.groupBy("hub", "token").agg(F.min("id").alias("b")))
     stars = sharing.join(least, ["hub", "token"]).where("id <> b").select(F.col("id").alias("a"), "b")
     again = cut(stars.unionByName(contained_pairs(around, percent)).distinct().join(pairs, ["a", "b"], "left_anti"))
-    second = cut(checked(again, sets, percent))
-    tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))
-    groups = cut(components(tree.unionByName(links_of(second))))
+    second = checked(again, sets, percent)
+    groups = cut(merged(groups, links_of(second)))
+    tidy(docs.sparkSession)
 
     # What shares a shingle outside its hub and is still apart is compared pair by pair.
     rest = cut(placed(sharing, groups))
@@ -232,9 +235,8 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     apart = (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id")) & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
     last = x.join(y, ["hub", "token"]).where(apart).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
     last = last.join(pairs, ["a", "b"], "left_anti").join(again, ["a", "b"], "left_anti")
-    tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))
-    merged = components(tree.unionByName(links_of(checked(cut(last), sets, percent))))
-    labelled = cut(nodes.select("set_key", "id").join(merged, nodes["id"] == merged["node"], "left").select("set_key", F.coalesce("component", "id").alias("component")))
+    groups = merged(groups, links_of(checked(cut(last), sets, percent)))
+    labelled = cut(nodes.select("set_key", "id").join(groups, nodes["id"] == groups["node"], "left").select("set_key", F.coalesce("component", "id").alias("component")))
     return rows.select("doc_id", "n_shingles", "set_key").join(labelled, "set_key", "left").select(
         "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(False)).alias("kept")
     )
