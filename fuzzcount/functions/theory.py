@@ -33,22 +33,22 @@ def erf(x: Column) -> Column:
 
 
 def same_cluster_prob(radius: Column, epsilon: Column, ell: int) -> Column:
-    """Chance that a filter and its noisy copy differ in at most `radius` bits, by the normal law."""
+    """Chance that a filter and its noisy copy lie within a Euclidean radius (its square in bits), by the normal law."""
     rate = eta(epsilon)
     mean, spread = ell * rate, F.sqrt(2 * ell * rate * (1 - rate))
-    return 0.5 * (erf((radius - mean) / spread) + erf(mean / spread))
+    return 0.5 * (1 + erf((radius * radius - mean) / spread))
 
 
 def same_cluster_prob_exact(radius: int, epsilon: float, ell: int) -> float:
     """The same by the binomial law."""
     q = flip_rate(epsilon)
-    return math.fsum(math.comb(ell, i) * q**i * (1 - q) ** (ell - i) for i in range(radius + 1))
+    return math.fsum(math.comb(ell, i) * q**i * (1 - q) ** (ell - i) for i in range(min(ell, radius * radius) + 1))
 
 
 def same_cluster_prob_value(radius: float, epsilon: float, ell: int) -> float:
     q = flip_rate(epsilon)
     mean, spread = ell * q, math.sqrt(2 * ell * q * (1 - q))
-    return 0.5 * (math.erf((radius - mean) / spread) + math.erf(mean / spread))
+    return 0.5 * (1 + math.erf((radius * radius - mean) / spread))
 
 
 def min_eps(radius: float, probability: float, ell: int) -> float:

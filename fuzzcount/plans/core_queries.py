@@ -150,7 +150,7 @@ def theta_pairs(spark, sf_dir):
 _ERF = "(sign({x}) * (1 - (1 / (1 + 0.3275911 * abs({x}))) * (0.254829592 + (1 / (1 + 0.3275911 * abs({x}))) * (-0.284496736 + (1 / (1 + 0.3275911 * abs({x}))) * (1.421413741 + (1 / (1 + 0.3275911 * abs({x}))) * (-1.453152027 + (1 / (1 + 0.3275911 * abs({x}))) * 1.061405429)))) * exp(-({x}) * ({x}))))"
 
 
-@twin(f"WITH g AS (SELECT f AS fraction, e / 2.0 AS eps, 1 / (1 + exp(e / 2.0)) AS q FROM (SELECT unnest([0.005, 0.01, 0.015, 0.02, 0.025, 0.03, 0.04]) AS f), range(1, 21) r(e)), x AS (SELECT fraction, eps, (fraction * 200 - 200 * q) / sqrt(400 * q * (1 - q)) AS u, 200 * q / sqrt(400 * q * (1 - q)) AS v FROM g) SELECT CAST(fraction AS DOUBLE) AS fraction, CAST(eps AS DOUBLE) AS eps, round(0.5 * ({_ERF.format(x='u')} + {_ERF.format(x='v')}), 6) AS p FROM x")
+@twin(f"WITH g AS (SELECT f AS fraction, e / 2.0 AS eps, 1 / (1 + exp(e / 2.0)) AS q FROM (SELECT unnest([0.005, 0.01, 0.015, 0.02, 0.025, 0.03, 0.04]) AS f), range(1, 21) r(e)), x AS (SELECT fraction, eps, (pow(fraction * 200, 2) - 200 * q) / sqrt(400 * q * (1 - q)) AS u FROM g) SELECT CAST(fraction AS DOUBLE) AS fraction, CAST(eps AS DOUBLE) AS eps, round(0.5 * (1 + {_ERF.format(x='u')}), 6) AS p FROM x")
 def same_cluster_prob(spark, sf_dir):
     grid = spark.range(1, 21).select((F.col("id") / 2.0).alias("eps"), F.explode(F.array(*map(F.lit, (0.005, 0.01, 0.015, 0.02, 0.025, 0.03, 0.04)))).alias("fraction"))
     return grid.select("fraction", "eps", F.round(theory.same_cluster_prob(F.col("fraction") * 200, F.col("eps"), 200), 6).alias("p"))
