@@ -6,10 +6,11 @@ A document's set holds its distinct word shingles.  Table keys combine one of `h
 the chance that a pair just at the similarity meets in no table.
 
 Documents with equal sets are one node.  In each bucket every node is first checked against its hub, the
-least node.  Only where a hub's nodes are still in several components do more pairs matter, and a linked
-pair then either rests on what both share with the hub, which sizes and distances bound, or has shingles
-in common outside the hub's set: nodes are indexed by these, checked against the least node of each such
-group, and pair by pair only in groups that even then are in several components.  Pairs inside a component
+least node.  Only where a hub's nodes are still in several components do more pairs matter.  They are
+compared with a centre, the shingles of most of them: a linked pair then either rests on what both share
+with the centre, which sizes and distances bound, or has shingles in common outside it.  Nodes are checked
+against the one nearest the centre and against the least node with a shingle in common, and pair by pair
+only where even then several components are left.  Pairs inside a component
 need no check, so no link between candidates is lost and a large group is not expanded into all pairs.
 Sets are compared whole, by 64-bit hashes of their shingles.
 
@@ -34,6 +35,7 @@ from fuzzcount.llm.components import components, merged
 from fuzzcount.sources.tables import cut, tidy
 
 PER_HALF = 2
+CROWD = 9
 MISS = 2e-4
 BLOCK = 1 << 15
 WORDS_CACHED = 100_000
@@ -182,18 +184,33 @@ def contained_pairs(members: DataFrame, percent: int) -> DataFrame:
     ).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
 
 
-def residual_groups(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(hub, token, id, n): shingles outside the hub's set of which linked members must have one in common.
+def centres_of(around: DataFrame, sets: DataFrame) -> DataFrame:
+    """(hub, centre): of a hub with many nodes the shingles of more than half of them, else the hub's own set.
 
-    A pair that its shared part of the hub cannot link shares at least `need` shingles outside it, so in any
+    The bounds hold for any set; what most nodes share leaves fewer shingles outside than one node's set.
+    """
+    many = cut(around.groupBy("hub").agg(F.count("*").alias("nodes")))
+    large = many.where(F.col("nodes") >= CROWD)
+    shingles = around.join(large, "hub").select("id", "hub", "nodes").join(sets, "id").select("hub", "nodes", F.explode("shingles").alias("token"))
+    often = shingles.groupBy("hub", "nodes", "token").agg(F.count("*").alias("n")).where(2 * F.col("n") > F.col("nodes"))
+    shared = often.groupBy("hub").agg(F.collect_list("token").alias("centre"))  # less than twice a set's mean size
+    own = many.where(F.col("nodes") < CROWD).select("hub").join(sets.select(F.col("id").alias("hub"), F.col("shingles").alias("centre")), "hub")
+    return shared.unionByName(own)
+
+
+def against_centres(around: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """`around` (id, hub, component) with n, shared, distance to the hub's centre, and `first`: the first shingles outside it.
+
+    A pair that its shared part of a centre cannot link shares at least `need` shingles outside it, so in any
     common order the first `outside - need + 1` of both have one in common.
     """
-    pairs = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b"), "n", "shared")
-    outside = F.array_sort(F.array_except("left", "right"))
+    centres = cut(centres_of(around, sets))
+    rows = around.join(sets, "id").join(centres, "hub", "left").withColumn("centre", F.coalesce("centre", F.array().cast("array<bigint>")))
+    rows = rows.select("id", "hub", "component", F.size("shingles").alias("n"), F.size("centre").alias("m"), F.array_sort(F.array_except("shingles", "centre")).alias("outside"))
+    rows = rows.withColumn("shared", F.col("n") - F.size("outside"))
     need = F.greatest(F.lit(1), F.ceil(percent * F.col("n") / 100).cast("int") - F.col("shared"))
-    first = with_sets(pairs, sets).select(F.col("b").alias("hub"), F.col("a").alias("id"), "n", outside.alias("outside"), need.alias("need"))
-    first = first.where(F.size("outside") >= F.col("need"))
-    return first.select("hub", "id", "n", F.explode(F.slice("outside", 1, F.size("outside") - F.col("need") + 1)).alias("token"))
+    first = F.when(F.size("outside") >= need, F.slice("outside", 1, F.size("outside") - need + 1)).otherwise(F.array().cast("array<bigint>"))
+    return rows.select("id", "hub", "component", "n", "shared", (1 - F.col("shared") / (F.col("n") + F.col("m") - F.col("shared"))).alias("distance"), first.alias("first"))
 
 
 def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -214,26 +231,31 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     tidy(docs.sparkSession)
 
     # Hubs whose members are still in several components.
-    hubs = first.select(F.col("b").alias("id"), F.col("b").alias("hub"), F.col("m").alias("n"), F.col("m").alias("shared"), F.lit(0.0).alias("distance")).distinct()
-    distance = 1 - F.col("shared") / (F.col("n") + F.col("m") - F.col("shared"))
-    around = placed(first.select(F.col("a").alias("id"), F.col("b").alias("hub"), "n", "shared", distance.alias("distance")).unionByName(hubs), groups)
-    around = cut(around)
+    hubs = first.select(F.col("b").alias("id"), F.col("b").alias("hub")).distinct()
+    around = cut(placed(first.select(F.col("a").alias("id"), F.col("b").alias("hub")).unionByName(hubs), groups))
     around = cut(around.join(still_open(around, "hub"), "hub"))
-    sharing = cut(placed(residual_groups(around, sets, percent), groups))
+    around = cut(against_centres(around, sets, percent))
+    tidy(docs.sparkSession)
+    sharing = around.select("hub", "id", "n", "component", F.explode("first").alias("token"))
     sharing = cut(sharing.join(still_open(sharing, "hub", "token"), ["hub", "token"]).drop("component"))
     least = cut(sharing.groupBy("hub", "token").agg(F.min("id").alias("b")))
-    stars = sharing.join(least, ["hub", "token"]).where("id <> b").select(F.col("id").alias("a"), "b")
-    again = cut(stars.unionByName(contained_pairs(around, percent)).distinct().join(pairs, ["a", "b"], "left_anti"))
-    second = checked(again, sets, percent)
-    groups = cut(merged(groups, links_of(second)))
+    stars = sharing.join(least, ["hub", "token"]).select(F.col("id").alias("a"), "b")
+    middle = cut(around.groupBy("hub").agg(F.min(F.struct("distance", "id"))["id"].alias("b")))
+    stars = stars.unionByName(around.join(middle, "hub").select(F.col("id").alias("a"), "b"))
+    stars = stars.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    again = cut(stars.join(pairs, ["a", "b"], "left_anti"))
+    groups = cut(merged(groups, links_of(checked(again, sets, percent))))
     tidy(docs.sparkSession)
 
-    # What shares a shingle outside its hub and is still apart is compared pair by pair.
+    # What could still be linked and is still apart is compared pair by pair.
     rest = cut(placed(sharing, groups))
     rest = cut(rest.join(still_open(rest, "hub", "token"), ["hub", "token"]))
     x, y = rest.alias("x"), rest.alias("y")
     apart = (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id")) & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
-    last = x.join(y, ["hub", "token"]).where(apart).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
+    last = x.join(y, ["hub", "token"]).where(apart).select(F.col("y.id").alias("a"), F.col("x.id").alias("b"))
+    inside = cut(placed(around.drop("component", "first"), groups))
+    inside = inside.join(still_open(inside, "hub"), "hub")
+    last = last.unionByName(contained_pairs(inside, percent)).distinct()
     last = last.join(pairs, ["a", "b"], "left_anti").join(again, ["a", "b"], "left_anti")
     groups = merged(groups, links_of(checked(cut(last), sets, percent)))
     labelled = cut(nodes.select("set_key", "id").join(groups, nodes["id"] == groups["node"], "left").select("set_key", F.coalesce("component", "id").alias("component")))
