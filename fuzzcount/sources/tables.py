@@ -3,12 +3,17 @@
 from __future__ import annotations
 
 import gc
+from itertools import count
 
 from pyspark.sql import DataFrame, SparkSession
 
 #: Used only where the session names no folder, as in tests on one machine.
 LOCAL_CHECKPOINTS = "/tmp/checkpoints"
 
+#: After so many cuts the driver's garbage is collected.
+TIDY_EVERY = 4
+_CUTS = count(1)
+
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     """A table by name, pruned to the columns asked for."""
@@ -30,7 +35,10 @@ def cut(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(shared_folder(spark))
-    return df.checkpoint()
+    out = df.checkpoint()
+    if next(_CUTS) % TIDY_EVERY == 0:
+        tidy(spark)
+    return out
 
 
 def tidy(spark: SparkSession) -> None:
