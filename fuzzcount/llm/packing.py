@@ -25,7 +25,6 @@ from collections import deque
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -161,7 +160,9 @@ def pack(docs: DataFrame, ranks_path: str, pattern: str, end_id: int = 1, target
     plans = cut(opening_deficits(shard_totals(dealt)))
     grouped = dealt.groupBy("shard").cogroup(plans.groupBy("shard"))
 
-    def fill(key: tuple, chunks: pd.DataFrame, plan: pd.DataFrame) -> pd.DataFrame:
+    def fill(key: tuple, chunks, plan):
+        import pandas as pd
+
         if chunks.empty:
             return pd.DataFrame(columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "source", "ids"])
         cells = plan["plan"].iloc[0]

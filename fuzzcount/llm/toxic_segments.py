@@ -256,13 +256,13 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.int64()), pa.array([sorted(o[2], reverse=True)[:64] for o in out], pa.list_(pa.float64()))], names=["toxic", "words", "found"])
 
     chosen = sample(CALIBRATION_ROWS).select("toxic", F.col("fold").cast("int").alias("fold"), "text")
-    judged = chosen.mapInArrow(best, "toxic int, words bigint, found array<double>").toPandas()
-    toxic, words = judged["toxic"].to_numpy(), judged["words"].to_numpy(float)
-    top = np.array([f[0] if len(f) else 0.0 for f in judged["found"]])
+    judged = chosen.mapInArrow(best, "toxic int, words bigint, found array<double>").toArrow()
+    toxic, words, found = judged.column(0).to_numpy(), judged.column(1).to_numpy().astype(float), judged.column(2).to_pylist()
+    top = np.array([f[0] if f else 0.0 for f in found])
     clean = (toxic == 0) & (top > 0) & (words > 0)
     rate, scale = fit_null(top[clean], words[clean]) if clean.sum() > 10 else (1.0, 0.01)
     law = Calibration(rate, scale, 0.0, 0.0)
-    evidence = np.array([law.evidence([(0, 0, float(v)) for v in f], int(n)) for f, n in zip(judged["found"], words, strict=True)])
+    evidence = np.array([law.evidence([(0, 0, float(v)) for v in f], int(n)) for f, n in zip(found, words, strict=True)])
     slope, offset = fit_logistic(evidence, (toxic == 1).astype(float))
     return Model(weights, Calibration(rate, scale, slope, offset))
 
