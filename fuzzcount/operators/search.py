@@ -75,29 +75,35 @@ def silhouette_of(x: np.ndarray, labels: np.ndarray, distance: np.ndarray) -> fl
 RESULTS = "fixture string, eps double, method string, p_flip double, seed bigint, n bigint, k_star bigint, k_occupied bigint, score double, truth bigint, err bigint, err_rate double"
 
 
-def search_cell(bits: np.ndarray, truth: int, eps: float, method: str, p_flip: float, seed: int, ks: list[int], pick_ratio: float = 0.1, dummy_ratio: float = 0.1) -> tuple[int, int, float]:
-    """(k_star, k_occupied, score) of one configuration on the clean bits of one cell."""
+def search_cell(bits: np.ndarray, eps: float, method: str, p_flip: float, seed: int, ks: list[int], pick_ratio: float = 0.1, dummy_ratio: float = 0.1) -> tuple[int, int, float]:
+    """(k_star, k_occupied, score) of one configuration on the clean bits of one cell.
+
+    The grid `ks` is searched first, then once more between the neighbours of its best k.
+    """
     rng = np.random.default_rng(seed)
     rate = 1 / (1 + np.exp(eps))
     x = np.abs(bits - (rng.random(bits.shape) < rate))
-    n = len(x)
+    n, found = len(x), {}
     if method == "silhouette":
         squared = np.maximum((x * x).sum(1)[:, None] + (x * x).sum(1) - 2 * x @ x.T, 0)
-        distance, found = np.sqrt(squared), []
-        for k in ks:
-            if 2 <= k < n:
-                labels = clustering.kmeans_labels(x, k, rng, iters=8)
-                found.append((silhouette_of(x, labels, distance), -k, len(np.unique(labels))))
-        score, k, occupied = max(found)
-        return -k, occupied, score
-    n_ref, n_dum = decoys.counts_for(n, pick_ratio, dummy_ratio)
-    refs = (rng.random((n_ref, x.shape[1])) < 0.5).astype(np.float32) if method == "A" else x[rng.choice(n, n_ref, replace=False)]
-    dums = np.abs(np.repeat(refs, n_dum, axis=0) - (rng.random((n_ref * n_dum, x.shape[1])) < p_flip))
-    pool, found = np.vstack([x, refs, dums]).astype(np.float32), []
-    for k in ks:
-        labels = clustering.kmeans_labels(pool, min(k, len(pool)), rng, iters=8)
-        found.append((round(purity_of(labels, n, n_ref, n_dum), 9), -k, len(np.unique(labels[:n]))))
-    score, k, occupied = max(found)
+        distance = np.sqrt(squared)
+    else:
+        n_ref, n_dum = decoys.counts_for(n, pick_ratio, dummy_ratio)
+        refs = (rng.random((n_ref, x.shape[1])) < 0.5).astype(np.float32) if method == "A" else x[rng.choice(n, n_ref, replace=False)]
+        dums = np.abs(np.repeat(refs, n_dum, axis=0) - (rng.random((n_ref * n_dum, x.shape[1])) < p_flip))
+        pool = np.vstack([x, refs, dums]).astype(np.float32)
+
+    def judge(grid: list[int]) -> int:
+        for k in grid:
+            if k in found or not 2 <= k <= n - (method == "silhouette"):
+                continue
+            labels = clustering.kmeans_labels(x if method == "silhouette" else pool, k, rng, iters=8)
+            value = silhouette_of(x, labels, distance) if method == "silhouette" else purity_of(labels, n, n_ref, n_dum)
+            found[k] = (round(value, 9), -k, len(np.unique(labels[:n])))
+        return -max(found.values())[1]
+
+    judge(refine_ks(judge(ks), ks, 8))
+    score, k, occupied = max(found.values())
     return -k, occupied, score
 
 
@@ -121,7 +127,7 @@ def sweep(spark: SparkSession, fixtures: dict[str, DataFrame], configs: list[tup
         for c in group.itertuples():
             rows = shared.value[c.fixture]
             truth = rows["entity_id"].nunique()
-            k, occupied, score = search_cell(clustering.unpack(rows), truth, c.eps, c.method, c.p_flip, int(c.seed), ks)
+            k, occupied, score = search_cell(clustering.unpack(rows), c.eps, c.method, c.p_flip, int(c.seed), ks)
             out.append((c.fixture, c.eps, c.method, c.p_flip, c.seed, len(rows), k, occupied, score, truth, abs(k - truth), abs(k - truth) / truth))
         return pd.DataFrame(out, columns=[f.split(" ")[0] for f in RESULTS.split(", ")])
 
