@@ -1,14 +1,14 @@
 """Licence scans with a positional index of rare licence words.
 
 Base labels come from fixed phrases whose words stand consecutively.  The method adds labels of its own from
-templates: the index holds, for each template, the places of its words that are rarest in the corpus (highest
-inverse document frequency); a text's own rarest licence words are looked up, postings of one template are
-intersected by relative position, and an alignment counts only if the template's mandatory key phrase stands
-in the text.  The score is the share of the template's words, weighted by rarity, that agree along the
-best alignment; a base label scores 1.
+templates: the index holds the places of all words of each template with their weights (by inverse document
+frequency); every word of a text is looked up in the templates whose mandatory key phrase stands in the text, and
+the weights of one template that meet at one relative position are added up.  The score is the share of the
+template's words, weighted by rarity, that agree along the best alignment; a base label scores 1.  No alignment
+is left out, whatever the length of a text or the number of its licences.
 
 Only DataFrame operations are used; each text is read once, and only texts with some mandatory phrase go on to
-the index, so the check that ends the method also prunes its input.
+the index, each to the templates of its phrases alone.
 
 Edge cases: a null text counts as empty; a text without words has no place and no label and scores 0; rows that share
 an id are scanned each for itself; overlapping places all count; an empty table gives no rows.
@@ -54,7 +54,9 @@ TEMPLATES = [
     Template("cc0", "cc0 1 0 universal public domain dedication", "cc0 1 0 universal"),
 ]
 
-RARE_WORDS, AGREEING, ACCEPT = 4, 2, 0.6
+ACCEPT = 0.6
+#: Sums in any order may differ in their last digits; the score is then taken once more in the order of the words.
+SLACK = 1e-6
 
 
 def starts_of(words: Column, phrase: str) -> Column:
@@ -98,24 +100,21 @@ def rarities(rows: DataFrame, total: int) -> dict[str, float]:
 
 
 def index_of(spark: SparkSession, templates: list[Template], idf: dict[str, float]) -> DataFrame:
-    """Postings of the rarest words of each template: (word, template, at, needed)."""
-    top = max([1.0, *idf.values()])
-    postings = []
-    for number, t in enumerate(templates):
-        words = t.words.split(" ")
-        rare = sorted(range(len(words)), key=lambda i: (-idf.get(words[i], top), i))[:RARE_WORDS]
-        postings += [(words[i], number, i, min(AGREEING, len(rare))) for i in rare]
-    return spark.createDataFrame(postings, "word string, template int, at int, needed int")
+    """Postings of all words of each template: (word, template, at, weight)."""
+    postings = [(w, number, i, weight) for number, t in enumerate(templates) for i, (w, weight) in enumerate(zip(t.words.split(" "), weights_of(t, idf), strict=True))]
+    return spark.createDataFrame(postings, "word string, template int, at int, weight double")
+
+
+def weights_of(template: Template, idf: dict[str, float]) -> list[float]:
+    """The weight of each word of a template, as a share of 1."""
+    weights = [max(idf.get(w, 0.0), 0.05) for w in template.words.split(" ")]
+    return [w / sum(weights) for w in weights]
 
 
 def template_table(spark: SparkSession, templates: list[Template], idf: dict[str, float]) -> DataFrame:
-    """Per template: its words, their weights (a share of 1), its mandatory phrase and its label."""
-    rows = []
-    for number, t in enumerate(templates):
-        words = t.words.split(" ")
-        weights = [max(idf.get(w, 0.0), 0.05) for w in words]
-        rows.append((number, words, [w / sum(weights) for w in weights], f" {t.mandatory} ", t.label))
-    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, mandatory string, label string")
+    """Per template: its words, their weights (a share of 1) and its label."""
+    rows = [(number, t.words.split(" "), weights_of(t, idf), t.label) for number, t in enumerate(templates)]
+    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, label string")
 
 
 def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFrame:
@@ -125,19 +124,17 @@ def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFram
     idf = rarities(rows, rows.count())
     index = index_of(docs.sparkSession, templates, idf)
 
-    held = rows.where("normal IS NOT NULL").select("row", "normal", F.split(F.trim("normal"), " ").alias("words"), "licence_words")
-    rated = F.array(*(F.struct(F.lit(-v).alias("r"), F.lit(w).alias("w")) for w, v in sorted(idf.items()))) if idf else F.array().cast("array<struct<r:double,w:string>>")
-    own = F.slice(F.filter(F.array_sort(rated), lambda x: F.array_contains("licence_words", x["w"])), 1, 2 * RARE_WORDS)
+    named = F.array(*(F.when(F.contains(F.col("normal"), F.lit(f" {t.mandatory} ")), number) for number, t in enumerate(templates)))
+    held = rows.where("normal IS NOT NULL").select("row", F.split(F.trim("normal"), " ").alias("words"), F.array_compact(named).alias("named"))
     held = cut(held)  # lambdas below must not split the text again at each step
-    held = held.withColumn("rarest", F.transform(own, lambda x: x["w"]))
-    tokens = held.select("row", "rarest", F.posexplode("words").alias("place", "word")).where(F.array_contains("rarest", F.col("word")))
-    met = tokens.join(F.broadcast(index), "word").select("row", "template", "needed", "word", (F.col("place") - F.col("at")).alias("diagonal"))
-    aligned = met.groupBy("row", "template", "needed", "diagonal").agg(F.count("*").alias("agree")).where("agree >= needed")
-    pairs = aligned.join(held.select("row", "normal", "words"), "row")
+    tokens = held.select("row", "named", F.posexplode("words").alias("place", "word"))
+    met = tokens.join(F.broadcast(index), "word").where(F.array_contains("named", F.col("template"))).select("row", "template", "weight", (F.col("place") - F.col("at")).alias("diagonal"))
+    aligned = met.groupBy("row", "template", "diagonal").agg(F.sum("weight").alias("agreeing")).where(F.col("agreeing") >= ACCEPT - SLACK)
+    pairs = aligned.join(held.select("row", "words"), "row")
     place = lambda i: F.when(F.col("diagonal") + i >= 0, F.get("words", F.col("diagonal") + i))
     agree = lambda i: F.when(place(i) == F.get("expected", i), F.get("weights", i)).otherwise(0.0)
     score = F.aggregate(F.sequence(F.lit(0), F.size("expected") - 1), F.lit(0.0), lambda total, i: total + agree(i))
-    pairs = pairs.join(F.broadcast(template_table(docs.sparkSession, templates, idf)), "template").where(F.contains("normal", F.col("mandatory")))
+    pairs = pairs.join(F.broadcast(template_table(docs.sparkSession, templates, idf)), "template")
     found = pairs.select("row", "label", score.alias("score")).where(F.col("score") >= ACCEPT)
     found = cut(found.groupBy("row").agg(F.collect_set("label").alias("own_labels"), F.max("score").alias("own_score")))
 

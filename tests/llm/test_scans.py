@@ -1,8 +1,9 @@
+import math
 import re
 
 import pytest
 
-from fuzzcount.llm.license_index import licences
+from fuzzcount.llm.license_index import TEMPLATES, licences
 from fuzzcount.llm.phrase_index import contamination, drop_contaminated, proximity_matches
 from fuzzcount.llm.url_templates import judge
 
@@ -18,6 +19,48 @@ def test_licences_of_odd_rows(spark, odd_docs, no_docs):
     assert rows[2]["labels"] == "apache-2" and rows[3]["labels"] == "gpl-3" and rows[3]["base_labels"] == "" and 0.6 <= rows[3]["score"] <= 1
 
 
+def test_licences_of_texts_with_many(spark):
+    every = " and also ".join(t.words for t in TEMPLATES)
+    isc = next(t.words for t in TEMPLATES if t.label == "isc")
+    stray = "affero redistribution mozilla universal dedication lesser attribution noncommercial creative gnu "
+    rows = [(0, every), (1, f"{stray * 20}{isc} {stray * 20}"), *((2 + i, t.words) for i, t in enumerate(TEMPLATES)), *((100 + i, "plain words of no note") for i in range(60))]
+    found = {r["doc_id"]: r for r in licences(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert found[0]["labels"] == ",".join(sorted({t.label for t in TEMPLATES}))
+    assert found[1]["labels"] == "isc" and found[1]["score"] > 0.99
+    assert all(t.label in found[2 + i]["labels"].split(",") for i, t in enumerate(TEMPLATES)) and found[100]["labels"] == ""
+
+
+def test_licences_match_brute_force(spark):
+    """Every alignment of texts with changed words, against a loop over all of them."""
+    import random
+
+    from fuzzcount.llm.license_index import ACCEPT, weights_of
+
+    rng, texts = random.Random(3), []
+    for _ in range(80):
+        parts = []
+        for t in rng.sample(TEMPLATES, rng.randint(1, 6)):
+            parts += [t.mandatory] * rng.randint(0, 1) + [" ".join(w if rng.random() < 0.75 else "other" for w in t.words.split(" "))]
+        texts.append(" ".join(parts))
+    split = [t.split(" ") for t in texts]
+    vocabulary = {w for t in TEMPLATES for w in t.words.split(" ")}
+    counts = {w: sum(w in x for x in split) for w in vocabulary}
+    idf = {w: math.log((len(texts) + 1) / (n + 0.5)) for w, n in counts.items() if n}
+    found = {r["doc_id"]: r for r in licences(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()}
+    for i, words in enumerate(split):
+        want, best = set(filter(None, found[i]["base_labels"].split(","))), 0.0
+        for t in TEMPLATES:
+            expected, weights = t.words.split(" "), weights_of(t, idf)
+            if f" {t.mandatory} " in f" {texts[i]} ":
+                for d in range(-len(expected), len(words)):
+                    score = sum(v for j, v in enumerate(weights) if 0 <= d + j < len(words) and words[d + j] == expected[j])
+                    if score >= ACCEPT:
+                        want.add(t.label)
+                        best = max(best, score)
+        assert found[i]["labels"] == ",".join(sorted(want))
+        assert found[i]["base_labels"] or abs(found[i]["score"] - min(1, best)) < 1e-9
+
+
 def test_contamination_of_odd_rows(spark, odd_docs, no_docs):
     items = spark.createDataFrame([(10, "one two three four"), (9, "ab " * 30), (8, None), (7, ""), (6, "w5 w6 w7 w8 w9 w10 w11 w12 w13 w14 w15 nothing")], "item_id bigint, text string")
     found = {r["doc_id"]: r for r in contamination(odd_docs, items).collect()}
