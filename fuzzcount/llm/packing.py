@@ -2,9 +2,10 @@
 
 Every document is encoded once, followed by an end token, and cut into chunks of at most `CHUNK` tokens.
 Chunks are dealt evenly over shards of about `SHARD` tokens.  A shard keeps one queue per source; each
-window of `window` tokens credits every source its target share, and sources are served in turn once
-their credit reaches a least piece, so that documents are not cut into slivers; what a source is owed
-stays in its deficit for later windows.  Deficits are carried across shards too: a shard starts with
+window of `window` tokens credits every source its target share and serves it that share in whole tokens,
+more or less by a part of it (`PAYBACK`) where it was served too little or too much before.  Only a source whose
+share is under a least piece waits for later windows, so that documents are not cut into slivers.  What a source
+is owed stays in its deficit.  Deficits are carried across shards too: a shard starts with
 what the shards before it leave owing, which follows from the token totals of shards and sources alone
 (a running sum), without packing them one after the other.
 
@@ -31,7 +32,9 @@ from pyspark.sql import functions as F
 
 from fuzzcount.sources.tables import cut
 
-WINDOW, LEAST_PIECE = 2048, 256
+WINDOW, LEAST_PIECE = 2048, 16
+#: By so much of its share a window may serve a source more or less, to make up for what went before.
+PAYBACK = 0.25
 CHUNK, SHARD, BLOCK = 1 << 16, 1 << 22, 4096
 #: With more sources than this, queues hold sources by hash.
 MOST_SOURCES = 4096
@@ -79,27 +82,49 @@ class Shard:
     """Packs the chunks of one shard; `deficit` says what each source is owed when it starts."""
 
     def __init__(self, shares: dict, deficit: dict, window: int = WINDOW, least: int = LEAST_PIECE):
-        self.shares, self.window, self.least = shares, window, least
-        self.credit = {s: float(deficit.get(s, 0.0)) for s in shares}
+        self.window, self.least = window, least
         self.order = sorted(shares, key=lambda s: (s is None, s or ""))
+        self.share = np.array([shares[s] for s in self.order], float)
+        self.credit = np.array([deficit.get(s, 0.0) for s in self.order], float)
         self.first = 0
 
+    def allot(self, left: np.ndarray, size: int) -> np.ndarray:
+        """The tokens of each source in a window of `size`; `left` says how many it has."""
+        weight = self.share[left > 0].sum()
+        fair = np.where(left > 0, size * (self.share / weight if weight else 1 / (left > 0).sum()), 0.0)
+        self.credit += fair
+        least = np.minimum(self.least, left)
+        low = np.where((1 - PAYBACK) * fair >= least, (1 - PAYBACK) * fair, 0.0)
+        claim = np.minimum(np.clip(self.credit, low, np.maximum((1 + PAYBACK) * fair, least)), left)
+        claim[claim < least] = 0
+        if claim.sum() > size:
+            claim *= size / claim.sum()
+        give = np.floor(claim).astype(np.int64)
+        give[give < least] = 0
+        while room := size - int(give.sum()):  # what is over goes to those that are owed most, a share at a time
+            still = np.flatnonzero(give < left)
+            still = still[np.lexsort((give[still] - self.credit[still], fair[still] == 0))]
+            part = np.floor(room * fair[still] / (fair[still].sum() or 1.0))
+            more = np.minimum(np.maximum(part, np.maximum(least[still] - give[still], 1)), left[still] - give[still]).astype(np.int64)
+            before = np.cumsum(more) - more
+            give[still] += np.clip(room - before, 0, more)
+        self.credit -= give
+        return give
+
     def pack(self, queues: dict[str, deque], left: dict[str, int]) -> Iterator[tuple]:
         """(source, chunk, start in the chunk, length, window number, offset); queues hold (chunk, tokens)."""
         at = {s: 0 for s in queues}  # tokens of the queue's head that are gone
-        total, number = sum(left.values()), 0
+        rest = np.array([left.get(s, 0) for s in self.order], np.int64)
+        total, number = int(rest.sum()), 0
         while total:
             size = min(self.window, total)
             if size < self.window:
                 size = 1 << (size.bit_length() - 1)
-            room, offset = size, 0
-            active = [s for s in self.order if left.get(s)]
-            weight = sum(self.shares[s] for s in active) or 1.0
-            for s in active:
-                self.credit[s] += size * (self.shares[s] / weight if weight else 1 / len(active))
-
-            def serve(s: str, amount: int) -> Iterator[tuple]:
-                nonlocal room, offset
+            give, offset = self.allot(rest, size), 0
+            rest -= give
+            served = np.flatnonzero(give)
+            for i in np.roll(served, -(self.first % len(served))):  # starting one source further each time
+                s, amount = self.order[i], int(give[i])
                 while amount:
                     chunk, tokens = queues[s][0]
                     take = min(amount, tokens - at[s])
@@ -108,20 +133,8 @@ class Shard:
                     if at[s] == tokens:
                         queues[s].popleft()
                         at[s] = 0
-                    offset, room, amount = offset + take, room - take, amount - take
-                    left[s] -= take
-                    self.credit[s] -= take
-
-            for i in range(len(active)):  # one round, starting one source further each time
-                s = active[(self.first + i) % len(active)]
-                if self.credit[s] >= min(self.least, left[s]):
-                    yield from serve(s, min(int(self.credit[s]), left[s], room))
-                if not room:
-                    break
+                    offset, amount = offset + take, amount - take
             self.first += 1
-            while room:  # what no source may claim yet goes to those that are owed most
-                s = max((s for s in active if left[s]), key=lambda s: self.credit[s])
-                yield from serve(s, min(left[s], room))
             total -= size
             number += 1
 

@@ -1,11 +1,12 @@
 import random
 import zlib
+from collections import Counter, deque
 
 import numpy as np
 import public_tokenizers
 from tokenizers import Tokenizer
 
-from fuzzcount.llm.packing import pack
+from fuzzcount.llm.packing import Shard, pack
 from fuzzcount.llm.prefix_counts import PrefixCounter, prefix_table, token_counts
 from fuzzcount.llm.queries import packed
 
@@ -70,3 +71,36 @@ def test_windows_keep_the_mixture(spark):
     full = pieces.groupby("sequence_id").filter(lambda g: g["length"].sum() == 2048)
     share = full[full.source == "small"].groupby("sequence_id")["length"].sum() / 2048
     assert share.reindex(full["sequence_id"].unique(), fill_value=0).sub(0.25).abs().max() <= 0.15
+
+
+def test_windows_keep_the_mixture_of_many_sources(spark):
+    rows = [(i, "word " * 900, f"s{i % 20}") for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    pieces = pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).toPandas()
+    full = pieces.groupby("sequence_id").filter(lambda g: g["length"].sum() == 2048)
+    share = full.pivot_table(index="sequence_id", columns="source", values="length", aggfunc="sum", fill_value=0) / 2048
+    off = share.sub(1 / 20).abs().sum(axis=1) / 2
+    assert share.shape[1] == 20 and (share > 0).all().all() and off.max() <= 0.05
+
+
+def test_windows_keep_uneven_shares_and_deficits():
+    shares = {"big": 1 / 3} | {f"s{i:02}": 2 / 57 for i in range(19)}
+    shard = Shard(dict(shares), {"big": -30_000.0, "s00": 30_000.0})
+    left = {s: int(2_000_000 * p) for s, p in shares.items()}
+    windows, whole = {}, dict.fromkeys(shares, 0)
+    for s, _, _, n, number, _ in shard.pack({s: deque([(0, n)]) for s, n in left.items()}, dict(left)):
+        windows.setdefault(number, dict.fromkeys(shares, 0))[s] += n
+        whole[s] += n
+    assert whole == left
+    off = [sum(abs(w[s] / 2048 - p) for s, p in shares.items()) / 2 for w in list(windows.values())[:800]]
+    assert max(off) <= 0.15, max(off)
+
+
+def test_windows_of_thousands_of_sources_have_no_slivers():
+    shares = {f"s{i:04}": 1 / 5000 for i in range(5000)}
+    pieces = list(Shard(shares, {}).pack({s: deque([(0, 160)]) for s in shares}, dict.fromkeys(shares, 160)))
+    assert sum(p[3] for p in pieces) == 800_000 and len(pieces) <= 800_000 / 16 * 1.1
+    early = Counter()
+    for s, _, _, n, number, _ in pieces:
+        early[s] += n if number < 195 else 0
+    assert max(early.values()) - min(early[s] for s in shares) <= 32
