@@ -36,8 +36,6 @@ WINDOW, LEAST_PIECE = 2048, 16
 #: By so much of its share a window may serve a source more or less, to make up for what went before.
 PAYBACK = 0.25
 CHUNK, SHARD, BLOCK = 1 << 16, 1 << 22, 4096
-#: With more sources than this, queues hold sources by hash.
-MOST_SOURCES = 4096
 SPECIAL = {"<|endoftext|>": 50256}
 
 CHUNKS = "doc_id bigint, source string, row bigint, start bigint, n bigint, doc_tokens bigint, ids binary"
@@ -140,11 +138,11 @@ class Shard:
 
 
 def shard_totals(chunks: DataFrame) -> DataFrame:
-    return chunks.groupBy("shard", F.col("queue").alias("source")).agg(F.sum("n").alias("tokens"))
+    return chunks.groupBy("shard", "source").agg(F.sum("n").alias("tokens"))
 
 
-def opening_deficits(totals: DataFrame) -> DataFrame:
-    """Per shard and source with tokens there: what the shards before it leave the source owing.
+def opening_deficits(totals: DataFrame, total: int, targets: dict[str | None, float] | None = None) -> DataFrame:
+    """Per shard and source with tokens there: its share, and what the shards before it leave the source owing.
 
     That is its share of all tokens before, less its own tokens before.  The running sums go over
     shards of a block and over blocks, so no task sees all shards.
@@ -154,23 +152,22 @@ def opening_deficits(totals: DataFrame) -> DataFrame:
     blocks = sizes.groupBy("block").agg(F.sum("size").alias("size"))
     blocks = blocks.select("block", F.coalesce(F.sum("size").over(to_here().orderBy("block")), F.lit(0)).alias("earlier"))
     sizes = sizes.select("shard", "block", F.coalesce(F.sum("size").over(to_here("block").orderBy("shard")), F.lit(0)).alias("before")).join(blocks, "block")
-    own = totals.select("shard", "source", F.coalesce(F.sum("tokens").over(to_here("source").orderBy("shard")), F.lit(0)).alias("own"))
-    cells = own.join(sizes, "shard").select("shard", "source", "own", (F.col("before") + F.col("earlier")).alias("before"))
-    return cells.groupBy("shard").agg(F.collect_list(F.struct("source", "own", "before")).alias("plan"))
+    share = F.sum("tokens").over(Window.partitionBy("source")) / F.lit(total)
+    own = totals.select("shard", "source", share.alias("share"), F.coalesce(F.sum("tokens").over(to_here("source").orderBy("shard")), F.lit(0)).alias("own"))
+    if targets:
+        table = totals.sparkSession.createDataFrame([(s, float(t)) for s, t in targets.items()], "name string, target double")
+        own = own.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("name")), "left").withColumn("share", F.coalesce("target", F.lit(0.0)))  # the caller's own rows
+    cells = own.join(sizes, "shard").select("shard", "source", "share", "own", (F.col("before") + F.col("earlier")).alias("before"))
+    return cells.groupBy("shard").agg(F.collect_list(F.struct("source", "share", "own", "before")).alias("plan"))
 
 
 def pack(docs: DataFrame, ranks_path: str, pattern: str, end_id: int = 1, targets: dict[str, float] | None = None, window: int = WINDOW, least: int = LEAST_PIECE) -> DataFrame:
     """One row per piece, with its ids; see the module's text."""
     encoded = cut(encode(docs, ranks_path, pattern, end_id))
-    many = encoded.agg(F.approx_count_distinct("source").alias("n")).first()["n"] > MOST_SOURCES
-    queue = F.pmod(F.xxhash64("source"), F.lit(MOST_SOURCES)).cast("string") if many else F.col("source")
-    encoded = encoded.withColumn("queue", queue)
-    sources = encoded.groupBy("queue").agg(F.sum("n").alias("tokens")).collect()  # twice MOST_SOURCES rows at most
-    total = sum(r["tokens"] for r in sources)
+    total = encoded.agg(F.sum("n").alias("n")).first()["n"] or 0
     shards = max(1, -(-total // SHARD))
-    shares = {r["queue"]: targets.get(r["queue"], 0.0) if targets else r["tokens"] / total for r in sources}
     dealt = encoded.withColumn("shard", F.pmod(F.xxhash64("row", "start"), F.lit(shards)))
-    plans = cut(opening_deficits(shard_totals(dealt)))
+    plans = cut(opening_deficits(shard_totals(dealt), total, targets))
     grouped = dealt.groupBy("shard").cogroup(plans.groupBy("shard"))
 
     def fill(key: tuple, chunks, plan):
@@ -180,19 +177,19 @@ def pack(docs: DataFrame, ranks_path: str, pattern: str, end_id: int = 1, target
             return pd.DataFrame(columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "source", "ids"])
         cells = plan["plan"].iloc[0]
         chunks = chunks.sort_values(["row", "start"], kind="stable")
-        columns = [chunks[c].tolist() for c in ("doc_id", "queue", "start", "n", "doc_tokens", "ids", "source")]
+        columns = [chunks[c].tolist() for c in ("doc_id", "source", "start", "n", "doc_tokens", "ids")]
         queues: dict = {}
         left: dict = {}
         for i, (source, n) in enumerate(zip(columns[1], columns[3], strict=True)):
             queues.setdefault(source, deque()).append((i, n))
             left[source] = left.get(source, 0) + n
-        here = {c["source"]: shares[c["source"]] for c in cells}
+        here = {c["source"]: c["share"] for c in cells}
         shard = Shard(here, {c["source"]: here[c["source"]] * c["before"] - c["own"] for c in cells}, window, least)
         rows = []
         for _, i, at, length, number, offset in shard.pack(queues, left):
             ids = columns[5][i][2 * at : 2 * (at + length)]
             wide = np.frombuffer(ids, "<u2").astype("<u4").tobytes()
-            rows.append((columns[0][i], columns[2][i] + at, length, zlib.crc32(wide), columns[4][i], (int(key[0]) << 32) + number, offset, columns[6][i], ids))
+            rows.append((columns[0][i], columns[2][i] + at, length, zlib.crc32(wide), columns[4][i], (int(key[0]) << 32) + number, offset, columns[1][i], ids))
         out = pd.DataFrame(rows, columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "source", "ids"])
         out["doc_id"] = out["doc_id"].astype("Int64")
         return out

@@ -104,3 +104,13 @@ def test_windows_of_thousands_of_sources_have_no_slivers():
     for s, _, _, n, number, _ in pieces:
         early[s] += n if number < 195 else 0
     assert max(early.values()) - min(early[s] for s in shares) <= 32
+
+
+def test_targets_hold_with_thousands_of_sources(spark):
+    rows = [(i, "word " * 600, "big") for i in range(100)] + [(1000 + i, "word " * 12, f"s{i}") for i in range(5000)] + [(9000 + i, "word " * 600, None) for i in range(100)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    pieces = pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, targets={"big": 0.75, None: 0.25}).toPandas()
+    assert pieces["length"].sum() == pieces.groupby("doc_id")["doc_tokens"].first().sum() and pieces["source"].nunique() == 5001
+    for _, window in sorted(pieces.groupby("sequence_id"))[:25]:
+        assert abs(window.loc[window["source"] == "big", "length"].sum() / 2048 - 0.75) <= 0.01
+        assert abs(window.loc[window["source"].isna(), "length"].sum() / 2048 - 0.25) <= 0.01
