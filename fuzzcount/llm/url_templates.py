@@ -1,7 +1,7 @@
 """URL filtering by rules and by a tree of path templates per host.
 
 Rules name a host (which covers its subdomains) and a path prefix; the longest rule that fits decides.
-Where none fits, templates do.  Paths are cut into segments and numbers in them become `#`.  Level by level,
+Where none fits, templates do.  Paths are cut into segments and numbers in them become `#`.  Level by level, down to the deepest path,
 a node of a host's tree turns its rare children into the wildcard `*` when it has many, and folds children
 whose share of blocked pages cannot be told from their siblings' into `~`.  Each template is then judged by
 its purity: the blocked share of its labelled pages, smoothed towards a low base, so that a template of which
@@ -10,20 +10,20 @@ nothing is known passes.  Labels are the rules' own verdicts, or a column of the
 Only DataFrame operations are used; pages are counted per host and path first, so a host with a third of
 all pages sends a few rows on, and the joins back to pages can be split.
 
-Edge cases: a null url, or one without `://`, has an empty host and path and is judged like any other; a path
-deeper than `LEVELS` ends in `**`; repeated urls share a template and keep a row each; without any labelled
+Edge cases: a null url, or one without `://`, has an empty host and path and is judged like any other; repeated urls share a template and keep a row each; without any labelled
 page every verdict is allow; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fuzzcount.llm.text import LOWER, UPPER
 from fuzzcount.sources.tables import cut
 
-LEVELS = 3
 MANY_CHILDREN, RARE_SHARE = 8, 0.02
 Z = 1.96
 PRIOR, BASE = 4.0, 0.1
@@ -60,9 +60,8 @@ def rule_for(host: Column, path: Column, rules: list[Rule]) -> Column:
 
 
 def segments_of(path: Column) -> Column:
-    """The generalised segments of a path, `LEVELS` at most; an array of one empty string for an empty path."""
-    parts = F.transform(F.split(F.regexp_replace(path, r"^/|/$", ""), "/"), lambda s: F.regexp_replace(s, "[0-9]+", "#"))
-    return F.when(F.size(parts) > LEVELS, F.concat(F.slice(parts, 1, LEVELS - 1), F.array(F.lit("**")))).otherwise(parts)
+    """The generalised segments of a path; an array of one empty string for an empty path."""
+    return F.transform(F.split(F.regexp_replace(path, r"^/|/$", ""), "/"), lambda s: F.regexp_replace(s, "[0-9]+", "#"))
 
 
 def _sums() -> list[Column]:
@@ -71,10 +70,14 @@ def _sums() -> list[Column]:
 
 def templates(paths: DataFrame) -> DataFrame:
     """`paths` (host, segments, pages, labelled, blocked; one row each) with the `template` of each."""
-    rows = paths.withColumn("template", F.lit(""))
-    for level in range(LEVELS):
-        rows = cut(rows.withColumn("segment", F.get("segments", level)))
-        children = cut(rows.where("segment IS NOT NULL").groupBy("host", "template", "segment").agg(*_sums()))
+    rows = cut(paths.withColumn("template", F.lit("")))
+    done, level = [], 0
+    while rows.head(1):
+        # Paths that end above this level have their template; the others go on.
+        ended = F.size("segments") <= level
+        done.append(rows.where(ended))
+        rows = cut(rows.where(~ended).withColumn("segment", F.get("segments", level)))
+        children = cut(rows.groupBy("host", "template", "segment").agg(*_sums()))
         nodes = cut(
             children.groupBy("host", "template").agg(
                 F.count("*").alias("children"), F.sum("pages").alias("all_pages"), F.sum("labelled").alias("all_labelled"), F.sum("blocked").alias("all_blocked")
@@ -87,8 +90,9 @@ def templates(paths: DataFrame) -> DataFrame:
         alike = (F.col("children") > 1) & (F.col("labelled") > 0) & (F.abs(F.col("blocked") / F.col("labelled") - pooled) <= Z * error)
         name = F.when(rare, "*").when(alike, "~").otherwise(F.col("segment"))
         named = cut(seen.select("host", "template", "segment", F.concat("template", F.lit("/"), name).alias("next")))
-        rows = rows.join(named, ["host", "template", "segment"], "left").withColumn("template", F.coalesce("next", "template")).drop("next", "segment")
-    return rows
+        rows = cut(rows.join(named, ["host", "template", "segment"]).withColumn("template", F.col("next")).drop("next", "segment"))
+        level += 1
+    return reduce(DataFrame.unionByName, done, rows)
 
 
 def purity(rows: DataFrame) -> DataFrame:

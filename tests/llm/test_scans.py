@@ -90,6 +90,16 @@ def test_templates_reject_what_labels_say(spark):
     assert {(re.split("/", r["path"])[1], r["verdict"]) for r in found.collect()} == {("spam", "block"), ("news", "allow")}
 
 
+def test_deep_paths_are_told_apart(spark):
+    deep = lambda a, n: [(n + i, f"http://h.org/a/b/{a}/{i}", a == "spam" if i < 60 else None) for i in range(80)]
+    deeper = lambda a, n: [(n + i, f"http://k.org/a/b/c/d/e/{a}/x{i % 3}/{i}", a == "spam" if i < 60 else None) for i in range(80)]
+    rows = deep("spam", 0) + deep("good", 100) + deeper("spam", 200) + deeper("good", 300) + [(400, "http://h.org/a", None), (401, "http://h.org", None), (402, None, None)]
+    found = judge(spark.createDataFrame(rows, "page_id bigint, url string, bad boolean"), rules=[], label_col="bad").collect()
+    assert len(found) == len(rows)
+    assert {("spam" in r["path"], r["verdict"]) for r in found} == {(True, "block"), (False, "allow")}
+    assert all(r["template"].count("/") == max(1, r["path"].count("/")) for r in found)
+
+
 @pytest.mark.parametrize("name", ["op2_exact_dedup", "op8_decontamination", "op10_warc"])
 def test_twins(spark, name):
     from run_query import compare
