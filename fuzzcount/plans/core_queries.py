@@ -372,7 +372,7 @@ def embedding_best_k(spark, sf_dir):
     bits = signs.select(F.lit("o0").alias("owner"), F.col("vec_id").alias("rec_id"), F.filter(F.transform("s", lambda x, i: F.when(x, i)), lambda i: i.isNotNull()).alias("bits"))
     rows = cut(bloom.with_lanes(bits, "bits").select("owner", "rec_id", *LANES))
     n = rows.count()
-    return purity.best_k(purity.curve(clustering.prefix_labels(cut(search.build_pool(rows, n, search.SearchSpec(p_flip=0.05))), min(60, n))))
+    return purity.best_k(purity.curve(clustering.prefix_labels(cut(search.build_pool(rows, n, search.SearchSpec(p_flip=0.05))), n)))
 
 
 FOUND["embedding_best_k"] = (embedding_best_k, None)

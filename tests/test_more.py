@@ -21,3 +21,14 @@ def test_linkages():
         assert all(len(set(found[i * 5 : i * 5 + 5])) == 1 for i in range(4)) and len(set(found)) == 4
     assert len(set(hierarchical.labels(x, "single", cut=-1.0))) == 20
     assert len(hierarchical.labels(x[:0])) == 0
+
+
+def test_embedding_best_k_sweeps_every_k(spark, tmp_path):
+    import random
+
+    from fuzzcount.plans.core_queries import embedding_best_k
+
+    rng = random.Random(2)
+    rows = [(i, [rng.uniform(-1, 1) for _ in range(64)], i) for i in range(120)]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert embedding_best_k(spark, str(tmp_path)).first()["k_star"] > 60
