@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-import gc
+import uuid
 from itertools import count
+from weakref import WeakKeyDictionary
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no folder, as in tests on one machine.
-LOCAL_CHECKPOINTS = "/tmp/checkpoints"
+#: Used only on one machine, where the session names no folder.
+LOCAL_FOLDER = "/tmp/checkpoints"
+#: Spark removes the shuffle files of a query as soon as it has run.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
-#: After so many cuts the driver's garbage is collected.
-TIDY_EVERY = 4
-_CUTS = count(1)
+_RUN, _STEPS = uuid.uuid4().hex, count(1)
+_FOLDERS: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -22,29 +24,60 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from the session if it names one."""
+    """The folder that driver and executors share, which the session names; a cluster without one is refused."""
     context = spark.sparkContext
     folder = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not folder and context._jsc.sc().getCheckpointDir().isDefined():
         folder = context._jsc.sc().getCheckpointDir().get()
-    return folder or LOCAL_CHECKPOINTS
+    if not folder and not context.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return (folder or LOCAL_FOLDER).rstrip("/")
+
+
+def _place(spark: SparkSession, folder: str):
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    return path.getFileSystem(spark._jsc.hadoopConfiguration()), path
+
+
+def new_folder(spark: SparkSession, name: str) -> str:
+    """A folder of its own in the shared one; what is still in it when the driver ends goes then."""
+    folder = f"{shared_folder(spark)}/{name}-{_RUN}-{next(_STEPS)}"
+    files, path = _place(spark, folder)
+    files.mkdirs(path)
+    files.deleteOnExit(path)
+    return folder
+
+
+def remove_folder(spark: SparkSession, folder: str) -> None:
+    files, path = _place(spark, folder)
+    files.delete(path, True)
+    files.cancelDeleteOnExit(path)
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """The same rows, kept in the shared folder: later plans start there, also after executors are lost."""
+    """The same rows, written to the shared folder: later plans start there, also after executors are lost.
+
+    As a table it has a known size, by which the planner decides what it broadcasts, and is read by the column.
+    The shuffle files that made it go at once; the table stays until `drop` or the end of the driver.
+    """
     spark = df.sparkSession
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(shared_folder(spark))
-    out = df.checkpoint()
-    if next(_CUTS) % TIDY_EVERY == 0:
-        tidy(spark)
+    folder, before = new_folder(spark, "step"), spark.conf.get(CLEANUP)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.mode("overwrite").parquet(folder)
+    finally:
+        spark.conf.set(CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(folder)
+    _FOLDERS[out] = folder
     return out
 
 
-def tidy(spark: SparkSession) -> None:
-    """Collect the driver's garbage: shuffle files and checkpoints of plans that nothing refers to any more are removed then.
+def drop(*tables: DataFrame) -> None:
+    """Remove tables that `cut` has written and no plan reads any more."""
+    for df in tables:
+        if folder := _FOLDERS.pop(df, None):
+            remove_folder(df.sparkSession, folder)
 
-    For operators of many steps, whose files would else stay until the driver happens to run short of memory.
-    """
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+
+def tidy(spark: SparkSession) -> None:
+    """Nothing: `cut` leaves no garbage."""
