@@ -1,8 +1,8 @@
 """Connected components of a link table, by rounds of star contraction.
 
 Each round hangs every node's larger neighbours, then its smaller ones, on the least node it sees; the
-number of rounds grows with the logarithm of a component's diameter.  Rounds are cut in the shared folder.
-Null ends and loops are ignored; an empty table gives no rows.
+number of rounds grows with the logarithm of a component's diameter.  Rounds are kept in the shared folder
+until the next one has been.  Null ends and loops are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzcount.sources.tables import cut
+from fuzzcount.sources.tables import cut, drop
 
 
 def _hang(links: DataFrame) -> DataFrame:
@@ -23,13 +23,19 @@ def components(links: DataFrame) -> DataFrame:
     edges = cut(links.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
     while not _are_stars(edges):
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        larger = both.join(_hang(both), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = _hang(both)
+        larger = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         larger = cut(larger.where("u <> v").distinct())
-        smaller = larger.join(_hang(larger), "u")
+        drop(edges, least)
+        least = _hang(larger)
+        smaller = larger.join(least, "u")
         edges = smaller.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(smaller.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         edges = cut(edges)
+        drop(larger, least)
     roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(roots)
+    found = cut(edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(roots))
+    drop(edges)
+    return found
 
 
 def _are_stars(edges: DataFrame) -> bool:
@@ -40,8 +46,7 @@ def _are_stars(edges: DataFrame) -> bool:
 
 
 def merged(groups: DataFrame, links: DataFrame) -> DataFrame:
-    """`groups` (node, component) after some more links (u, v); without any, as they are."""
-    links = cut(links)
+    """`groups` (node, component) after some more links (u, v), which a cut has written; without any, as they are."""
     if not links.limit(1).count():
         return groups
     tree = groups.where("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))

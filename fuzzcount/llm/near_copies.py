@@ -5,14 +5,14 @@ A document's set holds its distinct word shingles.  Table keys combine one of `h
 2 * halves * PER_HALF minhash functions; the number of halves follows from the similarity and `MISS`,
 the chance that a pair just at the similarity meets in no table.
 
-Documents with equal sets are one node.  In each bucket every node is first checked against its hub, the
-least node.  Only where a hub's nodes are still in several components do more pairs matter.  They are
-compared with a centre, the shingles of most of them: a linked pair then either rests on what both share
-with the centre, which sizes and distances bound, or has shingles in common outside it.  Nodes are checked
-against the one nearest the centre and against the least node with a shingle in common, and pair by pair
-only where even then several components are left.  Pairs inside a component
-need no check, so no link between candidates is lost and a large group is not expanded into all pairs.
-Sets are compared whole, by 64-bit hashes of their shingles.
+Documents with equal sets are one node.  In each bucket every node is checked against its hub, the least
+node.  Nodes of buckets that still hold several components are searched for the rest of their links without
+forming the pairs of a bucket: linked sets share a shingle among the first few of each, the rarest first,
+and what is left of both sets from there on bounds what they share.  A node whose first shingles nobody
+else has, or whose bound no node of another component can meet, is out before any pair is formed.  Where
+many pairs pass even so, a group's nodes are checked against its smallest node first and the components
+are joined; then all pairs that pass and are still apart are checked.  Every linked pair of such nodes is
+found, so no link between candidates is lost.
 
 Edge cases: a null text, or one without words, has an empty set and is linked with nothing; a text with
 fewer words than a shingle is one shingle; rows that share an id are one document; a row with a null id
@@ -28,15 +28,18 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from fuzzcount.llm.components import components, merged
-from fuzzcount.sources.tables import cut, tidy
+from fuzzcount.sources.tables import cut, drop
 
 PER_HALF = 2
-CROWD = 9
 MISS = 2e-4
+#: With more pairs for each row, groups are joined at their smallest nodes before pairs are formed.
+MANY = 32
+#: So many pairs are always formed.
+FEW = 1 << 20
 BLOCK = 1 << 15
 WORDS_CACHED = 100_000
 _U = np.uint64
@@ -79,8 +82,8 @@ class Shingler:
         return np.unique(out)
 
 
-class Tables:
-    """Bucket keys of a set."""
+class Halves:
+    """The codes of the left and right halves of a set's table keys."""
 
     def __init__(self, halves: int, seed: int = 11):
         n = 2 * halves * PER_HALF
@@ -88,9 +91,8 @@ class Tables:
         self.halves = halves
         self.factors = rng.integers(0, 1 << 63, n, np.uint64) * _U(2) + _U(1)
         self.shifts = rng.integers(0, 1 << 63, n, np.uint64)
-        self.numbers = mix(np.arange(1, halves * halves + 1, dtype=np.uint64)).reshape(halves, halves)
 
-    def keys(self, found: np.ndarray) -> np.ndarray:
+    def of(self, found: np.ndarray) -> np.ndarray:
         least = np.full(len(self.factors), np.iinfo(np.uint64).max, np.uint64)
         for at in range(0, len(found), BLOCK):
             part = found[at : at + BLOCK]
@@ -100,7 +102,7 @@ class Tables:
         codes = np.full((2, self.halves), 3, np.uint64)
         for i in range(PER_HALF):
             codes = mix(codes * _U(0x9E3779B97F4A7C15) + halves[:, :, i])
-        return mix(codes[0][:, None] * _U(0x9E3779B97F4A7C15) + codes[1][None, :] + self.numbers).ravel()
+        return codes.ravel()
 
 
 def sliced(batch: pa.RecordBatch, rows: int = 256) -> Iterator[pa.RecordBatch]:
@@ -112,22 +114,28 @@ def _lowered(column: pa.Array) -> list[bytes]:
 
 
 def described(docs: DataFrame, size: int, halves: int) -> DataFrame:
-    """doc_id, n_shingles, set_key (16 bytes, null for an empty set) and the bucket keys."""
+    """doc_id, n_shingles, set_key (16 bytes, null for an empty set) and `codes`, the halves of its table keys."""
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, tables = Shingler(size), Tables(halves)
+        shingler, tables = Shingler(size), Halves(halves)
         for batch in (part for whole in batches for part in sliced(whole)):
-            counts, names, keys = [], [], []
+            counts, names, codes = [], [], []
             for text in _lowered(batch.column(1)):
                 found = shingler.of(text)
                 counts.append(len(found))
                 names.append(xxhash.xxh3_128_digest(found.tobytes()) if len(found) else None)
-                keys.append(tables.keys(found).view(np.int64) if len(found) else np.empty(0, np.int64))
-            ends = np.cumsum([0, *map(len, keys)], dtype=np.int32)
-            listed = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(keys) if keys else np.empty(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(names, pa.binary()), listed], names=["doc_id", "n_shingles", "set_key", "keys"])
+                codes.append(tables.of(found).view(np.int64) if len(found) else np.empty(0, np.int64))
+            ends = np.cumsum([0, *map(len, codes)], dtype=np.int32)
+            listed = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(codes) if codes else np.empty(0, np.int64)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(names, pa.binary()), listed], names=["doc_id", "n_shingles", "set_key", "codes"])
 
-    return docs.mapInArrow(describe, "doc_id bigint, n_shingles bigint, set_key binary, keys array<bigint>")
+    return docs.mapInArrow(describe, "doc_id bigint, n_shingles bigint, set_key binary, codes array<bigint>")
+
+
+def table_keys(nodes: DataFrame, halves: int) -> DataFrame:
+    """(id, n, key) of each table: every left half combined with every right one."""
+    left = nodes.select("id", "n", F.posexplode(F.slice("codes", 1, halves)).alias("i", "l"), F.slice("codes", halves + 1, halves).alias("right"))
+    return left.select("id", "n", "i", "l", F.posexplode("right").alias("j", "r")).select("id", "n", F.xxhash64("i", "l", "j", "r").alias("key"))
 
 
 def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
@@ -144,21 +152,16 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.mapInArrow(sets, "id bigint, shingles array<bigint>")
 
 
-def with_sets(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """`pairs` (a, b, ...) with the sets of both as `left` and `right`."""
-    left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("left"))
-    right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("right"))
-    return pairs.join(left, "a").join(right, "b")
-
+def links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(u, v) of the `pairs` (a, b) whose whole sets are similar enough."""
+    both = pairs.join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("right")), "b")
+    both = both.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("left")), "a")
+    sized = both.select("a", "b", (F.size("left") + F.size("right")).alias("total"), F.size(F.array_intersect("left", "right")).alias("shared"))
+    return sized.where((100 + percent) * F.col("shared") >= percent * F.col("total")).select(F.col("a").alias("u"), F.col("b").alias("v"))
 
-def checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """`pairs` (a, b) with the sizes `n` and `m` of their whole sets, what they share, and whether they are linked."""
-    sized = with_sets(pairs, sets).select("a", "b", F.size("left").alias("n"), F.size("right").alias("m"), F.size(F.array_intersect("left", "right")).alias("shared"))
-    return sized.withColumn("linked", 100 * F.col("shared") >= percent * (F.col("n") + F.col("m") - F.col("shared")))
 
-
-def links_of(found: DataFrame) -> DataFrame:
-    return found.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
+def similar_sizes(n: str, m: str, percent: int) -> Column:
+    return 100 * F.least(n, m) >= percent * F.greatest(n, m)
 
 
 def placed(rows: DataFrame, groups: DataFrame) -> DataFrame:
@@ -166,51 +169,91 @@ def placed(rows: DataFrame, groups: DataFrame) -> DataFrame:
     return rows.join(groups.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("component", F.coalesce("component", "id"))
 
 
-def still_open(rows: DataFrame, *by: str) -> DataFrame:
+def still_open(rows: DataFrame, by: str) -> DataFrame:
     """The groups of `rows` that hold more than one component."""
-    return cut(rows.groupBy(*by).agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select(*by))
+    return rows.groupBy(by).agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select(by)
+
 
+def first_shingles(nodes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(id, n, token, rest, reach): the first shingles of each node's set, those that fewest nodes have first.
 
-def contained_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of members of one hub that could be linked by what each shares with the hub alone."""
-    inside = members.where(100 * F.col("shared") >= percent * F.col("n"))
-    inside = cut(inside.withColumn("size", F.floor(F.log("n") / -math.log(percent / 100))))
-    x, y = inside.withColumn("size", F.explode(F.array(*(F.col("size") + i for i in (-1, 0, 1))))).alias("x"), inside.alias("y")
-    both = F.col("x.n") + F.col("y.n")
-    return x.join(y, ["hub", "size"]).where(
-        (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id"))
-        & ((100 + percent) * F.least("x.shared", "y.shared") >= percent * both)
-        & (F.abs(F.col("x.distance") - F.col("y.distance")) <= 1 - percent / 100 + 1e-9)
-    ).select(F.col("y.id").alias("a"), F.col("x.id").alias("b")).distinct()
+    A linked set shares at least `percent` of this one, so it has one of the first `n - share + 1`.  `rest`
+    counts the shingles from there on, `reach` is the size of the largest set that could be linked if this
+    is the first one both have.  Shingles that one node alone has come first and match nothing.
+    """
+    tokens = nodes.join(sets, "id").select("id", F.size("shingles").alias("n"), F.explode("shingles").alias("token"), "row")
+    often = tokens.groupBy("token").agg(F.count("*").alias("nodes")).where("nodes > 1")
+    ordered = tokens.join(often, "token").groupBy("row", "id", "n").agg(F.array_sort(F.collect_list(F.struct("nodes", "token"))).alias("shared"))
+    ordered = ordered.withColumn("alone", F.col("n") - F.size("shared")).withColumn("first", F.expr(f"n - ({percent} * n + 99) div 100 + 1")).where("alone < first")
+    rows = ordered.select("id", "n", "alone", F.posexplode(F.slice("shared", F.lit(1), F.col("first") - F.col("alone"))).alias("at", "one"))
+    rows = rows.select("id", "n", F.col("one.token").alias("token"), (F.col("n") - F.col("alone") - F.col("at")).alias("rest"))
+    return rows.withColumn("reach", F.expr(f"({100 + percent} * rest - {percent} * n) div {percent}"))
 
 
-def centres_of(around: DataFrame, sets: DataFrame) -> DataFrame:
-    """(hub, centre): of a hub with many nodes the shingles of more than half of them, else the hub's own set.
+def ahead(rows: DataFrame) -> DataFrame:
+    """Per token the size `n1` and component `c1` of the smallest node, and `n2`, the smallest size in another component."""
+    each = rows.groupBy("token", "component").agg(F.min("n").alias("n"))
+    ranked = each.withColumn("rank", F.row_number().over(Window.partitionBy("token").orderBy("n", "component"))).where("rank <= 2")
+    of = lambda rank, name: F.max(F.when(F.col("rank") == rank, F.col(name)))
+    return ranked.groupBy("token").agg(of(1, "n").alias("n1"), of(1, "component").alias("c1"), of(2, "n").alias("n2"))
 
-    The bounds hold for any set; what most nodes share leaves fewer shingles outside than one node's set.
-    """
-    many = cut(around.groupBy("hub").agg(F.count("*").alias("nodes")))
-    large = many.where(F.col("nodes") >= CROWD)
-    shingles = around.join(large, "hub").select("id", "hub", "nodes").join(sets, "id").select("hub", "nodes", F.explode("shingles").alias("token"))
-    often = shingles.groupBy("hub", "nodes", "token").agg(F.count("*").alias("n")).where(2 * F.col("n") > F.col("nodes"))
-    shared = often.groupBy("hub").agg(F.collect_list("token").alias("centre"))  # less than twice a set's mean size
-    own = many.where(F.col("nodes") < CROWD).select("hub").join(sets.select(F.col("id").alias("hub"), F.col("shingles").alias("centre")), "hub")
-    return shared.unionByName(own)
+
+def within_reach(rows: DataFrame) -> DataFrame:
+    """The `rows` (id, n, token, rest, reach, component) that a node of another component could be linked with."""
+    return rows.join(ahead(rows), "token").where("reach >= if(component = c1, n2, n1)").select(*rows.columns)
+
+
+def from_smallest(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of nodes and the smallest one of a token, of another component, that the bounds allow to be linked."""
+    least = rows.groupBy("token").agg(F.min(F.struct("n", "id", "reach", "component")).alias("y"))
+    allowed = (F.col("component") != F.col("y.component")) & (F.col("y.n") <= F.col("reach")) & (F.col("n") <= F.col("y.reach")) & similar_sizes("n", "y.n", percent)
+    return rows.join(least, "token").where(allowed).select(F.greatest("id", "y.id").alias("a"), F.least("id", "y.id").alias("b")).distinct()
 
 
-def against_centres(around: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """`around` (id, hub, component) with n, shared, distance to the hub's centre, and `first`: the first shingles outside it.
+def apart(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of nodes of different components that the bounds allow to be linked, each pair once.
 
-    A pair that its shared part of a centre cannot link shares at least `need` shingles outside it, so in any
-    common order the first `outside - need + 1` of both have one in common.
+    The nodes outside a token's largest component are joined with all of its nodes, so that one large
+    component is not joined with itself.
     """
-    centres = cut(centres_of(around, sets))
-    rows = around.join(sets, "id").join(centres, "hub", "left").withColumn("centre", F.coalesce("centre", F.array().cast("array<bigint>")))
-    rows = rows.select("id", "hub", "component", F.size("shingles").alias("n"), F.size("centre").alias("m"), F.array_sort(F.array_except("shingles", "centre")).alias("outside"))
-    rows = rows.withColumn("shared", F.col("n") - F.size("outside"))
-    need = F.greatest(F.lit(1), F.ceil(percent * F.col("n") / 100).cast("int") - F.col("shared"))
-    first = F.when(F.size("outside") >= need, F.slice("outside", 1, F.size("outside") - need + 1)).otherwise(F.array().cast("array<bigint>"))
-    return rows.select("id", "hub", "component", "n", "shared", (1 - F.col("shared") / (F.col("n") + F.col("m") - F.col("shared"))).alias("distance"), first.alias("first"))
+    counts = rows.groupBy("token", "component").agg(F.count("*").alias("nodes"))
+    largest = counts.groupBy("token").agg(F.max(F.struct("nodes", "component"))["component"].alias("largest"))
+    marked = rows.join(largest, "token").withColumn("outside", F.col("component") != F.col("largest"))
+    x, y = marked.where("outside").alias("x"), marked.alias("y")
+    allowed = (F.col("x.component") != F.col("y.component")) & (~F.col("y.outside") | (F.col("x.id") < F.col("y.id"))) & (F.col("y.n") <= F.col("x.reach")) & (F.col("x.n") <= F.col("y.reach"))
+    both = x.join(y, "token").where(allowed & similar_sizes("x.n", "y.n", percent))
+    return both.select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b")).distinct()
+
+
+def crossing(rows: DataFrame) -> tuple[int, int]:
+    """How many `rows` there are, and how many pairs `apart` looks at."""
+    each = rows.groupBy("token", "component").agg(F.count("*").alias("nodes"))
+    tokens = each.groupBy("token").agg(F.sum("nodes").alias("n"), F.max("nodes").alias("most"))
+    found = tokens.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("rows"), F.coalesce(F.sum((F.col("n") - F.col("most")) * F.col("n")), F.lit(0)).alias("pairs")).first()
+    return found["rows"], found["pairs"]
+
+
+def closed(rows: DataFrame, groups: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """`groups` (node, component) after all links among the nodes of `rows` (id, n, token, rest, reach)."""
+    while True:
+        live = cut(within_reach(within_reach(placed(rows, groups))))
+        n, pairs = crossing(live)
+        if not pairs:
+            drop(live)
+            return groups
+        few = pairs <= FEW + MANY * n
+        found = cut(links(apart(live, percent) if few else from_smallest(live, percent), sets, percent))
+        new = merged(groups, found)
+        if few:
+            drop(live, found)
+            return new
+        if new is groups:  # the smallest nodes join nothing more
+            last = cut(links(apart(live, percent), sets, percent))
+            groups = merged(groups, last)
+            drop(live, found, last)
+            return groups
+        drop(live, found, groups)
+        groups = new
 
 
 def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -218,47 +261,22 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     halves = halves_for(percent / 100)
     docs = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     rows = cut(described(docs, size, halves))
-    nodes = cut(rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.min_by("keys", "doc_id").alias("keys")))
-    members = nodes.select("id", F.explode("keys").alias("key"))
-    buckets = cut(members.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last").select("key", "hub"))
-    pairs = cut(members.join(buckets, "key").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct())
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size))
-    tidy(docs.sparkSession)
-    first = cut(checked(pairs, sets, percent))
-    groups = cut(components(links_of(first)))
-
-    tidy(docs.sparkSession)
-
-    # Hubs whose members are still in several components.
-    hubs = first.select(F.col("b").alias("id"), F.col("b").alias("hub")).distinct()
-    around = cut(placed(first.select(F.col("a").alias("id"), F.col("b").alias("hub")).unionByName(hubs), groups))
-    around = cut(around.join(still_open(around, "hub"), "hub"))
-    around = cut(against_centres(around, sets, percent))
-    tidy(docs.sparkSession)
-    sharing = around.select("hub", "id", "n", "component", F.explode("first").alias("token"))
-    sharing = cut(sharing.join(still_open(sharing, "hub", "token"), ["hub", "token"]).drop("component"))
-    least = cut(sharing.groupBy("hub", "token").agg(F.min("id").alias("b")))
-    stars = sharing.join(least, ["hub", "token"]).select(F.col("id").alias("a"), "b")
-    middle = cut(around.groupBy("hub").agg(F.min(F.struct("distance", "id"))["id"].alias("b")))
-    stars = stars.unionByName(around.join(middle, "hub").select(F.col("id").alias("a"), "b"))
-    stars = stars.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    again = cut(stars.join(pairs, ["a", "b"], "left_anti"))
-    groups = cut(merged(groups, links_of(checked(again, sets, percent))))
-    tidy(docs.sparkSession)
-
-    # What could still be linked and is still apart is compared pair by pair.
-    rest = cut(placed(sharing, groups))
-    rest = cut(rest.join(still_open(rest, "hub", "token"), ["hub", "token"]))
-    x, y = rest.alias("x"), rest.alias("y")
-    apart = (F.col("x.component") != F.col("y.component")) & (F.col("x.id") < F.col("y.id")) & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n"))
-    last = x.join(y, ["hub", "token"]).where(apart).select(F.col("y.id").alias("a"), F.col("x.id").alias("b"))
-    inside = cut(placed(around.drop("component", "first"), groups))
-    inside = inside.join(still_open(inside, "hub"), "hub")
-    last = last.unionByName(contained_pairs(inside, percent)).distinct()
-    last = last.join(pairs, ["a", "b"], "left_anti").join(again, ["a", "b"], "left_anti")
-    groups = merged(groups, links_of(checked(cut(last), sets, percent)))
-    labelled = cut(nodes.select("set_key", "id").join(groups, nodes["id"] == groups["node"], "left").select("set_key", F.coalesce("component", "id").alias("component")))
+    nodes = cut(rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.max("n_shingles").alias("n"), F.min_by("codes", "doc_id").alias("codes")))
+    keys = table_keys(nodes, halves)
+    buckets = cut(keys.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last").select("key", "hub"))
+    members = cut(keys.join(buckets, "key"))
+    stars = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b"), "n").distinct()
+    stars = stars.join(nodes.select(F.col("id").alias("b"), F.col("n").alias("m")), "b").where(similar_sizes("n", "m", percent)).select("a", "b").distinct()
+    needed = members.select(F.col("id").alias("doc_id")).distinct()
+    sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size).withColumn("row", F.monotonically_increasing_id()))
+    found = cut(links(stars, sets, percent))
+    groups = components(found)
+    here = placed(members.select("id", "key"), groups)
+    first = cut(first_shingles(here.join(still_open(here, "key"), "key").select("id").distinct(), sets, percent))
+    drop(buckets, members, found)
+    groups = closed(first, groups, sets, percent)
+    drop(first, sets)
+    labelled = nodes.join(groups, nodes["id"] == groups["node"], "left").select("set_key", F.coalesce("component", "id").alias("component"))
     return rows.select("doc_id", "n_shingles", "set_key").join(labelled, "set_key", "left").select(
         "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce(F.col("doc_id") == F.coalesce("component", "doc_id"), F.lit(False)).alias("kept")
     )
