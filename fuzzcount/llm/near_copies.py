@@ -8,10 +8,11 @@ the chance that a pair just at the similarity meets in no table.
 Documents with equal sets are one node.  In each bucket every node is checked against its hub, the least
 node.  Nodes of buckets that still hold several components are searched for the rest of their links without
 forming the pairs of a bucket: linked sets share a shingle among the first few of each, the rarest first,
-and what is left of both sets from there on bounds what they share.  A node whose first shingles nobody
+and what is left of both sets from there on bounds what they share, as does a sketch of the parities of
+their shingles: it differs in no more bits than the sets do in shingles.  A node whose first shingles nobody
 else has, or whose bound no node of another component can meet, is out before any pair is formed.  Where
-many pairs pass even so, a group's nodes are checked against its smallest node first and the components
-are joined; then all pairs that pass and are still apart are checked.  Every linked pair of such nodes is
+many pairs pass even so, a group's nodes are checked against its smallest node and a drawn one, in rounds,
+and the components are joined; then all pairs that pass and are still apart are checked.  Every linked pair of such nodes is
 found, so no link between candidates is lost.
 
 Edge cases: a null text, or one without words, has an empty set and is linked with nothing; a text with
@@ -36,11 +37,13 @@ from fuzzcount.sources.tables import cut, drop
 
 PER_HALF = 2
 MISS = 2e-4
-#: With more pairs for each row, groups are joined at their smallest nodes before pairs are formed.
-MANY = 32
-#: So many pairs are always formed.
-FEW = 1 << 20
+#: With more pairs for each row, groups are joined at a few of their nodes before all pairs are looked at.
+MANY = 64
+#: So many pairs are always looked at.
+FEW = 1 << 22
 BLOCK = 1 << 15
+#: 64-bit words of a sketch; it tells sets of up to about as many shingles as it has bits apart well, larger ones less.
+SKETCH = 16
 WORDS_CACHED = 100_000
 _U = np.uint64
 
@@ -105,6 +108,12 @@ class Halves:
         return codes.ravel()
 
 
+def sketch_of(found: np.ndarray) -> np.ndarray:
+    """Of each bit whether an odd number of hashes fall on it."""
+    odd = np.bincount((found >> _U(48)).astype(np.int64) % (64 * SKETCH), minlength=64 * SKETCH) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
 def sliced(batch: pa.RecordBatch, rows: int = 256) -> Iterator[pa.RecordBatch]:
     return (batch.slice(at, rows) for at in range(0, batch.num_rows, rows))
 
@@ -113,29 +122,35 @@ def _lowered(column: pa.Array) -> list[bytes]:
     return pc.ascii_lower(column).cast(pa.binary()).to_pylist()
 
 
+def _lists(rows: list[np.ndarray]) -> pa.ListArray:
+    ends = np.cumsum([0, *map(len, rows)], dtype=np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(rows) if rows else np.empty(0, np.int64)))
+
+
 def described(docs: DataFrame, size: int, halves: int) -> DataFrame:
-    """doc_id, n_shingles, set_key (16 bytes, null for an empty set) and `codes`, the halves of its table keys."""
+    """doc_id, n_shingles, set_key (16 bytes, null for an empty set), `codes`, the halves of its table keys, and `sketch`."""
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, tables = Shingler(size), Halves(halves)
         for batch in (part for whole in batches for part in sliced(whole)):
-            counts, names, codes = [], [], []
+            counts, names, codes, sketches = [], [], [], []
             for text in _lowered(batch.column(1)):
                 found = shingler.of(text)
                 counts.append(len(found))
                 names.append(xxhash.xxh3_128_digest(found.tobytes()) if len(found) else None)
                 codes.append(tables.of(found).view(np.int64) if len(found) else np.empty(0, np.int64))
-            ends = np.cumsum([0, *map(len, codes)], dtype=np.int32)
-            listed = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(codes) if codes else np.empty(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(names, pa.binary()), listed], names=["doc_id", "n_shingles", "set_key", "codes"])
+                sketches.append(sketch_of(found))
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array(counts, pa.int64()), pa.array(names, pa.binary()), _lists(codes), _lists(sketches)], names=["doc_id", "n_shingles", "set_key", "codes", "sketch"]
+            )
 
-    return docs.mapInArrow(describe, "doc_id bigint, n_shingles bigint, set_key binary, codes array<bigint>")
+    return docs.mapInArrow(describe, "doc_id bigint, n_shingles bigint, set_key binary, codes array<bigint>, sketch array<bigint>")
 
 
 def table_keys(nodes: DataFrame, halves: int) -> DataFrame:
-    """(id, n, key) of each table: every left half combined with every right one."""
-    left = nodes.select("id", "n", F.posexplode(F.slice("codes", 1, halves)).alias("i", "l"), F.slice("codes", halves + 1, halves).alias("right"))
-    return left.select("id", "n", "i", "l", F.posexplode("right").alias("j", "r")).select("id", "n", F.xxhash64("i", "l", "j", "r").alias("key"))
+    """(id, key) of each table: every left half combined with every right one."""
+    left = nodes.select("id", F.posexplode(F.slice("codes", 1, halves)).alias("i", "l"), F.slice("codes", halves + 1, halves).alias("right"))
+    return left.select("id", "i", "l", F.posexplode("right").alias("j", "r")).select("id", F.xxhash64("i", "l", "j", "r").alias("key"))
 
 
 def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
@@ -145,9 +160,7 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
         shingler = Shingler(size)
         for whole in batches:
             for part in sliced(whole):
-                found = [shingler.of(text).view(np.int64) for text in _lowered(part.column(1))]
-                ends = np.cumsum([0, *map(len, found)], dtype=np.int32)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(found)))], names=["id", "shingles"])
+                yield pa.RecordBatch.from_arrays([part.column(0), _lists([shingler.of(text).view(np.int64) for text in _lowered(part.column(1))])], names=["id", "shingles"])
 
     return docs.mapInArrow(sets, "id bigint, shingles array<bigint>")
 
@@ -160,8 +173,11 @@ def links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return sized.where((100 + percent) * F.col("shared") >= percent * F.col("total")).select(F.col("a").alias("u"), F.col("b").alias("v"))
 
 
-def similar_sizes(n: str, m: str, percent: int) -> Column:
-    return 100 * F.least(n, m) >= percent * F.greatest(n, m)
+def could_be_linked(x: str, y: str, percent: int) -> Column:
+    """Whether two rows (n, sketch) may be similar enough, by the sizes of their sets and the bits in which their sketches differ."""
+    n, m = F.col(f"{x}.n"), F.col(f"{y}.n")
+    differ = sum((F.bit_count(F.get(F.col(f"{x}.sketch"), i).bitwiseXOR(F.get(F.col(f"{y}.sketch"), i))) for i in range(SKETCH)), F.lit(0))
+    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & ((100 + percent) * (n + m - differ) >= 2 * percent * (n + m))
 
 
 def placed(rows: DataFrame, groups: DataFrame) -> DataFrame:
@@ -203,11 +219,17 @@ def within_reach(rows: DataFrame) -> DataFrame:
     return rows.join(ahead(rows), "token").where("reach >= if(component = c1, n2, n1)").select(*rows.columns)
 
 
-def from_smallest(rows: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of nodes and the smallest one of a token, of another component, that the bounds allow to be linked."""
-    least = rows.groupBy("token").agg(F.min(F.struct("n", "id", "reach", "component")).alias("y"))
-    allowed = (F.col("component") != F.col("y.component")) & (F.col("y.n") <= F.col("reach")) & (F.col("n") <= F.col("y.reach")) & similar_sizes("n", "y.n", percent)
-    return rows.join(least, "token").where(allowed).select(F.greatest("id", "y.id").alias("a"), F.least("id", "y.id").alias("b")).distinct()
+def from_few(rows: DataFrame, percent: int, turn: int) -> DataFrame:
+    """(a, b) of nodes and two of each token, its smallest and one drawn, of another component, that the bounds allow to be linked."""
+    drawn, node = F.xxhash64(F.lit(turn), "token", "id"), F.struct("id", "n", "reach", "component", "sketch")
+    two = rows.groupBy("token").agg(F.min_by(node, F.struct("n", drawn)).alias("s"), F.min_by(node, drawn).alias("d"))
+    y = two.select("token", F.explode(F.array("s", "d")).alias("y")).select("token", "y.*").alias("y")
+    both = rows.alias("x").join(y, "token").where(_allowed(percent))
+    return both.select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b")).distinct()
+
+
+def _allowed(percent: int) -> Column:
+    return (F.col("x.component") != F.col("y.component")) & (F.col("y.n") <= F.col("x.reach")) & (F.col("x.n") <= F.col("y.reach")) & could_be_linked("x", "y", percent)
 
 
 def apart(rows: DataFrame, percent: int) -> DataFrame:
@@ -220,8 +242,7 @@ def apart(rows: DataFrame, percent: int) -> DataFrame:
     largest = counts.groupBy("token").agg(F.max(F.struct("nodes", "component"))["component"].alias("largest"))
     marked = rows.join(largest, "token").withColumn("outside", F.col("component") != F.col("largest"))
     x, y = marked.where("outside").alias("x"), marked.alias("y")
-    allowed = (F.col("x.component") != F.col("y.component")) & (~F.col("y.outside") | (F.col("x.id") < F.col("y.id"))) & (F.col("y.n") <= F.col("x.reach")) & (F.col("x.n") <= F.col("y.reach"))
-    both = x.join(y, "token").where(allowed & similar_sizes("x.n", "y.n", percent))
+    both = x.join(y, "token").where(_allowed(percent) & (~F.col("y.outside") | (F.col("x.id") < F.col("y.id"))))
     return both.select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b")).distinct()
 
 
@@ -233,26 +254,26 @@ def crossing(rows: DataFrame) -> tuple[int, int]:
     return found["rows"], found["pairs"]
 
 
-def closed(rows: DataFrame, groups: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def closed(rows: DataFrame, groups: DataFrame, nodes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """`groups` (node, component) after all links among the nodes of `rows` (id, n, token, rest, reach)."""
+    turn, last = 0, False
     while True:
-        live = cut(within_reach(within_reach(placed(rows, groups))))
+        near = cut(within_reach(placed(rows, groups)))  # cut here, so that a token's rows can be split in either join
+        live = cut(within_reach(near).join(nodes.select("id", "sketch"), "id"))
+        drop(near)
         n, pairs = crossing(live)
         if not pairs:
             drop(live)
             return groups
-        few = pairs <= FEW + MANY * n
-        found = cut(links(apart(live, percent) if few else from_smallest(live, percent), sets, percent))
+        last, turn = last or pairs <= FEW + MANY * n, turn + 1
+        found = cut(links(apart(live, percent) if last else from_few(live, percent, turn), sets, percent))
         new = merged(groups, found)
-        if few:
-            drop(live, found)
+        drop(live, found)
+        if last:
             return new
-        if new is groups:  # the smallest nodes join nothing more
-            last = cut(links(apart(live, percent), sets, percent))
-            groups = merged(groups, last)
-            drop(live, found, last)
-            return groups
-        drop(live, found, groups)
+        last = new is groups  # the few join nothing more
+        if not last:
+            drop(groups)
         groups = new
 
 
@@ -261,12 +282,12 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     halves = halves_for(percent / 100)
     docs = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     rows = cut(described(docs, size, halves))
-    nodes = cut(rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.max("n_shingles").alias("n"), F.min_by("codes", "doc_id").alias("codes")))
+    nodes = cut(rows.where("doc_id IS NOT NULL AND set_key IS NOT NULL").groupBy("set_key").agg(F.min("doc_id").alias("id"), F.max("n_shingles").alias("n"), F.min_by(F.struct("codes", "sketch"), "doc_id").alias("of")).select("set_key", "id", "n", "of.*"))
     keys = table_keys(nodes, halves)
     buckets = cut(keys.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last").select("key", "hub"))
     members = cut(keys.join(buckets, "key"))
-    stars = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b"), "n").distinct()
-    stars = stars.join(nodes.select(F.col("id").alias("b"), F.col("n").alias("m")), "b").where(similar_sizes("n", "m", percent)).select("a", "b").distinct()
+    stars = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
+    stars = stars.join(nodes.alias("x"), F.col("a") == F.col("x.id")).join(nodes.alias("y"), F.col("b") == F.col("y.id")).where(could_be_linked("x", "y", percent)).select("a", "b").distinct()
     needed = members.select(F.col("id").alias("doc_id")).distinct()
     sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size).withColumn("row", F.monotonically_increasing_id()))
     found = cut(links(stars, sets, percent))
@@ -274,7 +295,7 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     here = placed(members.select("id", "key"), groups)
     first = cut(first_shingles(here.join(still_open(here, "key"), "key").select("id").distinct(), sets, percent))
     drop(buckets, members, found)
-    groups = closed(first, groups, sets, percent)
+    groups = closed(first, groups, nodes, sets, percent)
     drop(first, sets)
     labelled = nodes.join(groups, nodes["id"] == groups["node"], "left").select("set_key", F.coalesce("component", "id").alias("component"))
     return rows.select("doc_id", "n_shingles", "set_key").join(labelled, "set_key", "left").select(

@@ -1,5 +1,7 @@
 import random
 
+import pytest
+
 from fuzzcount.llm.near_copies import drop_near_copies, near_groups
 
 
@@ -49,3 +51,38 @@ def test_odd_rows(odd_docs, no_docs):
     assert near_groups(no_docs, 3, 85).count() == 0
     kept = drop_near_copies(odd_docs)
     assert kept.columns == odd_docs.columns and sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 1, 2, 3, 4, 6, 8, 9]
+
+
+def families(rng, groups):
+    """Texts that share a long passage, walk away from it step by step, and mix a few common lines."""
+    texts, lines = {}, [" ".join(f"line{i}w{j}" for j in range(12)) for i in range(4)]
+    for g in range(groups):
+        base = [f"g{g}w{i}" for i in range(120)]
+        walk = list(base)
+        for n in range(40):
+            own = [f"g{g}n{n}o{i}" for i in range(rng.choice([2, 6, 12, 18, 30]))]
+            texts[len(texts)] = " ".join(base + own)
+            walk[rng.randrange(120)] = f"g{g}s{n}"
+            texts[len(texts)] = " ".join([*walk, *rng.choice(lines).split(" ")])
+    return texts
+
+
+@pytest.mark.parametrize(("few", "many"), [(1 << 20, 32), (0, 0)])
+def test_large_groups_equal_brute_force(spark, monkeypatch, few, many):
+    """With few = many = 0 groups are joined at a few of their nodes until that finds nothing more."""
+    from fuzzcount.llm import near_copies
+
+    monkeypatch.setattr(near_copies, "FEW", few)
+    monkeypatch.setattr(near_copies, "MANY", many)
+    texts = families(random.Random(4), 3)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")
+    for size, percent in ((3, 85), (5, 80)):
+        assert {r["doc_id"]: r["component_id"] for r in near_groups(docs, size, percent).collect()} == brute(texts, size, percent)
+
+
+def test_given_documents_equal_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    az = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    texts = {r["doc_id"]: (r["text"] or "").translate(az) for r in docs.collect()}
+    found = {r["doc_id"]: r["component_id"] for r in near_groups(docs, 3, 85).collect()}
+    assert found == brute(texts, 3, 85)
