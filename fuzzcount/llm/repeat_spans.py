@@ -7,8 +7,12 @@ throughout and needs no comparison.  Distinct stretches that share a minimiser a
 bin on a Burrows-Wheeler transform: a breadth-first backward extension visits the intervals of common
 prefixes by increasing length and marks where a longer one ends; it stops at `LENGTH`, and what it has not
 marked by then are neighbours in suffix order that share at least `LENGTH` bytes.
-A minimiser with more than `BIN_BYTES` of distinct stretches is not put into one task: the strings of its
-stretches are counted by a 128-bit hash instead, which gives the same marks.
+A bin with more than `BIN_BYTES` of distinct stretches is not put into one task: its stretches are split
+further, where the next least hash inside a string changes, and equal strings meet in a smaller bin.
+Bins that stay as large after `LEVELS` such splits (hundreds of strings that are equal but for a few bytes)
+are counted by a 128-bit hash of each string instead, which gives the same marks.
+
+Stretches are taken as equal if their minimisers, lengths and 128-bit hashes are.
 
 Texts that are equal as wholes are represented by one of them; if they are long enough all their bytes go.
 Spans are judged on the input; matches never cross documents; overlaps and the same document count.
@@ -21,6 +25,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -28,22 +33,22 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from fuzzcount.sources.tables import cut
+from fuzzcount.sources.tables import cut, drop
 
 LENGTH, ANCHOR = 400, 64
-BIN_BYTES, BATCH, TASK_BYTES = 4 << 20, 1 << 20, 8 << 20
+BIN_BYTES, BATCH, TASK_BYTES, LEVELS = 1 << 18, 1 << 20, 8 << 20, 4
 PIECE = 1 << 22
 _U = np.uint64
-_B = _U(0x9E3779B97F4A7C15)
+_B, _B2 = _U(0x9E3779B97F4A7C15), _U(0xC2B2AE3D27D4EB4F)
 
 
-def window_hashes(data: np.ndarray, width: int) -> np.ndarray:
+def window_hashes(data: np.ndarray, width: int, base: np.uint64 = _B) -> np.ndarray:
     """A 64-bit polynomial hash of each substring of `width` bytes, by doubling."""
     n = len(data)
     if n < width:
         return np.empty(0, _U)
     table = (np.arange(1, 257, dtype=_U) * _U(0xBF58476D1CE4E5B9)) ^ _U(0x94D049BB133111EB)
-    level, size, factor = table[data], 1, int(_B)
+    level, size, factor = table[data], 1, int(base)
     result, covered = None, 0
     while True:
         if width & size:
@@ -174,7 +179,7 @@ def repeated_starts(texts: list[bytes], length: int) -> list[list[tuple[int, int
 
 
 KEY = "struct<id:bigint,text:bigint>"
-STRETCHES = f"key {KEY}, minimisers array<bigint>, hashes array<bigint>, starts array<int>, lengths array<int>, weights array<int>"
+STRETCHES = f"key {KEY}, minimisers array<bigint>, hashes array<binary>, starts array<int>, lengths array<int>, weights array<int>"
 
 
 def _stretch_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,13 +191,24 @@ def _stretch_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
                 view = text.as_buffer()
                 if view is not None and len(view) >= LENGTH:
                     data = memoryview(view)
-                    found += [(m, xxhash.xxh3_64_intdigest(data[s : s + n]), s, n, 1 + twice) for m, s, n, twice in stretches(np.frombuffer(view, np.uint8))]
+                    found += [(m, xxhash.xxh3_128_digest(data[s : s + n]), s, n, 1 + twice) for m, s, n, twice in stretches(np.frombuffer(view, np.uint8))]
                 ends.append(len(found))
             offsets = pa.array(ends, pa.int32())
             columns = list(zip(*found, strict=True)) or [()] * 5
-            longs = [pa.array(np.array(c, np.uint64).view(np.int64)) for c in columns[:2]]
-            ints = [pa.array(np.array(c, np.int32)) for c in columns[2:]]
-            yield pa.RecordBatch.from_arrays([part.column(0), *(pa.ListArray.from_arrays(offsets, c) for c in longs + ints)], names=["key", "minimisers", "hashes", "starts", "lengths", "weights"])
+            arrays = [pa.array(np.array(columns[0], np.uint64).view(np.int64)), pa.array(columns[1], pa.binary()), *(pa.array(np.array(c, np.int32)) for c in columns[2:])]
+            yield pa.RecordBatch.from_arrays([part.column(0), *(pa.ListArray.from_arrays(offsets, c) for c in arrays)], names=["key", "minimisers", "hashes", "starts", "lengths", "weights"])
+
+
+#: Stretches or parts of them: `bin` says what they are compared with, `at` where they begin in the stretch.
+BODIES = "bin bigint, minimiser bigint, hash binary, at int, bytes binary"
+MARKS = "minimiser bigint, hash binary, first int, end int"
+_BODY = pa.schema([("bin", pa.int64()), ("minimiser", pa.int64()), ("hash", pa.binary()), ("at", pa.int32()), ("bytes", pa.binary())])
+_MARK = pa.schema([("minimiser", pa.int64()), ("hash", pa.binary()), ("first", pa.int32()), ("end", pa.int32())])
+
+
+def _table(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
+    columns = list(zip(*rows, strict=True)) or [()] * len(schema)
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, schema.types, strict=True)], schema=schema)
 
 
 def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -202,43 +218,71 @@ def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             part, rows = batch.slice(at, 200), []
             for text, wanted in zip(part.column(0).cast(pa.binary()), part.column(1), strict=True):
                 data = text.as_py()
-                rows += [(w["minimiser"], w["hash"], data[w["start"] : w["start"] + w["length"]]) for w in wanted.as_py()]
-            columns = list(zip(*rows, strict=True)) or [()] * 3
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["minimiser", "hash", "bytes"])
-
-
-MARKS = "minimiser bigint, hash bigint, first int, end int"
+                rows += [(w["minimiser"], w["minimiser"], w["hash"], 0, data[w["start"] : w["start"] + w["length"]]) for w in wanted.as_py()]
+            yield _table(rows, _BODY)
+
+
+def narrower(data: np.ndarray, level: int) -> Iterator[tuple[int, int, int]]:
+    """(hash, start, length) of maximal parts whose strings of `LENGTH` bytes agree in their `level` + 1 least distinct hashes."""
+    hashes = window_hashes(data, ANCHOR)
+    width = LENGTH - ANCHOR + 1
+    if level == 1:  # all strings of a stretch share the least one
+        left = np.where(hashes == sliding_minimum(hashes, width)[0], np.iinfo(_U).max, hashes)
+        next_least = sliding_minimum(left, width)
+    else:
+        least = (np.unique(hashes[i : i + width])[: level + 1] for i in range(len(hashes) - width + 1))  # fewer in periodic strings
+        next_least = np.array([(x * _B ** np.arange(1, len(x) + 1, dtype=_U)).sum() for x in least], _U)
+    starts = np.flatnonzero(np.r_[True, next_least[1:] != next_least[:-1]])
+    ends = np.r_[starts[1:], len(next_least)]
+    for start, end, value in zip(starts.tolist(), ends.tolist(), next_least[starts].view(np.int64).tolist(), strict=True):
+        yield value, start, end - start + LENGTH - 1
+
+
+def _narrowed(level: int):
+    """Rows of bodies to rows of their parts in smaller bins."""
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 100):
+                rows = []
+                for _, minimiser, name, offset, data in zip(*(batch.slice(at, 100).column(i).to_pylist() for i in range(5)), strict=True):
+                    for value, start, length in narrower(np.frombuffer(data, np.uint8), level):
+                        key = xxhash.xxh3_64_intdigest(value.to_bytes(8, "little", signed=True) + minimiser.to_bytes(8, "little", signed=True), level)
+                        rows.append((key - (1 << 63), minimiser, name, offset + start, data[start : start + length]))
+                yield _table(rows, _BODY)
+
+    return split
 
 
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of (minimiser, hash, bytes), sorted by minimiser, to the repeated starts of each stretch."""
+    """Rows of bodies, sorted by bin, to the repeated starts of each stretch."""
 
     def marks(rows: list[tuple]) -> pa.RecordBatch:
-        found = repeated_starts([r[2] for r in rows], LENGTH)
-        out = [(r[0], r[1], a, b) for r, spans in zip(rows, found, strict=True) for a, b in spans]
-        columns = list(zip(*out, strict=True)) or [()] * 4
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int32()), strict=True)], names=["minimiser", "hash", "first", "end"])
+        found = repeated_starts([r[4] for r in rows], LENGTH)
+        return _table([(r[1], r[2], r[3] + a, r[3] + b) for r, spans in zip(rows, found, strict=True) for a, b in spans], _MARK)
 
     held: list[tuple] = []
     size = 0
     for batch in batches:
-        for row in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+        for row in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
             if size >= BATCH and row[0] != held[-1][0]:
                 yield marks(held)
                 held, size = [], 0
             held.append(row)
-            size += len(row[2])
+            size += len(row[4])
     if held:
         yield marks(held)
 
 
 def _strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of (minimiser, hash, bytes) to the hash of each string of `LENGTH` bytes in them."""
+    """Rows of bodies to two hashes of each string of `LENGTH` bytes in them."""
     for batch in batches:
-        for minimiser, name, data in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-            h = window_hashes(np.frombuffer(data, np.uint8), LENGTH).view(np.int64)
+        for _, minimiser, name, at, data in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
+            data = np.frombuffer(data, np.uint8)
+            one, two = (window_hashes(data, LENGTH, base).view(np.int64) for base in (_B, _B2))
+            n = len(one)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(np.full(len(h), minimiser)), pa.array(np.full(len(h), name)), pa.array(np.arange(len(h), dtype=np.int32)), pa.array(h)], names=["minimiser", "hash", "first", "string"]
+                [pa.array(np.full(n, minimiser)), pa.array([name] * n, pa.binary()), pa.array(np.arange(at, at + n, dtype=np.int32)), pa.array(one), pa.array(two)], names=["minimiser", "hash", "first", "one", "two"]
             )
 
 
@@ -273,36 +317,52 @@ def keyed(docs: DataFrame) -> DataFrame:
 
 
 def marks_by_count(bodies: DataFrame) -> DataFrame:
-    """What `_compare` gives, by counting the strings of all stretches: for minimisers too large for one task."""
-    strings = cut(bodies.mapInArrow(_strings, "minimiser bigint, hash bigint, first int, string bigint"))
-    often = cut(strings.groupBy("minimiser", "string").agg(F.count("*").alias("n")).where("n > 1").select("minimiser", "string"))
-    found = strings.join(often, ["minimiser", "string"]).select("minimiser", "hash", "first").distinct()
+    """What `_compare` gives, by counting the strings of all stretches: for bins that no split makes small enough for a task."""
+    strings = cut(bodies.mapInArrow(_strings, "minimiser bigint, hash binary, first int, one bigint, two bigint"))
+    often = strings.groupBy("minimiser", "one", "two").agg(F.count("*").alias("n")).where("n > 1").select("minimiser", "one", "two")
+    found = strings.join(often, ["minimiser", "one", "two"]).select("minimiser", "hash", "first").distinct()
     order = Window.partitionBy("minimiser", "hash").orderBy("first")
     found = found.withColumn("island", F.col("first") - F.row_number().over(order))
     return found.groupBy("minimiser", "hash", "island").agg(F.min("first").alias("first"), (F.max("first") + 1).alias("end")).drop("island")
 
 
+def compared(bodies: DataFrame) -> list[DataFrame]:
+    """Tables of marks (minimiser, hash, first, end) of all `bodies`; bins too large for a task are split before."""
+    spark, found, level = bodies.sparkSession, [], 0
+    while True:
+        loads = bodies.groupBy("bin").agg(F.sum(F.octet_length("bytes")).alias("load"))
+        sizes = loads.agg(F.sum(F.when(F.col("load") <= BIN_BYTES, F.col("load"))).alias("small"), F.max("load").alias("most")).first()
+        large = (sizes["most"] or 0) > BIN_BYTES
+        hot = cut(loads.where(F.col("load") > BIN_BYTES).select("bin")) if large else None
+        tasks = max(-(-(sizes["small"] or 0) // TASK_BYTES), int(spark.conf.get("spark.sql.shuffle.partitions")))
+        small = bodies.join(hot, "bin", "left_anti") if large else bodies
+        found.append(cut(small.repartition(tasks, "bin").sortWithinPartitions("bin").mapInArrow(_compare, MARKS)))
+        if not large:
+            return found
+        rest, level = bodies.join(hot, "bin", "left_semi"), level + 1
+        if level > LEVELS:
+            return [*found, cut(marks_by_count(rest))]
+        narrow = cut(rest.mapInArrow(_narrowed(level), BODIES))
+        drop(bodies, hot)
+        bodies = narrow
+
+
 def repeated_spans(texts: DataFrame) -> DataFrame:
     """`texts` (key, text) to (key, start, stop) of bytes in repeated strings; spans may overlap."""
-    spark = texts.sparkSession
     stretched = cut(texts.mapInArrow(_stretch_rows, STRETCHES))
     each = stretched.select("key", F.inline(F.arrays_zip("minimisers", "hashes", "starts", "lengths", "weights"))).toDF("key", "minimiser", "hash", "start", "length", "weight")
     shared = cut(each.groupBy("minimiser").agg(F.sum("weight").alias("n")).where("n > 1").select("minimiser"))
     places = cut(each.join(shared, "minimiser"))
+    drop(stretched, shared)
     kinds = cut(places.groupBy("minimiser", "hash", "length").agg(F.count("*").alias("copies"), F.max("weight").alias("weight"), F.min(F.struct("key", "start")).alias("at")))
     whole = kinds.where("copies > 1").select("minimiser", "hash", F.lit(0).alias("first"), (F.col("length") - LENGTH + 1).alias("end"))
 
-    loads = cut(kinds.groupBy("minimiser").agg(F.count("*").alias("kinds"), F.max("weight").alias("weight"), F.sum("length").alias("load")).where("kinds > 1 OR weight > 1").select("minimiser", "load"))
-    wanted = kinds.join(loads, "minimiser").groupBy(F.col("at.key").alias("key")).agg(F.collect_list(F.struct("minimiser", "hash", F.col("at.start").alias("start"), "length")).alias("wanted"))
-    bodies = cut(texts.join(wanted, "key").select("text", "wanted").mapInArrow(_cut_out, "minimiser bigint, hash bigint, bytes binary"))
-    sizes = loads.agg(F.sum(F.when(F.col("load") <= BIN_BYTES, F.col("load"))).alias("small"), F.max("load").alias("most")).first()
-    tasks = max(-(-(sizes["small"] or 0) // TASK_BYTES), int(spark.conf.get("spark.sql.shuffle.partitions")))
-    small = bodies.join(loads.where(F.col("load") <= BIN_BYTES), "minimiser", "left_semi") if (sizes["most"] or 0) > BIN_BYTES else bodies
-    found = small.repartition(tasks, "minimiser").sortWithinPartitions("minimiser").mapInArrow(_compare, MARKS)
-    large = bodies.join(loads.where(F.col("load") > BIN_BYTES), "minimiser", "left_semi")
-    if (sizes["most"] or 0) > BIN_BYTES:
-        found = found.unionByName(marks_by_count(large))
-    marks = cut(whole.unionByName(found))
+    several = kinds.groupBy("minimiser").agg(F.count("*").alias("kinds"), F.max("weight").alias("weight")).where("kinds > 1 OR weight > 1").select("minimiser")
+    wanted = kinds.join(several, "minimiser").groupBy(F.col("at.key").alias("key")).agg(F.collect_list(F.struct("minimiser", "hash", F.col("at.start").alias("start"), "length")).alias("wanted"))
+    bodies = cut(texts.join(wanted, "key").select("text", "wanted").mapInArrow(_cut_out, BODIES))
+    found = compared(bodies)
+    marks = cut(reduce(DataFrame.unionByName, found, whole))
+    drop(bodies, kinds, *found)
     return places.join(marks, ["minimiser", "hash"]).select("key", (F.col("start") + F.col("first")).alias("start"), (F.col("start") + F.col("end") - 1 + LENGTH).alias("stop"))
 
 

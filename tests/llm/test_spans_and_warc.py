@@ -34,7 +34,7 @@ def test_marks_equal_brute_force():
         assert [[i for a, b in found for i in range(a, b)] for found in spans.repeated_starts(texts, length)] == want
 
 
-@pytest.mark.parametrize("bin_bytes", [4 << 20, 100])
+@pytest.mark.parametrize("bin_bytes", [4 << 20, 6000, 100])
 def test_removed_bytes_equal_brute_force(spark, monkeypatch, bin_bytes):
     monkeypatch.setattr(spans, "BIN_BYTES", bin_bytes)
     rng = random.Random(3)
@@ -80,3 +80,31 @@ def test_archives_roll_and_damage_is_told(spark, tmp_path):
         file.write(data[: len(data) // 2])
     with pytest.raises(ValueError, match="cut off|differs"):
         list(read_archive(files[0]))
+
+
+def test_crowded_bins_equal_brute_force(spark, monkeypatch):
+    """Many distinct texts around one passage meet in one bin, which is split by the next least hashes and then counted."""
+    rng = random.Random(5)
+    make = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    passage = make(380)
+    texts = [make(rng.randint(30, 200)) + passage + make(30) for _ in range(60)]
+    texts += [t[5:-5] for t in texts[:8]] + [t[:200] + "Z" + t[200:] for t in texts[:8]]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    for limit in (1 << 20, 8000, 900):
+        monkeypatch.setattr(spans, "BIN_BYTES", limit)
+        got = {r["doc_id"]: tuple(r)[1:] for r in spans.removed(docs).collect()}
+        assert [got[i] for i in range(len(texts))] == brute([t.encode() for t in texts])
+
+
+def test_given_documents_equal_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    rows = sorted((r["doc_id"], (r["text"] or "").encode()) for r in docs.collect())
+    seen = Counter(hash(t[i : i + LENGTH]) for _, t in rows for i in range(len(t) - LENGTH + 1))
+    want = {}
+    for i, t in rows:
+        gone = np.zeros(len(t) + 1, bool)
+        for at in range(len(t) - LENGTH + 1):
+            if seen[hash(t[at : at + LENGTH])] > 1:
+                gone[at : at + LENGTH] = True
+        want[i] = (len(t), int(gone.sum()), int((np.diff(np.r_[0, gone.astype(int)]) == 1).sum()))
+    assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"]) for r in spans.removed(docs).collect()} == want
