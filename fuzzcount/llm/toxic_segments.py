@@ -10,11 +10,13 @@ grows with the logarithm of the length; its parameters come from labelled clean
 A segment is significant by its chance under that law, the chances of a text's significant segments are
 combined, and a one-dimensional logistic fit turns the evidence into a score.
 
-Fitting uses about `TRAINING_ROWS` labelled rows for the weights and `CALIBRATION_ROWS` for the two calibrations,
-chosen by a hash of the id, or all if there are fewer.  Weights for a calibration row come from the
-other fold only.  Labels, language, source and id are never inputs of a score.
+Fitting uses about `TRAINING_ROWS` labelled rows for the weights, `TUNING_ROWS` for the choice of a setting and
+`CALIBRATION_ROWS` for the two calibrations, chosen by a hash of the id, or all if there are fewer.  All of
+them have a remainder other than 0; weights for a row that tunes or calibrates come from the other fold
+only, and of the settings in `GRID` the one with the least cross-validated log loss is taken.  Labels,
+language, source and id are never inputs of a score.
 
-Edge cases: a null or empty text, or one without words, has no segment and gets the score of no
+Edge cases: too few labels of both kinds for a choice take the setting `USUAL`; a null or empty text, or one without words, has no segment and gets the score of no
 evidence; a null id is scored and is not used for training; repeated labels of an id are all used; without
 labels of both kinds every text gets the score 0.0; an empty table gives no rows.
 """
@@ -27,24 +29,39 @@ import zlib
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import product
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from fuzzcount.sources.tables import cut, drop
+
 CELLS = 1 << 19
 STEMS = (4, 5, 6)  # leading letters that count as tokens beside the whole word
 FOLDS = 2
-#: Labelled rows that the weights and the calibrations are fitted on, about, by a hash of the id; 24 bytes a row are broadcast.
-TRAINING_ROWS, CALIBRATION_ROWS = 200_000, 20_000
-PRIOR = 2.0  # tokens of prior in each cell, dealt over the kinds by their sizes
-DRIFT = 0.2  # what a word without evidence takes off a segment
-LEAST_Z = 4.0
+#: Labelled rows that the weights, the setting and the calibrations are fitted on, about, by a hash of the id; 24 bytes a row are broadcast.
+TRAINING_ROWS, TUNING_ROWS, CALIBRATION_ROWS = 200_000, 3_000, 20_000
 SIGNIFICANT = 0.05
 TRIM = 0.03
 WORDS_CACHED = 300_000
 
+
+class Setting(NamedTuple):
+    """What is chosen among the training folds."""
+
+    prior: float  # tokens of prior in each cell, dealt over the kinds by their sizes
+    least_z: float  # standard errors below which a token says nothing
+    drift: float  # what a word without evidence takes off a segment
+    stems: bool  # whether first letters count beside whole words
+    fading: bool  # whether the n-th time a word weighs an n-th
+
+
+GRID = [Setting(*x) for x in product((0.5, 2.0), (2.0, 3.0, 4.0), (0.1, 0.2, 0.4), (False, True), (False, True))]
+USUAL = Setting(2.0, 3.0, 0.2, True, True)
+
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
 
@@ -77,11 +94,20 @@ class Tally:
             np.add.at(sums, np.array([self.known[w] for w in words]), 1)
 
 
+def faded(words: list[str], scores: np.ndarray) -> np.ndarray:
+    """`scores` with those above zero divided by how often their word has stood there."""
+    seen: dict[str, int] = defaultdict(int)
+    for i in np.flatnonzero(scores > 0).tolist():
+        seen[words[i]] += 1
+        scores[i] /= seen[words[i]]
+    return scores
+
+
 class Weigher:
-    """The weight of each word of a text: of its tokens the one that speaks most for a toxic passage; the n-th time, an n-th of it."""
+    """The weight of each word of a text: of its tokens the one that speaks most for a toxic passage, less the drift."""
 
-    def __init__(self, weights: np.ndarray):
-        self.weights, self.known = weights, {}
+    def __init__(self, weights: np.ndarray, setting: Setting):
+        self.weights, self.setting, self.known = weights, setting, {}
 
     def of(self, text: str) -> np.ndarray:
         words = words_of(text)
@@ -89,25 +115,44 @@ class Weigher:
         if None in found:
             if len(self.known) > WORDS_CACHED:
                 self.known.clear()
+            tokens = slice(None) if self.setting.stems else slice(1)
             for i, weight in enumerate(found):
                 if weight is None:
-                    found[i] = self.known[words[i]] = float(self.weights[list(cells_of(words[i]))].max())
+                    found[i] = self.known[words[i]] = float(self.weights[list(cells_of(words[i])[tokens])].max()) - self.setting.drift
         scores = np.array(found, np.float64)
-        seen: dict[str, int] = defaultdict(int)
-        for i in np.flatnonzero(scores > 0).tolist():
-            seen[words[i]] += 1
-            scores[i] /= seen[words[i]]
-        return scores
+        return faded(words, scores) if self.setting.fading else scores
+
+
+class Trials:
+    """What `Weigher` gives under many settings, for the rows that one is chosen by."""
 
+    def __init__(self, counts: np.ndarray, settings: list[Setting]):
+        self.settings, kinds = settings, sorted({(s.prior, s.least_z) for s in settings})
+        self.place = {kind: i for i, kind in enumerate(kinds)}
+        self.weights = np.stack([log_odds(counts[1], counts[0], *kind) for kind in kinds])
+        self.known: dict[str, np.ndarray] = {}
 
-def log_odds(toxic: np.ndarray, clean: np.ndarray) -> np.ndarray:
-    """Weight of each cell: the standardised log-odds where clear, less a drift for every word."""
+    def of(self, text: str) -> Iterator[np.ndarray]:
+        words = words_of(text)
+        if len(self.known) > WORDS_CACHED // 10:
+            self.known.clear()
+        for word in {w for w in words if w not in self.known}:
+            each = self.weights[:, list(cells_of(word))]
+            self.known[word] = np.stack([each[:, 0], each.max(1)])
+        all_of = np.array([self.known[w] for w in words]).reshape(len(words), 2, len(self.weights))
+        for s in self.settings:
+            scores = all_of[:, int(s.stems), self.place[s.prior, s.least_z]].astype(np.float64) - s.drift
+            yield faded(words, scores) if s.fading else scores
+
+
+def log_odds(toxic: np.ndarray, clean: np.ndarray, prior: float, least_z: float) -> np.ndarray:
+    """Weight of each cell: the log-odds less their standard error where clear."""
     share = (toxic.sum() + 1) / (toxic.sum() + clean.sum() + 2)
-    a, b = toxic + PRIOR * share, clean + PRIOR * (1 - share)
+    a, b = toxic + prior * share, clean + prior * (1 - share)
     odds = np.log(a / share) - np.log(b / (1 - share))
     error = np.sqrt(1 / a + 1 / b)
     sure = np.sign(odds) * np.maximum(0.0, np.abs(odds) - error)
-    weights = (np.where(np.abs(odds) > LEAST_Z * error, sure, 0.0) - DRIFT).astype(np.float32)
+    weights = np.where(np.abs(odds) > least_z * error, sure, 0.0).astype(np.float32)
     weights[0] = -np.inf
     return weights
 
@@ -172,6 +217,7 @@ class Calibration:
 class Model:
     weights: np.ndarray
     calibration: Calibration | None
+    setting: Setting = USUAL
 
     def judge(self, scores: np.ndarray) -> tuple[float, list[tuple[int, int, float, float]]]:
         """(score, significant passages as (first word, end, segment score, chance))."""
@@ -207,6 +253,19 @@ def fit_logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(weight[0]), float(weight[1])
 
 
+def cross_loss(part: np.ndarray, y: np.ndarray, x: np.ndarray) -> float:
+    """Mean log loss of each fold under the logistic fit of the others; infinite if a fold lacks a kind."""
+    total = 0.0
+    for i in range(FOLDS):
+        own, other = part == i, part != i
+        if len({*y[own]}) < 2 or len({*y[other]}) < 2:
+            return math.inf
+        slope, offset = fit_logistic(x[other], y[other])
+        p = np.clip(1 / (1 + np.exp(-np.clip(slope * x[own] + offset, -30, 30))), 1e-9, 1 - 1e-9)
+        total -= (y[own] * np.log(p) + (1 - y[own]) * np.log(1 - p)).sum()
+    return float(total / len(y))
+
+
 def fold(id_col: str) -> Column:
     """What the contract calls the remainder: crc32 of the id as text, modulo 5."""
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(5))
@@ -240,31 +299,50 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     sums = np.zeros((2, FOLDS, CELLS))
     toxic, part, cell, n = (found.column(i).to_numpy() for i in range(4))
     sums[toxic, part, cell] = n
-    weights = log_odds(sums[1].sum(0), sums[0].sum(0))
     if not sums[1].sum() or not sums[0].sum():
-        return Model(weights, None)
-    others = [log_odds(sums[1].sum(0) - sums[1, i], sums[0].sum(0) - sums[0, i]) for i in range(FOLDS)]
-    shared = docs.sparkSession.sparkContext.broadcast(others)  # 2 MB a fold
-
-    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kinds = [Weigher(w) for w in shared.value]
-        for batch in batches:
-            out = []
-            for toxic, part, text in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-                scores = kinds[part % FOLDS].of(text)
-                out.append((toxic, len(scores), [v for _, _, v in segments(scores)]))
-            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.int64()), pa.array([sorted(o[2], reverse=True)[:64] for o in out], pa.list_(pa.float64()))], names=["toxic", "words", "found"])
-
-    chosen = sample(CALIBRATION_ROWS).select("toxic", F.col("fold").cast("int").alias("fold"), "text")
-    judged = chosen.mapInArrow(best, "toxic int, words bigint, found array<double>").toArrow()
-    toxic, words, found = judged.column(0).to_numpy(), judged.column(1).to_numpy().astype(float), judged.column(2).to_pylist()
-    top = np.array([f[0] if f else 0.0 for f in found])
-    clean = (toxic == 0) & (top > 0) & (words > 0)
-    rate, scale = fit_null(top[clean], words[clean]) if clean.sum() > 10 else (1.0, 0.01)
-    law = Calibration(rate, scale, 0.0, 0.0)
-    evidence = np.array([law.evidence([(0, 0, float(v)) for v in f], int(n)) for f, n in zip(found, words, strict=True)])
-    slope, offset = fit_logistic(evidence, (toxic == 1).astype(float))
-    return Model(weights, Calibration(rate, scale, slope, offset))
+        return Model(np.zeros(CELLS, np.float32), None)
+    others = [sums.sum(1) - sums[:, i] for i in range(FOLDS)]
+    spark = docs.sparkSession
+
+    def tried(most: int, settings: list[Setting]) -> tuple[list[tuple[float, float]], list[tuple[np.ndarray, ...]]]:
+        """Of each setting the law of the largest segment score, and (part, toxic, evidence) of about `most` rows."""
+        shared = spark.sparkContext.broadcast([x.astype(np.float32) for x in others])  # 4 MB a fold
+
+        def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            trials = [Trials(x, settings) for x in shared.value]
+            for batch in batches:
+                for at in range(0, batch.num_rows, 100):
+                    out = []
+                    for toxic, part, text in zip(*(batch.slice(at, 100).column(i).to_pylist() for i in range(3)), strict=True):
+                        for i, scores in enumerate(trials[part % FOLDS].of(text)):
+                            out.append((i, part % FOLDS, toxic, len(scores), sorted((v for _, _, v in segments(scores)), reverse=True)))
+                    columns = list(zip(*out, strict=True)) or [()] * 5
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (*[pa.int32()] * 3, pa.int64(), pa.list_(pa.float64())), strict=True)], names=["setting", "part", "toxic", "words", "found"])
+
+        seen = cut(sample(most).select("toxic", F.col("fold").cast("int").alias("fold"), "text").mapInArrow(look, "setting int, part int, toxic int, words bigint, found array<double>"))
+        tops = seen.where("toxic = 0 AND words > 0 AND size(found) > 0").select("setting", "words", F.col("found")[0].alias("top")).toArrow()
+        setting, words, top = (tops.column(i).to_numpy() for i in range(3))
+        laws = []
+        for i in range(len(settings)):
+            mine = setting == i
+            laws.append(fit_null(top[mine], words[mine].astype(float)) if mine.sum() > 10 else (1.0, 0.01))
+
+        def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            known = [Calibration(*law, 0.0, 0.0) for law in laws]
+            for batch in batches:
+                setting, words, found = (batch.column(i).to_pylist() for i in (0, 3, 4))
+                x = [known[i].evidence([(0, 0, v) for v in f], n) for i, n, f in zip(setting, words, found, strict=True)]
+                yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(x, pa.float64())], names=["setting", "part", "toxic", "x"])
+
+        told = seen.mapInArrow(weigh, "setting int, part int, toxic int, x double").toArrow()  # settings x `most` rows or so
+        drop(seen)
+        setting, part, toxic, x = (told.column(i).to_numpy() for i in range(4))
+        return laws, [(part[setting == i], (toxic[setting == i] == 1).astype(float), x[setting == i]) for i in range(len(settings))]
+
+    losses = [cross_loss(*found) for found in tried(TUNING_ROWS, GRID)[1]]
+    setting = GRID[int(np.argmin(losses))] if np.isfinite(min(losses)) else USUAL
+    (law,), ((_, y, x),) = tried(CALIBRATION_ROWS, [setting])
+    return Model(log_odds(sums[1].sum(0), sums[0].sum(0), setting.prior, setting.least_z), Calibration(*law, *fit_logistic(x, y)), setting)
 
 
 SCORED = "doc_id bigint, score double, segments array<struct<first_word:int,end_word:int,score:double,chance:double>>"
@@ -277,7 +355,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = shared.value
-        weigher = Weigher(known.weights)
+        weigher = Weigher(known.weights, known.setting)
         for batch in batches:
             told = [known.judge(weigher.of(text.as_py())) for text in batch.column(1)]
             found = [[{"first_word": s, "end_word": e, "score": v, "chance": c} for s, e, v, c in t[1]] for t in told]
@@ -293,7 +371,7 @@ def drop_toxic(docs: DataFrame, model: Model, threshold: float = 0.5, text_col:
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = shared.value
-        weigher = Weigher(known.weights)
+        weigher = Weigher(known.weights, known.setting)
         for batch in batches:
             scores = [known.judge(weigher.of(text.as_py() or ""))[0] for text in batch.column(at)]
             yield batch.filter(pa.array([s < threshold for s in scores], pa.bool_()))
