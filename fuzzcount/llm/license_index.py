@@ -1,14 +1,15 @@
 """Licence scans with a positional index of rare licence words.
 
 Base labels come from fixed phrases whose words stand consecutively.  The method adds labels of its own from
-templates: the index holds the places of all words of each template with their weights (by inverse document
-frequency); every word of a text is looked up in the templates whose mandatory key phrase stands in the text, and
-the weights of one template that meet at one relative position are added up.  The score is the share of the
-template's words, weighted by rarity, that agree along the best alignment; a base label scores 1.  No alignment
-is left out, whatever the length of a text or the number of its licences.
+templates.  Words weigh by inverse document frequency, as shares of their template; a template's rarest
+places, those that weigh more than an alignment may miss, are its postings.  Every text's words are looked up
+in the postings, and those that meet at one relative position name an alignment: one without any of them
+cannot score enough, so none is left out, whatever the length of a text or the number of its licences.
+Alignments are scored in full, the share of the template's weight whose words agree, and a template's label
+counts only if its mandatory key phrase stands in the text.  A base label scores 1.
 
-Only DataFrame operations are used; each text is read once, and only texts with some mandatory phrase go on to
-the index, each to the templates of its phrases alone.
+Only DataFrame operations are used.  Texts are read twice: for base places and word frequencies, and for the
+texts with a posting.
 
 Edge cases: a null text counts as empty; a text without words has no place and no label and scores 0; rows that share
 an id are scanned each for itself; overlapping places all count; an empty table gives no rows.
@@ -23,7 +24,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fuzzcount.llm.text import trimmed_words
-from fuzzcount.sources.tables import cut
+from fuzzcount.sources.tables import cut, drop
 
 #: Fixed values of the contract: phrase and label.
 BASE = {"under the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
@@ -74,23 +75,23 @@ def starts_of(words: Column, phrase: str) -> Column:
     return F.filter(places, stands)
 
 
+def worded(docs: DataFrame) -> DataFrame:
+    """`docs` (doc_id, text) as (doc_id, text_key, normal, words); rows that are equal in id and text have equal keys."""
+    # One element exploded: the plan then computes it once, not in each expression, or each step of a lambda, that uses it.
+    rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
+    return rows.select("doc_id", "text_key", "normal", F.explode(F.array(F.split(F.trim("normal"), " "))).alias("words"))
+
+
 def scanned(docs: DataFrame, templates: list[Template]) -> DataFrame:
-    """Per row: n_words, the places of base phrases, its licence words, and its normal form if a mandatory phrase stands in it."""
+    """Per row: n_words, the places of base phrases, and its licence words."""
     vocabulary = sorted({w for t in templates for w in t.words.split(" ")})
-    # One element exploded: the plan then computes it once, not in each expression, or each step of a lambda, that uses it.
-    rows = docs.select("doc_id", F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
-    rows = rows.select("doc_id", "normal", F.explode(F.array(F.split(F.trim("normal"), " "))).alias("words"))
-    has = lambda phrase: F.contains(F.col("normal"), F.lit(f" {phrase} "))
-    words = F.col("words")
-    none = F.array().cast("array<int>")
-    any_of = lambda phrases: F.greatest(*(has(p) for p in phrases)) if len(phrases) > 1 else has(phrases[0])
-    return rows.select(
-        "doc_id",
+    words, none = F.col("words"), F.array().cast("array<int>")
+    return worded(docs).select(
+        "doc_id", "text_key",
         F.when(F.col("normal") == " ", 0).otherwise(F.length("normal") - F.length(F.replace("normal", F.lit(" "), F.lit(""))) - 1).cast("bigint").alias("n_words"),
-        *(F.when(has(p), starts_of(words, p)).otherwise(none).alias(f"base_{i}") for i, p in enumerate(BASE)),
+        *(F.when(F.contains("normal", F.lit(f" {p} ")), starts_of(words, p)).otherwise(none).alias(f"base_{i}") for i, p in enumerate(BASE)),
         F.array_intersect(words, F.array(*map(F.lit, vocabulary))).alias("licence_words"),
-        F.when(any_of(sorted({t.mandatory for t in templates})), F.col("normal")).alias("normal"),
-    )
+    )
 
 
 def rarities(rows: DataFrame, total: int) -> dict[str, float]:
@@ -99,10 +100,19 @@ def rarities(rows: DataFrame, total: int) -> dict[str, float]:
     return {r["word"]: math.log((total + 1) / (r["n"] + 0.5)) for r in seen}
 
 
-def index_of(spark: SparkSession, templates: list[Template], idf: dict[str, float]) -> DataFrame:
-    """Postings of all words of each template: (word, template, at, weight)."""
-    postings = [(w, number, i, weight) for number, t in enumerate(templates) for i, (w, weight) in enumerate(zip(t.words.split(" "), weights_of(t, idf), strict=True))]
-    return spark.createDataFrame(postings, "word string, template int, at int, weight double")
+def rarest_places(weights: list[float]) -> list[int]:
+    """Places that weigh more than what an accepted alignment may miss, the heaviest first."""
+    order, held = sorted(range(len(weights)), key=lambda i: (-weights[i], i)), 0.0
+    for n, i in enumerate(order, 1):
+        held += weights[i]
+        if held > 1 - ACCEPT + SLACK:
+            return order[:n]
+    return order
+
+
+def postings_of(templates: list[Template], idf: dict[str, float]) -> list[tuple[str, int, int]]:
+    """The postings of all templates: (word, template, at)."""
+    return [(t.words.split(" ")[i], number, i) for number, t in enumerate(templates) for i in rarest_places(weights_of(t, idf))]
 
 
 def weights_of(template: Template, idf: dict[str, float]) -> list[float]:
@@ -112,35 +122,36 @@ def weights_of(template: Template, idf: dict[str, float]) -> list[float]:
 
 
 def template_table(spark: SparkSession, templates: list[Template], idf: dict[str, float]) -> DataFrame:
-    """Per template: its words, their weights (a share of 1) and its label."""
-    rows = [(number, t.words.split(" "), weights_of(t, idf), t.label) for number, t in enumerate(templates)]
-    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, label string")
+    """Per template: its words, their weights (a share of 1), its label and its mandatory phrase."""
+    rows = [(number, t.words.split(" "), weights_of(t, idf), t.label, t.mandatory) for number, t in enumerate(templates)]
+    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, label string, mandatory string")
 
 
 def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFrame:
     """One row per row of `docs` (doc_id, text); see the module's text and the columns below."""
-    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text")).select("doc_id", "text")
-    rows = cut(scanned(rows, templates).withColumn("row", F.monotonically_increasing_id()))
+    spark = docs.sparkSession
+    docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = cut(scanned(docs, templates))
     idf = rarities(rows, rows.count())
-    index = index_of(docs.sparkSession, templates, idf)
-
-    named = F.array(*(F.when(F.contains(F.col("normal"), F.lit(f" {t.mandatory} ")), number) for number, t in enumerate(templates)))
-    held = rows.where("normal IS NOT NULL").select("row", F.split(F.trim("normal"), " ").alias("words"), F.array_compact(named).alias("named"))
-    held = cut(held)  # lambdas below must not split the text again at each step
-    tokens = held.select("row", "named", F.posexplode("words").alias("place", "word"))
-    met = tokens.join(F.broadcast(index), "word").where(F.array_contains("named", F.col("template"))).select("row", "template", "weight", (F.col("place") - F.col("at")).alias("diagonal"))
-    aligned = met.groupBy("row", "template", "diagonal").agg(F.sum("weight").alias("agreeing")).where(F.col("agreeing") >= ACCEPT - SLACK)
-    pairs = aligned.join(held.select("row", "words"), "row")
+    postings = postings_of(templates, idf)
+    index = F.broadcast(spark.createDataFrame(postings, "word string, template int, at int"))  # the words of the templates at most
+
+    with_posting = worded(docs).where(F.arrays_overlap("words", F.array(*map(F.lit, sorted({word for word, _, _ in postings})))))
+    held = cut(with_posting.select(F.struct(F.coalesce("doc_id", F.lit(-(1 << 63))).alias("id"), "text_key").alias("key"), "normal", "words").dropDuplicates(["key"]))
+    tokens = held.select("key", F.posexplode("words").alias("place", "word"))
+    aligned = tokens.join(index, "word").select("key", "template", (F.col("place") - F.col("at")).alias("diagonal")).distinct()
+    pairs = aligned.join(held, "key").join(F.broadcast(template_table(spark, templates, idf)), "template")
     place = lambda i: F.when(F.col("diagonal") + i >= 0, F.get("words", F.col("diagonal") + i))
     agree = lambda i: F.when(place(i) == F.get("expected", i), F.get("weights", i)).otherwise(0.0)
     score = F.aggregate(F.sequence(F.lit(0), F.size("expected") - 1), F.lit(0.0), lambda total, i: total + agree(i))
-    pairs = pairs.join(F.broadcast(template_table(docs.sparkSession, templates, idf)), "template")
-    found = pairs.select("row", "label", score.alias("score")).where(F.col("score") >= ACCEPT)
-    found = cut(found.groupBy("row").agg(F.collect_set("label").alias("own_labels"), F.max("score").alias("own_score")))
+    scored = pairs.select("key", "normal", "label", "mandatory", score.alias("score")).where(F.col("score") >= ACCEPT)
+    verified = scored.where(F.contains("normal", F.concat(F.lit(" "), "mandatory", F.lit(" "))))
+    found = cut(verified.groupBy("key").agg(F.collect_set("label").alias("own_labels"), F.max("score").alias("own_score")))
+    drop(held)
 
     places = F.concat(*(F.col(f"base_{i}") for i in range(len(BASE))))
     base = F.filter(F.array(*(F.when(F.size(f"base_{i}") > 0, label) for i, label in enumerate(BASE.values()))), lambda x: x.isNotNull())
-    out = rows.drop("normal").join(found, "row", "left").withColumn("base", F.array_sort(F.array_distinct(base))).withColumn("places", places)
+    out = rows.withColumn("key", F.struct(F.coalesce("doc_id", F.lit(-(1 << 63))).alias("id"), "text_key")).join(found, "key", "left").withColumn("base", F.array_sort(F.array_distinct(base))).withColumn("places", places)
     return out.select(
         "doc_id", "n_words", F.size("places").cast("bigint").alias("n_base"),
         F.array_min("places").cast("bigint").alias("first_word"), F.array_max("places").cast("bigint").alias("last_word"),

@@ -2,7 +2,7 @@
 
 Rules name a host (which covers its subdomains) and a path prefix; the longest rule that fits decides.
 Where none fits, templates do.  Paths are cut into segments and numbers in them become `#`.  Level by level, down to the deepest path,
-a node of a host's tree turns its rare children into the wildcard `*` when it has many, and folds children
+a node of a host's tree turns its rare children (by pages or by their share) into the wildcard `*` when it has many, and folds children
 whose share of blocked pages cannot be told from their siblings' into `~`.  Each template is then judged by
 its purity: the blocked share of its labelled pages, smoothed towards a low base, so that a template of which
 nothing is known passes.  Labels are the rules' own verdicts, or a column of the caller's.
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from fuzzcount.llm.text import LOWER, UPPER
 from fuzzcount.sources.tables import cut
 
-MANY_CHILDREN, RARE_SHARE = 8, 0.02
+MANY_CHILDREN, FEW_PAGES, RARE_SHARE = 8, 2, 0.02
 Z = 1.96
 PRIOR, BASE = 4.0, 0.1
 REJECT = 0.5
@@ -84,7 +84,7 @@ def templates(paths: DataFrame) -> DataFrame:
             )
         )
         seen = children.join(nodes, ["host", "template"])
-        rare = (F.col("children") >= MANY_CHILDREN) & (F.col("pages") < RARE_SHARE * F.col("all_pages"))
+        rare = (F.col("children") >= MANY_CHILDREN) & (F.col("pages") <= F.greatest(F.lit(FEW_PAGES), RARE_SHARE * F.col("all_pages")))
         pooled = F.col("all_blocked") / F.col("all_labelled")
         error = F.sqrt(pooled * (1 - pooled) * (1 / F.col("labelled")))
         alike = (F.col("children") > 1) & (F.col("labelled") > 0) & (F.abs(F.col("blocked") / F.col("labelled") - pooled) <= Z * error)

@@ -1,12 +1,15 @@
 import math
 import re
 
+import duckdb
 import pytest
 
 from fuzzcount.llm.license_index import TEMPLATES, licences
 from fuzzcount.llm.phrase_index import contamination, drop_contaminated, proximity_matches
 from fuzzcount.llm.url_templates import judge
 
+SF = "/root/testdata/sf0.01"
+
 
 def test_licences_of_odd_rows(spark, odd_docs, no_docs):
     found = licences(odd_docs).toPandas()
@@ -100,9 +103,63 @@ def test_deep_paths_are_told_apart(spark):
     assert all(r["template"].count("/") == max(1, r["path"].count("/")) for r in found)
 
 
-@pytest.mark.parametrize("name", ["op2_exact_dedup", "op8_decontamination", "op10_warc"])
+def test_a_phrase_elsewhere_is_asked_for(spark):
+    """Without its mandatory phrase a template that agrees well enough gives no label."""
+    mit = next(t.words for t in TEMPLATES if t.label == "mit").replace("free of charge", "for a fee now")
+    rows = [(1, mit), (2, f"{mit} and permission is hereby granted free of charge"), *((10 + i, "plain words") for i in range(30))]
+    found = {r["doc_id"]: r["labels"] for r in licences(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert found[1] == "" and found[2] == "mit"
+
+
+def test_urls_of_odd_rows(spark):
+    """Null ids, clashing columns, repeated rows and very long urls."""
+    long = "http://h.org/" + "/".join(f"s{i}" for i in range(12)) + "/" + "x" * 200_000
+    rows = [(None, "http://h.org/a", "p", "t", 1.0), (1, long, "p", "t", 1.0), (1, long, "p", "t", 1.0), (2, "http://b.net/es/", None, None, None), (3, "", "p", "t", 0.0)]
+    found = judge(spark.createDataFrame(rows, "page_id bigint, url string, path string, template string, purity double")).collect()
+    assert len(found) == 5 and sum(r["page_id"] == 1 for r in found) == 2
+    assert {r["page_id"]: (r["verdict"], len(r["path"])) for r in found} == {None: ("allow", 2), 1: ("allow", len(long) - 12), 2: ("block", 4), 3: ("allow", 0)}
+
+
+def test_variable_segments_become_wildcards(spark):
+    """Twenty equal children of one page each are one template; eight large sections are not."""
+    rows = [(i, f"http://h.org/u/name{chr(97 + i)}x", i < 15) for i in range(20)] + [(100 + i, f"http://k.org/s{chr(97 + i % 8)}/p", i % 8 == 0) for i in range(160)]
+    found = judge(spark.createDataFrame(rows, "page_id bigint, url string, bad boolean"), rules=[], label_col="bad").collect()
+    assert {r["template"] for r in found if r["host"] == "h.org"} == {"/~/*"} or {r["template"] for r in found if r["host"] == "h.org"} == {"/u/*"}
+    assert {r["path"] for r in found if r["host"] == "k.org" and r["verdict"] == "block"} == {"/sa/p"}
+
+
+@pytest.mark.parametrize("name", ["op2_exact_dedup", "op4_minhash", "op8_decontamination", "op10_warc"])
 def test_twins(spark, name):
     from run_query import compare
 
     _, said = compare(spark, name, "/root/testdata/sf0.001")
     assert ": same" in said, said
+
+
+_AZ = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'"
+
+
+def test_base_places_equal_sql(spark):
+    """What the contract fixes of the licence scan, by SQL over the given documents."""
+    want = duckdb.sql(rf"""
+        WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), {_AZ}), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM '{SF}/documents.parquet'),
+             p(words, label) AS (VALUES (['under', 'the', 'mit', 'license'], 'mit'), (['apache', 'license', 'version', '2'], 'apache-2'), (['cc', 'by', 'nc'], 'cc-by-nc')),
+             h AS (SELECT doc_id, label, i FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d), p WHERE w[i : i + len(words) - 1] = words)
+        SELECT d.doc_id, any_value(len(w)) AS n_words, count(i) AS n_base, min(i) - 1 AS first_word, max(i) - 1 AS last_word, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS base_labels
+        FROM d LEFT JOIN h USING (doc_id) GROUP BY d.doc_id""").fetchall()
+    rows = licences(spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")).collect()
+    assert {tuple(r)[:6] for r in rows} == set(want) and len(rows) == len(want)
+    assert all(set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(",")) and 0 <= r["score"] <= 1 for r in rows)
+
+
+def test_rules_equal_sql(spark):
+    want = duckdb.sql(f"""
+        WITH u AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM '{SF}/pages.parquet'),
+             p AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), {_AZ}) AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+             r(rule, verdict, h, x) AS (VALUES ('com/', 'allow', 'com', '/'), ('example.com/en/', 'block', 'example.com', '/en/'), ('www.example.com/en/', 'allow', 'www.example.com', '/en/'), ('net/es/', 'block', 'net', '/es/'), ('net/fr/', 'block', 'net', '/fr/'))
+        SELECT page_id, host, path, arg_max(rule, length(rule)) AS rule, arg_max(verdict, length(rule)) AS verdict
+        FROM p LEFT JOIN r ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, x) GROUP BY ALL""").fetchall()
+    found = judge(spark.read.parquet(f"{SF}/pages.parquet").select("page_id", "url")).collect()
+    assert {(r["page_id"], r["host"], r["path"], r["rule"]) for r in found} == {w[:4] for w in want} and len(found) == len(want)
+    verdicts = {r["page_id"]: r["verdict"] for r in found}
+    assert all(verdicts[w[0]] == w[4] for w in want if w[4])
