@@ -8,7 +8,9 @@ inserted, so the filter always describes the live rows.  When no slot is free th
 at twice the size from the stored keys.
 
 Copies are folded twice, first where the rows are and then by digest, so a group with a third of
-all rows sends one row per partition through the shuffle.  The join back to the rows splits such groups.
+all rows sends a few rows per partition through the shuffle.  The first fold passes its index on and starts
+a new one whenever `MOST_LIVE` digests are live; the second has so many tasks that none gets many more, so
+neither's memory grows with the corpus.  The join back to the rows splits large groups.
 
 Edge cases: a null text counts as empty; empty texts are equal to each other; rows that share id and
 text are copies of each other and are all kept as rows of the result (each with the same `keep_id`);
@@ -28,6 +30,8 @@ from fuzzcount.llm.text import lowered
 from fuzzcount.sources.tables import cut
 
 SLOTS, MAX_KICKS = 4, 256
+#: Digests that an index of one task holds, about 400 bytes each.
+MOST_LIVE = 250_000
 
 
 class CuckooFilter:
@@ -161,11 +165,7 @@ class LiveIndex:
 FOLDED = "digest binary, keep_id bigint, group_size bigint"
 
 
-def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    index = LiveIndex()
-    for batch in batches:
-        for digest, row_id, copies in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-            index.offer(digest, row_id, copies)
+def _told(index: LiveIndex) -> Iterator[pa.RecordBatch]:
     found = list(index.items())
     for at in range(0, len(found), 20_000):
         part = found[at : at + 20_000]
@@ -175,11 +175,28 @@ def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
+def _folding(most: float):
+    """Rows of `FOLDED` to one row for each digest; with more than `most` of them live, what is known so far goes on first."""
+
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = LiveIndex()
+        for batch in batches:
+            for digest, row_id, copies in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+                index.offer(digest, row_id, copies)
+            if index.size >= most:
+                yield from _told(index)
+                index = LiveIndex()
+        yield from _told(index)
+
+    return fold
+
+
 def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per row of `docs`: its id, `keep_id`, `group_size`, `kept` and `text_sha256`."""
     rows = cut(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.unhex(F.sha2(lowered(F.col(text_col)), 256)).alias("digest")))
-    near = rows.select("digest", F.col("doc_id").alias("keep_id"), F.lit(1).cast("bigint").alias("group_size")).mapInArrow(_fold, FOLDED)
-    groups = cut(near.repartition("digest").mapInArrow(_fold, FOLDED))
+    tasks = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows.count() // MOST_LIVE))
+    near = rows.select("digest", F.col("doc_id").alias("keep_id"), F.lit(1).cast("bigint").alias("group_size")).mapInArrow(_folding(MOST_LIVE), FOLDED)
+    groups = cut(near.repartition(tasks, "digest").mapInArrow(_folding(float("inf")), FOLDED))
     return rows.join(groups, "digest").select(
         "doc_id",
         "keep_id",
