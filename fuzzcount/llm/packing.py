@@ -168,7 +168,8 @@ def pack(docs: DataFrame, ranks_path: str, pattern: str, end_id: int = 1, target
     shards = max(1, -(-total // SHARD))
     dealt = encoded.withColumn("shard", F.pmod(F.xxhash64("row", "start"), F.lit(shards)))
     plans = cut(opening_deficits(shard_totals(dealt), total, targets))
-    grouped = dealt.groupBy("shard").cogroup(plans.groupBy("shard"))
+    tasks = max(shards, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))  # a shard or so each
+    grouped = dealt.repartition(tasks, "shard").groupBy("shard").cogroup(plans.repartition(tasks, "shard").groupBy("shard"))
 
     def fill(key: tuple, chunks, plan):
         import pandas as pd
