@@ -8,7 +8,8 @@ bin on a Burrows-Wheeler transform: a breadth-first backward extension visits th
 prefixes by increasing length and marks where a longer one ends; it stops at `LENGTH`, and what it has not
 marked by then are neighbours in suffix order that share at least `LENGTH` bytes.
 A bin with more than `BIN_BYTES` of distinct stretches is not put into one task: its stretches are split
-further, where the next least hash inside a string changes, and equal strings meet in a smaller bin.
+further, where the next least hash inside a string changes, and equal strings meet in a smaller bin; parts
+that are equal as a whole are repeated throughout, and one of them goes on.
 Bins that stay as large after `LEVELS` such splits (hundreds of strings that are equal but for a few bytes)
 are counted by a 128-bit hash of each string instead, which gives the same marks.
 
@@ -203,6 +204,7 @@ def _stretch_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 BODIES = "bin bigint, minimiser bigint, hash binary, at int, bytes binary"
 MARKS = "minimiser bigint, hash binary, first int, end int"
 _BODY = pa.schema([("bin", pa.int64()), ("minimiser", pa.int64()), ("hash", pa.binary()), ("at", pa.int32()), ("bytes", pa.binary())])
+_PART = _BODY.append(pa.field("part", pa.binary()))
 _MARK = pa.schema([("minimiser", pa.int64()), ("hash", pa.binary()), ("first", pa.int32()), ("end", pa.int32())])
 
 
@@ -239,7 +241,7 @@ def narrower(data: np.ndarray, level: int) -> Iterator[tuple[int, int, int]]:
 
 
 def _narrowed(level: int):
-    """Rows of bodies to rows of their parts in smaller bins."""
+    """Rows of bodies to rows of their parts in smaller bins, with a digest of each part."""
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -248,8 +250,9 @@ def _narrowed(level: int):
                 for _, minimiser, name, offset, data in zip(*(batch.slice(at, 100).column(i).to_pylist() for i in range(5)), strict=True):
                     for value, start, length in narrower(np.frombuffer(data, np.uint8), level):
                         key = xxhash.xxh3_64_intdigest(value.to_bytes(8, "little", signed=True) + minimiser.to_bytes(8, "little", signed=True), level)
-                        rows.append((key - (1 << 63), minimiser, name, offset + start, data[start : start + length]))
-                yield _table(rows, _BODY)
+                        part = data[start : start + length]
+                        rows.append((key - (1 << 63), minimiser, name, offset + start, part, xxhash.xxh3_128_digest(part)))
+                yield _table(rows, _PART)
 
     return split
 
@@ -319,7 +322,7 @@ def keyed(docs: DataFrame) -> DataFrame:
 def marks_by_count(bodies: DataFrame) -> DataFrame:
     """What `_compare` gives, by counting the strings of all stretches: for bins that no split makes small enough for a task."""
     strings = cut(bodies.mapInArrow(_strings, "minimiser bigint, hash binary, first int, one bigint, two bigint"))
-    often = strings.groupBy("minimiser", "one", "two").agg(F.count("*").alias("n")).where("n > 1").select("minimiser", "one", "two")
+    often = cut(strings.groupBy("minimiser", "one", "two").agg(F.count("*").alias("n")).where("n > 1").select("minimiser", "one", "two"))  # a join of its own can be split
     found = strings.join(often, ["minimiser", "one", "two"]).select("minimiser", "hash", "first").distinct()
     order = Window.partitionBy("minimiser", "hash").orderBy("first")
     found = found.withColumn("island", F.col("first") - F.row_number().over(order))
@@ -342,9 +345,14 @@ def compared(bodies: DataFrame) -> list[DataFrame]:
         rest, level = bodies.join(hot, "bin", "left_semi"), level + 1
         if level > LEVELS:
             return [*found, cut(marks_by_count(rest))]
-        narrow = cut(rest.mapInArrow(_narrowed(level), BODIES))
+        parts = cut(rest.mapInArrow(_narrowed(level), f"{BODIES}, part binary"))
+        same = cut(parts.groupBy("bin", "part").agg(F.count("*").alias("n"), F.min(F.struct("minimiser", "hash", "at")).alias("one")).where("n > 1").select("bin", "part", "one"))
+        copies = parts.join(same, ["bin", "part"])
+        found.append(cut(copies.select("minimiser", "hash", F.col("at").alias("first"), (F.col("at") + F.octet_length("bytes") - LENGTH + 1).alias("end"))))
+        first = F.col("one").isNull() | (F.col("one") == F.struct("minimiser", "hash", "at"))
         drop(bodies, hot)
-        bodies = narrow
+        bodies = cut(parts.join(same, ["bin", "part"], "left").where(first).select("bin", "minimiser", "hash", "at", "bytes"))
+        drop(parts, same)
 
 
 def repeated_spans(texts: DataFrame) -> DataFrame:
