@@ -122,9 +122,13 @@ def weights_of(template: Template, idf: dict[str, float]) -> list[float]:
 
 
 def template_table(spark: SparkSession, templates: list[Template], idf: dict[str, float]) -> DataFrame:
-    """Per template: its words, their weights (a share of 1), its label and its mandatory phrase."""
-    rows = [(number, t.words.split(" "), weights_of(t, idf), t.label, t.mandatory) for number, t in enumerate(templates)]
-    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, label string, mandatory string")
+    """Per template: its words, their weights (a share of 1) and its label."""
+    rows = [(number, t.words.split(" "), weights_of(t, idf), t.label) for number, t in enumerate(templates)]
+    return spark.createDataFrame(rows, "template int, expected array<string>, weights array<double>, label string")
+
+
+def key_of() -> Column:
+    return F.struct(F.coalesce("doc_id", F.lit(-(1 << 63))).alias("id"), "text_key")
 
 
 def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFrame:
@@ -137,21 +141,22 @@ def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFram
     index = F.broadcast(spark.createDataFrame(postings, "word string, template int, at int"))  # the words of the templates at most
 
     with_posting = worded(docs).where(F.arrays_overlap("words", F.array(*map(F.lit, sorted({word for word, _, _ in postings})))))
-    held = cut(with_posting.select(F.struct(F.coalesce("doc_id", F.lit(-(1 << 63))).alias("id"), "text_key").alias("key"), "normal", "words").dropDuplicates(["key"]))
-    tokens = held.select("key", F.posexplode("words").alias("place", "word"))
-    aligned = tokens.join(index, "word").select("key", "template", (F.col("place") - F.col("at")).alias("diagonal")).distinct()
-    pairs = aligned.join(held, "key").join(F.broadcast(template_table(spark, templates, idf)), "template")
+    named = F.array_compact(F.array(*(F.when(F.contains("normal", F.lit(f" {t.mandatory} ")), number) for number, t in enumerate(templates))))
+    held = cut(with_posting.select(F.monotonically_increasing_id().alias("row"), key_of().alias("key"), "words", named.alias("named")))
+    tokens = held.select("row", F.posexplode("words").alias("place", "word"))
+    aligned = cut(tokens.join(index, "word").select("row", "template", (F.col("place") - F.col("at")).alias("diagonal")).distinct())
+    pairs = held.join(aligned, "row").join(F.broadcast(template_table(spark, templates, idf)), "template")
     place = lambda i: F.when(F.col("diagonal") + i >= 0, F.get("words", F.col("diagonal") + i))
     agree = lambda i: F.when(place(i) == F.get("expected", i), F.get("weights", i)).otherwise(0.0)
     score = F.aggregate(F.sequence(F.lit(0), F.size("expected") - 1), F.lit(0.0), lambda total, i: total + agree(i))
-    scored = pairs.select("key", "normal", "label", "mandatory", score.alias("score")).where(F.col("score") >= ACCEPT)
-    verified = scored.where(F.contains("normal", F.concat(F.lit(" "), "mandatory", F.lit(" "))))
+    scored = pairs.select("key", "named", "template", "label", score.alias("score")).where(F.col("score") >= ACCEPT)
+    verified = scored.where(F.array_contains("named", F.col("template")))
     found = cut(verified.groupBy("key").agg(F.collect_set("label").alias("own_labels"), F.max("score").alias("own_score")))
-    drop(held)
+    drop(held, aligned)
 
     places = F.concat(*(F.col(f"base_{i}") for i in range(len(BASE))))
     base = F.filter(F.array(*(F.when(F.size(f"base_{i}") > 0, label) for i, label in enumerate(BASE.values()))), lambda x: x.isNotNull())
-    out = rows.withColumn("key", F.struct(F.coalesce("doc_id", F.lit(-(1 << 63))).alias("id"), "text_key")).join(found, "key", "left").withColumn("base", F.array_sort(F.array_distinct(base))).withColumn("places", places)
+    out = rows.withColumn("key", key_of()).join(found, "key", "left").withColumn("base", F.array_sort(F.array_distinct(base))).withColumn("places", places)
     return out.select(
         "doc_id", "n_words", F.size("places").cast("bigint").alias("n_base"),
         F.array_min("places").cast("bigint").alias("first_word"), F.array_max("places").cast("bigint").alias("last_word"),
