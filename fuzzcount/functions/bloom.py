@@ -13,6 +13,8 @@ from fuzzcount.functions.digest import keyed, num
 
 ELL, HASHES, LANE = 200, 20, 50
 LANES = ("w0", "w1", "w2", "w3")
+#: Which attributes each lane holds where every attribute has a filter of its own.
+FIELDS = (("given",), ("surname",), ("suburb",), ("postcode", "gender"))
 
 
 def lane_names(ell: int = ELL) -> tuple[str, ...]:
@@ -45,6 +47,26 @@ def with_lanes(df, bits: str, ell: int = ELL):
     return df.withColumns({name: lane_of(F.col(bits), i) for i, name in enumerate(lane_names(ell))})
 
 
+def encode_by_field(df, tokens: str = "tokens", hashes: int = 5, key: str = "k"):
+    """`df` with lane columns: a filter of `LANE` bits for the tagged tokens of each group of attributes, side by side."""
+    def own(fields: tuple[str, ...]) -> Column:
+        mine = F.filter(tokens, lambda t: F.array_contains(F.array(*map(F.lit, fields)), F.substring_index(t, "|", 1)))
+        return lane_of(positions(mine, LANE, hashes, key), 0)
+
+    return df.withColumns({name: own(fields) for name, fields in zip(LANES, FIELDS, strict=True)})
+
+
+def item_filters(items, words: int, least: int, hashes: int = 2, key: str = "k"):
+    """(rec_id, lanes) of (id, text): the filter of the `least` smallest digests of the text's shingles of so many words."""
+    w = F.filter(F.split(F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), " "), lambda x: x != "")
+    split = items.select(F.col("id").alias("rec_id"), F.explode(F.array(w)).alias("w"))  # split once, not at each step of the lambda below
+    width = F.least(F.lit(words), F.size("w"))
+    grams = F.transform(F.sequence(F.lit(1), F.size("w") - width + 1), lambda i: num(F.array_join(F.slice("w", i, width), " ")))
+    digests = F.when(F.size("w") > 0, F.slice(F.array_sort(F.array_distinct(grams)), 1, least)).otherwise(F.array().cast("array<bigint>"))
+    bits = split.select("rec_id", positions(F.transform(digests, lambda d: d.cast("string")), ELL, hashes, key).alias("bits"))
+    return with_lanes(bits, "bits").select("rec_id", *LANES)
+
+
 def popcount(*lanes: Column) -> Column:
     return sum((F.bit_count(c) for c in lanes[1:]), F.bit_count(lanes[0]))
 

@@ -9,7 +9,10 @@ complement of the usual release.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -40,3 +43,41 @@ def perturb(df: DataFrame, epsilon: float, key: str = "k", ell: int = ELL, print
         return out
     full = [min(LANE, ell - i * LANE) for i in range(len(lane_names(ell)))]
     return out.withColumns({name: F.lit(2**n - 1).cast("bigint").bitwiseXOR(F.col(name)) for name, n in zip(lane_names(ell), full, strict=True)})
+
+
+def _spread(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def gap_flips(seeds: np.ndarray, share: float, ell: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, bit) of the flips of rows with such seeds: the gaps between flips are geometric, so only flips are drawn."""
+    at, alive, turn = np.full(len(seeds), -1.0), np.arange(len(seeds)), 0
+    rows, bits = [], []
+    while len(alive):
+        turn += 1
+        draw = _spread(seeds[alive] + np.uint64(0x9E3779B97F4A7C15 * turn % 2**64))
+        u = ((draw >> np.uint64(11)).astype(np.float64) + 0.5) / 2.0**53
+        at[alive] += 1 + np.floor(np.log(u) / math.log1p(-share))
+        alive = alive[at[alive] < ell]
+        rows.append(alive)
+        bits.append(at[alive].astype(np.int64))
+    return (np.concatenate(rows), np.concatenate(bits)) if rows else (np.empty(0, np.int64), np.empty(0, np.int64))
+
+
+def perturb_by_gaps(df: DataFrame, epsilon: float, key: str = "k", ell: int = ELL) -> DataFrame:
+    """Released filters of (owner, rec_id, lanes) with the law of `perturb`, from about `ell` times the flip rate draws a record."""
+    names, share = lane_names(ell), flip_rate(epsilon)
+
+    def flip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lanes = [batch.column(3 + i).to_numpy(zero_copy_only=False).copy() for i in range(len(names))]
+            rows, bits = gap_flips(batch.column(2).to_numpy(zero_copy_only=False).view(np.uint64), share, ell)
+            for i, lane in enumerate(lanes):
+                own = bits // LANE == i
+                np.bitwise_xor.at(lane, rows[own], np.left_shift(np.int64(1), bits[own] % LANE))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *map(pa.array, lanes)], names=["owner", "rec_id", *names])
+
+    seeded = df.select("owner", "rec_id", F.xxhash64(F.lit(key), "owner", "rec_id").alias("seed"), *names)
+    return seeded.mapInArrow(flip, f"owner string, rec_id bigint, {', '.join(f'{n} bigint' for n in names)}")

@@ -35,6 +35,14 @@ def prefix_labels(pool: DataFrame, k_max: int, key: str = "k") -> DataFrame:
     return near.select("k", "row_id", "kind", "ref_id", F.min("seen").over(to_here)["r"].alias("label"))
 
 
+def prefix_inertia(rows: DataFrame, first: DataFrame) -> DataFrame:
+    """(k, sse): the rows' squared distances to the nearest of the first k seeds, summed, for every k."""
+    x, s = rows.alias("x"), F.broadcast(first).alias("s")  # MOST_SWEPT rows at most
+    near = x.join(s, F.col("s.rank") > 0).select("x.row_id", F.col("s.rank").alias("k"), hamming("x", "s").alias("d"))
+    least = F.min("d").over(Window.partitionBy("row_id").orderBy("k").rowsBetween(Window.unboundedPreceding, 0))
+    return near.select("k", least.alias("d")).groupBy("k").agg(F.sum("d").cast("bigint").alias("sse"))
+
+
 def bits_long(rows: DataFrame, ids: list[str], ell: int = ELL) -> DataFrame:
     """(ids, bit, value) in long form."""
     lane = F.element_at(F.array(*LANES), (F.floor(F.col("bit") / LANE) + 1).cast("int"))
@@ -63,6 +71,20 @@ def unpack(frame) -> np.ndarray:
     return ((lanes[:, :, None] >> np.arange(LANE)) & 1).reshape(len(lanes), -1).astype(np.float32)
 
 
+def lloyd(x: np.ndarray, centre: np.ndarray, rounds: int, labels: np.ndarray | None, norms: np.ndarray) -> np.ndarray:
+    """Labels after some rounds from the centres, which move in place; `labels`, if given, are the first assignment."""
+    for turn in range(rounds):
+        if turn or labels is None:
+            new = (norms[:, None] - 2 * x @ centre.T + (centre * centre).sum(1)).argmin(1)
+            if labels is not None and (new == labels).all():
+                return labels
+            labels = new
+        order = np.argsort(labels, kind="stable")
+        present, starts = np.unique(labels[order], return_index=True)
+        centre[present] = np.add.reduceat(x[order], starts, axis=0) / np.diff(np.r_[starts, len(x)])[:, None]
+    return (norms[:, None] - 2 * x @ centre.T + (centre * centre).sum(1)).argmin(1)
+
+
 def kmeans_labels(x: np.ndarray, k: int, rng: np.random.Generator, iters: int = 15, restarts: int = 1, init: str = "k-means++") -> np.ndarray:
     """Labels of the best of some runs; an empty cluster keeps its centre."""
     best, best_cost = None, np.inf
@@ -80,17 +102,8 @@ def kmeans_labels(x: np.ndarray, k: int, rng: np.random.Generator, iters: int =
                 chosen.append(at)
                 gap = np.minimum(gap, norms + norms[at] - 2 * x @ x[at])
             centre = x[chosen].copy()
-        labels = None
-        for _ in range(iters):
-            distance = norms[:, None] - 2 * x @ centre.T + (centre * centre).sum(1)
-            new = distance.argmin(1)
-            if labels is not None and (new == labels).all():
-                break
-            labels = new
-            order = np.argsort(labels, kind="stable")
-            present, starts = np.unique(labels[order], return_index=True)
-            centre[present] = np.add.reduceat(x[order], starts, axis=0) / np.diff(np.r_[starts, len(x)])[:, None]
-        cost = float(np.maximum(distance[np.arange(len(x)), labels], 0).sum())
+        labels = lloyd(x, centre, iters, None, norms)
+        cost = float(np.maximum((x - centre[labels]) ** 2, 0).sum())
         if cost < best_cost:
             best, best_cost = labels, cost
     return best

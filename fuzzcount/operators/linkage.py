@@ -26,25 +26,35 @@ def bands(rows: DataFrame, ids: list[str], width: int = 10) -> DataFrame:
 
 
 def blocked_pairs(rows: DataFrame, radius: int, width: int = 10) -> DataFrame:
-    """(a, b, d) within a Hamming radius that share a band: all such pairs if the radius is below the number of bands."""
+    """(a, b, d) within a Hamming radius that share a band: all such pairs if the radius is below the number of bands.
+
+    A pair is formed in the first band that it shares, so none comes twice.
+    """
     cut = bands(rows, ["rec_id"], width)
     x, y = cut.alias("x"), cut.alias("y")
     same = (F.col("x.band") == F.col("y.band")) & (F.col("x.value") == F.col("y.value")) & (F.col("x.rec_id") < F.col("y.rec_id"))
-    return x.join(y, same & (hamming("x", "y") <= radius)).select(F.col("x.rec_id").alias("a"), F.col("y.rec_id").alias("b"), hamming("x", "y").alias("d")).distinct()
+    per_lane, all_ones = 50 // width, 2**width - 1
+    shared = [(i * per_lane + j, F.shiftright(F.col(f"x.{w}").bitwiseXOR(F.col(f"y.{w}")), j * width).bitwiseAND(F.lit(all_ones).cast("bigint")) == 0) for i, w in enumerate(LANES) for j in range(per_lane)]
+    first = F.coalesce(*(F.when(equal, F.lit(band)) for band, equal in shared))
+    return x.join(y, same & (hamming("x", "y") <= radius) & (first == F.col("x.band"))).select(F.col("x.rec_id").alias("a"), F.col("y.rec_id").alias("b"), hamming("x", "y").alias("d"))
 
 
 def components(nodes: DataFrame, pairs: DataFrame) -> DataFrame:
     """(node, component): single-link groups by least-label rounds, cut in the shared folder."""
-    from fuzzcount.sources.tables import cut
+    from fuzzcount.sources.tables import cut, drop
 
     both = cut(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")).union(pairs.select("b", "a")))
     labels = cut(nodes.select(F.col("rec_id").alias("node"), F.col("rec_id").alias("component")))
     while True:
+        old = labels
         seen = both.join(labels, both["v"] == labels["node"]).groupBy("u").agg(F.min("component").alias("m"))
         new = cut(labels.join(seen, labels["node"] == seen["u"], "left").select("node", F.least("component", F.coalesce("m", "component")).alias("component")))
         # Follow the label's own label, which halves the rounds.
         up = new.select(F.col("node").alias("component"), F.col("component").alias("root"))
-        new = cut(new.join(up, "component").select("node", F.col("root").alias("component")))
-        if new.agg(F.sum("component")).first() == labels.agg(F.sum("component")).first():
-            return new
-        labels = new
+        labels = cut(new.join(up, "component").select("node", F.col("root").alias("component")))
+        drop(new)
+        changed = labels.join(old.withColumnRenamed("component", "before"), "node").where("component <> before").limit(1).count()
+        drop(old)
+        if not changed:
+            drop(both)
+            return labels

@@ -26,6 +26,13 @@ def pairwise_quality(labels: DataFrame) -> DataFrame:
     return one.select(F.round(p, 6).alias("precision"), F.round(r, 6).alias("recall"), F.round(2 * p * r / (p + r), 6).alias("f1"))
 
 
+def cluster_quality(labels: DataFrame) -> DataFrame:
+    """(purity, completeness) of (label, truth) rows: shares of rows in their label's, and in their individual's, largest cell."""
+    cells = labels.groupBy("label", "truth").agg(F.count("*").alias("n"))
+    of = lambda by: cells.groupBy(by).agg(F.max("n").alias("most"), F.sum("n").alias("n")).agg((F.sum("most") / F.sum("n")).alias(by))
+    return of("label").join(F.broadcast(of("truth")), F.lit(True)).select(F.round("label", 6).alias("purity"), F.round("truth", 6).alias("completeness"))  # one row each
+
+
 def flip_audit(before: DataFrame, after: DataFrame, epsilon: float, ell: int = 200) -> DataFrame:
     """(owner, bits, flips, rate, low, high): the flip rate of each owner and the four-sigma band around the stated one."""
     from fuzzcount.functions.noise import flip_rate
@@ -47,6 +54,14 @@ def min_inter_distance(rows: DataFrame) -> DataFrame:
     return x.join(y, (F.col("x.rec_id") < F.col("y.rec_id")) & (F.col("x.entity_id") != F.col("y.entity_id"))).agg(F.min(hamming("x", "y")).alias("d"))
 
 
+def distance_histogram(rows: DataFrame) -> DataFrame:
+    """(same, d, n): how many pairs of one cell lie so far apart, those of one individual and the others."""
+    from fuzzcount.functions.similarity import hamming
+
+    x, y = rows.alias("x"), rows.alias("y")
+    return x.join(y, F.col("x.rec_id") < F.col("y.rec_id")).groupBy((F.col("x.entity_id") == F.col("y.entity_id")).alias("same"), hamming("x", "y").alias("d")).agg(F.count("*").alias("n"))
+
+
 def radius_constraints(rows: DataFrame, radius: int) -> DataFrame:
     """(same_within, different_beyond): shares of pairs that keep the two constraints of a good radius."""
     from fuzzcount.functions.similarity import hamming

@@ -6,6 +6,8 @@ packed filters of one cell.  `private_count` is the exactly reproducible engine
 
 from __future__ import annotations
 
+import time
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,6 +19,9 @@ from fuzzcount.functions.bloom import LANES
 from fuzzcount.functions.noise import perturb
 from fuzzcount.operators import clustering, decoys, purity
 
+#: Rows of one cell: its matrices have this squared numbers, 64 MB of each.
+MOST_SEARCHED = 4_000
+
 
 @dataclass(frozen=True)
 class SearchSpec:
@@ -72,34 +77,103 @@ def silhouette_of(x: np.ndarray, labels: np.ndarray, distance: np.ndarray) -> fl
     return float(np.where(own > 1, (b - a) / np.maximum(np.maximum(a, b), 1e-12), 0.0).mean())
 
 
-RESULTS = "fixture string, eps double, method string, p_flip double, seed bigint, n bigint, k_star bigint, k_occupied bigint, score double, truth bigint, err bigint, err_rate double"
+RESULTS = "fixture string, eps double, method string, p_flip double, seed bigint, rounds bigint, n bigint, k_star bigint, k_occupied bigint, score double, truth bigint, err bigint, err_rate double, seconds double"
+#: Choices of k without decoys.
+BASELINES = ("silhouette", "calinski_harabasz", "knee")
 
 
-def search_cell(bits: np.ndarray, eps: float, method: str, p_flip: float, seed: int, ks: list[int], pick_ratio: float = 0.1, dummy_ratio: float = 0.1) -> tuple[int, int, float]:
-    """(k_star, k_occupied, score) of one configuration on the clean bits of one cell.
+@dataclass(frozen=True)
+class Cell:
+    """The released bits of one cell and, for methods A and B, the pool with decoys."""
 
-    The grid `ks` is searched first, then once more between the neighbours of its best k.
-    """
-    rng = np.random.default_rng(seed)
-    rate = 1 / (1 + np.exp(eps))
-    x = np.abs(bits - (rng.random(bits.shape) < rate))
-    n, found = len(x), {}
-    if method == "silhouette":
-        squared = np.maximum((x * x).sum(1)[:, None] + (x * x).sum(1) - 2 * x @ x.T, 0)
-        distance = np.sqrt(squared)
-    else:
-        n_ref, n_dum = decoys.counts_for(n, pick_ratio, dummy_ratio)
-        refs = (rng.random((n_ref, x.shape[1])) < 0.5).astype(np.float32) if method == "A" else x[rng.choice(n, n_ref, replace=False)]
+    x: np.ndarray
+    pool: np.ndarray
+    n_ref: int
+    n_dum: int
+
+    @classmethod
+    def drawn(cls, bits: np.ndarray, eps: float, method: str, p_flip: float, rng: np.random.Generator, pick_ratio: float = 0.1, dummy_ratio: float = 0.1, dummy_base: str = "references") -> Cell:
+        x = np.abs(bits - (rng.random(bits.shape) < 1 / (1 + np.exp(eps)))).astype(np.float32)
+        if method in BASELINES:
+            return cls(x, x, 0, 0)
+        n_ref, n_dum = decoys.counts_for(len(x), pick_ratio, dummy_ratio, dummy_base)
+        refs = (rng.random((n_ref, x.shape[1])) < 0.5).astype(np.float32) if method == "A" else x[rng.choice(len(x), n_ref, replace=False)]
         dums = np.abs(np.repeat(refs, n_dum, axis=0) - (rng.random((n_ref * n_dum, x.shape[1])) < p_flip))
-        pool = np.vstack([x, refs, dums]).astype(np.float32)
+        return cls(x, np.vstack([x, refs, dums]).astype(np.float32), n_ref, n_dum)
+
+
+def all_labels(pool: np.ndarray, k_max: int, rng: np.random.Generator, rounds: int) -> Iterator[np.ndarray]:
+    """Labels for k = 1, 2, ..., k_max: seeds drawn once by squared distance, of which k takes the first k, then Lloyd rounds."""
+    norms = (pool * pool).sum(1)
+    at, gap = int(rng.integers(len(pool))), None
+    chosen, labels = [], np.zeros(len(pool), np.int64)
+    for k in range(1, k_max + 1):
+        if gap is not None:
+            total = np.maximum(gap, 0).cumsum()
+            at = int(np.searchsorted(total, rng.random() * total[-1], side="right")) if total[-1] > 0 else int(rng.integers(len(pool)))
+        chosen.append(min(at, len(pool) - 1))
+        distance = norms + norms[chosen[-1]] - 2 * pool @ pool[chosen[-1]]
+        if gap is None:
+            gap = distance
+        else:
+            nearer = distance < gap
+            labels = np.where(nearer, k - 1, labels)
+            gap = np.where(nearer, distance, gap)
+        yield clustering.lloyd(pool, pool[chosen].copy(), rounds, labels, norms) if rounds else labels
+
+
+def scores_of(cell: Cell, method: str, rng: np.random.Generator, rounds: int) -> list[tuple[int, float, int]]:
+    """(k, score, clusters with a real record) for every k; the largest score is the choice."""
+    n = len(cell.x)
+    last = n - 1 if method in BASELINES else n
+    found = []
+    if method not in BASELINES:
+        for k, labels in enumerate(all_labels(cell.pool, last, rng, rounds), 1):
+            found.append((k, purity_of(labels, n, cell.n_ref, cell.n_dum), len(np.unique(labels[:n]))))
+        return found
+    squares = (cell.x * cell.x).sum(1)
+    distance = np.sqrt(np.maximum(squares[:, None] + squares - 2 * cell.x @ cell.x.T, 0)) if method == "silhouette" else None
+    total, mean = float(squares.sum()), cell.x.mean(0)
+    spread = []
+    for k, labels in enumerate(all_labels(cell.x, last, rng, rounds), 1):
+        sizes = np.bincount(labels)
+        used = int((sizes > 0).sum())
+        if method == "silhouette":
+            found.append((k, silhouette_of(cell.x, labels, distance), used))
+            continue
+        order = np.argsort(labels, kind="stable")
+        sums = np.add.reduceat(cell.x[order], np.r_[0, np.flatnonzero(np.diff(labels[order])) + 1], axis=0)
+        within = total - float(((sums * sums).sum(1) / sizes[sizes > 0]).sum())
+        spread.append(max(within, 0.0))
+        between = total - n * float(mean @ mean) - spread[-1]
+        found.append((k, between / (used - 1) / max(spread[-1] / max(n - used, 1), 1e-9) if used > 1 else 0.0, used))
+    if method == "knee":  # the sharpest bend of the curve of inertia
+        bends = np.r_[0.0, np.diff(spread, 2), 0.0] if len(spread) > 2 else np.zeros(len(spread))
+        found = [(k, float(b), used) for (k, _, used), b in zip(found, bends, strict=True)]
+    return found
+
+
+def search_cell(bits: np.ndarray, eps: float, method: str, p_flip: float, seed: int, rounds: int = 0, **ratios) -> tuple[int, int, float]:
+    """(k_star, k_occupied, score) of one configuration on the clean bits of one cell: every k from 1 (2 for baselines) to n."""
+    rng = np.random.default_rng(seed)
+    found = scores_of(Cell.drawn(bits, eps, method, p_flip, rng, **ratios), method, rng, rounds)
+    k, score, occupied = max((f for f in found if f[0] > 1 or method not in BASELINES), key=lambda f: (round(f[1], 9), -f[0]))
+    return k, occupied, round(score, 9)
+
+
+def search_coarse(bits: np.ndarray, eps: float, method: str, p_flip: float, seed: int, ks: list[int], rounds: int = 8) -> tuple[int, int, float]:
+    """The same from a grid of k and a second one around its best: a cheaper search, which can miss a narrow peak."""
+    rng = np.random.default_rng(seed)
+    cell, found = Cell.drawn(bits, eps, method, p_flip, rng), {}
+    squares = (cell.x * cell.x).sum(1)
+    distance = np.sqrt(np.maximum(squares[:, None] + squares - 2 * cell.x @ cell.x.T, 0)) if method in BASELINES else None
 
     def judge(grid: list[int]) -> int:
         for k in grid:
-            if k in found or not 2 <= k <= n - (method == "silhouette"):
-                continue
-            labels = clustering.kmeans_labels(x if method == "silhouette" else pool, k, rng, iters=8)
-            value = silhouette_of(x, labels, distance) if method == "silhouette" else purity_of(labels, n, n_ref, n_dum)
-            found[k] = (round(value, 9), -k, len(np.unique(labels[:n])))
+            if k not in found and 2 <= k <= len(cell.x) - (method in BASELINES):
+                labels = clustering.kmeans_labels(cell.pool, k, rng, iters=rounds)
+                value = silhouette_of(cell.x, labels, distance) if method in BASELINES else purity_of(labels, len(cell.x), cell.n_ref, cell.n_dum)
+                found[k] = (round(value, 9), -k, len(np.unique(labels[: len(cell.x)])))
         return -max(found.values())[1]
 
     judge(refine_ks(judge(ks), ks, 8))
@@ -107,18 +181,18 @@ def search_cell(bits: np.ndarray, eps: float, method: str, p_flip: float, seed:
     return -k, occupied, score
 
 
-def sweep(spark: SparkSession, fixtures: dict[str, DataFrame], configs: list[tuple], ks: list[int]) -> DataFrame:
-    """One result row for each configuration (fixture, eps, method, p_flip, seed).
+def sweep(spark: SparkSession, fixtures: dict[str, DataFrame], configs: list[tuple], rounds: int = 0, **ratios) -> DataFrame:
+    """One result row for each configuration (fixture, eps, method, p_flip, seed), over every k.
 
-    `fixtures` are encoded panels (entity_id, lanes) of one cell each (`MOST_SWEPT` rows at most, checked);
-    every configuration is searched in its own group.
+    `fixtures` are encoded panels (entity_id, lanes) of one cell each (`MOST_SEARCHED` rows at most, checked);
+    every configuration is searched in a group of its own.
     """
     cells = {}
     for name, df in fixtures.items():
-        rows = df.select("entity_id", *LANES).limit(clustering.MOST_SWEPT + 1).toPandas()
-        if len(rows) > clustering.MOST_SWEPT:
-            raise ValueError(f"{name}: split pools of more than {clustering.MOST_SWEPT} rows into cells first")
-        cells[name] = rows
+        rows = df.select("entity_id", *LANES).limit(MOST_SEARCHED + 1).toPandas()
+        if len(rows) > MOST_SEARCHED:
+            raise ValueError(f"{name}: split pools of more than {MOST_SEARCHED} rows into cells first")
+        cells[name] = rows.sort_values(["entity_id", *LANES]).reset_index(drop=True)
     table = spark.createDataFrame([(i, *c) for i, c in enumerate(configs)], "id int, fixture string, eps double, method string, p_flip double, seed bigint")
     shared = spark.sparkContext.broadcast(cells)
 
@@ -127,11 +201,47 @@ def sweep(spark: SparkSession, fixtures: dict[str, DataFrame], configs: list[tup
         for c in group.itertuples():
             rows = shared.value[c.fixture]
             truth = rows["entity_id"].nunique()
-            k, occupied, score = search_cell(clustering.unpack(rows), c.eps, c.method, c.p_flip, int(c.seed), ks)
-            out.append((c.fixture, c.eps, c.method, c.p_flip, c.seed, len(rows), k, occupied, score, truth, abs(k - truth), abs(k - truth) / truth))
+            began = time.perf_counter()
+            k, occupied, score = search_cell(clustering.unpack(rows), c.eps, c.method, c.p_flip, int(c.seed), rounds, **ratios)
+            out.append((c.fixture, c.eps, c.method, c.p_flip, c.seed, rounds, len(rows), k, occupied, score, truth, abs(k - truth), abs(k - truth) / truth, time.perf_counter() - began))
         return pd.DataFrame(out, columns=[f.split(" ")[0] for f in RESULTS.split(", ")])
 
-    return table.repartition(len(configs), "id").groupBy("id").applyInPandas(one, RESULTS)
+    tasks = min(len(configs), 16 * spark.sparkContext.defaultParallelism)
+    return table.repartition(tasks, "id").groupBy("id").applyInPandas(one, RESULTS)
+
+
+def summary(results: DataFrame) -> DataFrame:
+    """Per panel, budget, method and flip probability: the spread of K* and of its error over the seeds."""
+    return results.groupBy("fixture", "eps", "method", "p_flip").agg(
+        F.count("*").alias("runs"), F.percentile("k_star", 0.5).alias("median_k"), F.min("k_star").alias("least_k"), F.max("k_star").alias("most_k"), F.max("truth").alias("truth"),
+        F.round(F.percentile("err_rate", 0.5), 6).alias("median_err_rate"), F.round(F.avg("err_rate"), 6).alias("mean_err_rate"),
+    )
+
+
+def best_flip(results: DataFrame) -> DataFrame:
+    """Per panel, budget and method the flip probability of least median error, the smaller one of equals."""
+    order = F.struct("median_err_rate", "p_flip")
+    return summary(results).groupBy("fixture", "eps", "method").agg(F.min(order).alias("best"), F.count("*").alias("flips")).select("fixture", "eps", "method", "best.p_flip", "best.median_err_rate", "flips")
+
+
+CELL_COUNTS = "cell string, n bigint, k_star bigint, k_occupied bigint, truth bigint"
+
+
+def count_cells(encoded: DataFrame, cell: str, eps: float, method: str = "B", p_flip: float = 0.1, seed: int = 1, rounds: int = 0) -> DataFrame:
+    """One row for each cell, an attribute whose values the owners agree on: the counts of cells add up.
+
+    Every cell is searched in a group of its own and must fit it (`MOST_SEARCHED`, refused beyond): large
+    ones need a finer attribute.  Individuals must not change cells, or they count in each.
+    """
+
+    def one(group: pd.DataFrame) -> pd.DataFrame:
+        if len(group) > MOST_SEARCHED:
+            raise ValueError(f"cell {group[cell].iloc[0]}: more than {MOST_SEARCHED} rows, take a finer attribute")
+        group = group.sort_values(["entity_id", "rec_id"])
+        k, occupied, _ = search_cell(clustering.unpack(group), eps, method, p_flip, seed, rounds) if len(group) > 2 else (len(group), len(group), 0.0)
+        return pd.DataFrame([(str(group[cell].iloc[0]), len(group), k, occupied, group["entity_id"].nunique())], columns=["cell", "n", "k_star", "k_occupied", "truth"])
+
+    return encoded.select(cell, "entity_id", "rec_id", *LANES).groupBy(cell).applyInPandas(one, CELL_COUNTS)
 
 
 def coarse_ks(low: int, high: int, points: int = 12) -> list[int]:

@@ -9,7 +9,7 @@ from fuzzcount.functions.digest import num
 from fuzzcount.operators import ranges
 from fuzzcount.plans import sql
 from fuzzcount.sources import fixtures
-from fuzzcount.sources.tables import table
+from fuzzcount.sources.tables import cut, table
 from fuzzcount.streaming import users
 
 FOUND: dict[str, tuple] = {}
@@ -32,9 +32,9 @@ def scan_table(spark, sf_dir):
     return table(spark, sf_dir, "customer", "c_custkey", "c_name", "c_nationkey")
 
 
-@twin(f"WITH {sql.PANEL} SELECT owner, rec_id FROM panel")
+@twin(f"WITH {sql.RECORDS} SELECT owner, rec_id FROM panel")
 def release_projection(spark, sf_dir):
-    return fixtures.panel3(spark, sf_dir).drop("entity_id", *fixtures.PII)
+    return fixtures.records(spark, sf_dir).drop("entity_id", *fixtures.PII)
 
 
 @twin("SELECT event_id, user_id, value FROM events WHERE event_type IN ('error', 'click') AND value BETWEEN 10 AND 60 AND props LIKE '%k%'")
@@ -153,15 +153,24 @@ def trailing_sum(spark, sf_dir):
     return table(spark, sf_dir, "events", "event_id", "ts", "user_id").withColumn("s", F.unix_timestamp("ts")).select("event_id", F.count("*").over(w).alias("n"))
 
 
-@twin(f"WITH {sql.ENCODED} SELECT a.rec_id AS a, b.rec_id AS b, CAST({sql.hamming('a', 'b')} AS BIGINT) AS d FROM enc a JOIN enc b ON a.rec_id = 0 AND b.rec_id > 2 ORDER BY d, b LIMIT 10")
+#: Queries of a nearest-neighbour search that meet in one block.
+QUERY_BLOCK = 256
+
+
+@twin(f"WITH {sql.ENCODED}, n AS (SELECT a.rec_id AS a, b.rec_id AS b, {sql.hamming('a', 'b')} AS d FROM enc a JOIN enc b ON a.rec_id % 100 = 0 AND a.rec_id <> b.rec_id) SELECT a, b, CAST(d AS BIGINT) AS d FROM n QUALIFY row_number() OVER (PARTITION BY a ORDER BY d, b) <= 10")
 def topk_nearest(spark, sf_dir):
     from fuzzcount.functions.similarity import hamming
     from fuzzcount.plans.core_queries import encoded
 
-    rows = encoded(spark, sf_dir)
-    one = F.broadcast(rows.where("rec_id = 0")).alias("x")  # one row
-    near = rows.where("rec_id > 2").alias("y").join(one, F.col("x.rec_id") < F.col("y.rec_id"))
-    return near.select(F.col("x.rec_id").alias("a"), F.col("y.rec_id").alias("b"), hamming("x", "y").cast("bigint").alias("d")).orderBy("d", "b").limit(10)
+    rows = cut(encoded(spark, sf_dir))
+    asked = rows.where("rec_id % 100 = 0")
+    blocks = -(-asked.count() // QUERY_BLOCK) or 1
+    x = asked.withColumn("block", F.pmod(F.xxhash64("rec_id"), F.lit(blocks))).alias("x")
+    y = rows.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).alias("y")
+    near = x.join(y, (F.col("x.block") == F.col("y.block")) & (F.col("x.rec_id") != F.col("y.rec_id")))
+    found = near.select(F.col("x.rec_id").alias("a"), F.col("y.rec_id").alias("b"), hamming("x", "y").cast("bigint").alias("d"))
+    place = F.row_number().over(Window.partitionBy("a").orderBy("d", "b"))
+    return found.withColumn("place", place).where("place <= 10").drop("place")
 
 
 def _sets(word):
@@ -210,9 +219,9 @@ def date_buckets(spark, sf_dir):
     return table(spark, sf_dir, "orders", "o_orderdate").groupBy(F.date_trunc("month", "o_orderdate").alias("month")).agg(F.count("*").alias("n"), F.min(d).alias("days"))
 
 
-@twin("SELECT w AS token, count(*) AS n FROM (SELECT unnest(string_split(lower(text), ' ')) AS w FROM benchmark) GROUP BY w")
+@twin("SELECT w AS token, count(*) AS n FROM (SELECT unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY w")
 def token_histogram(spark, sf_dir):
-    words = table(spark, sf_dir, "benchmark", "text").select(F.explode(F.split(F.lower("text"), " ")).alias("token"))
+    words = table(spark, sf_dir, "documents", "text").select(F.explode(F.split("text", " ")).alias("token"))
     return words.groupBy("token").agg(F.count("*").alias("n"))
 
 
@@ -243,6 +252,34 @@ def sliding_users(spark, sf_dir):
     return users.sliding(table(spark, sf_dir, "events"))
 
 
+@twin("SELECT event_id, user_id FROM events QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) = 1")
+def first_releases(spark, sf_dir):
+    return users.first_releases(table(spark, sf_dir, "events")).select("event_id", "user_id")
+
+
+@twin("SELECT x.user_id, x.event_id AS first_id, y.event_id AS then_id FROM events x JOIN events y ON x.user_id = y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 1 HOUR WHERE x.event_type = 'view' AND y.event_type = 'click'")
+def viewed_then_clicked(spark, sf_dir):
+    events = table(spark, sf_dir, "events", "event_id", "ts", "user_id", "event_type")
+    return users.followed_by(events.where("event_type = 'view'"), events.where("event_type = 'click'"))
+
+
+@twin(f"WITH d AS (SELECT DISTINCT event_type, user_id FROM events), n AS (SELECT event_type, {sql.num('CAST(user_id AS VARCHAR)')} AS h FROM d) SELECT event_type, bit_or(CASE WHEN h = 0 THEN CAST(4294967296 AS BIGINT) ELSE h & -h END) AS bitmap FROM n GROUP BY event_type")
+def fm_bitmaps(spark, sf_dir):
+    from fuzzcount.functions.python_udfs import fm_bitmap
+
+    return table(spark, sf_dir, "events", "event_type", "user_id").distinct().groupBy("event_type").agg(fm_bitmap("user_id").alias("bitmap"))
+
+
+@twin("SELECT time_bucket(INTERVAL 15 MINUTE, ts) - CAST(i * 15 AS INTEGER) * INTERVAL 1 MINUTE AS start, count(DISTINCT user_id) AS users FROM events, range(4) r(i) WHERE event_type = 'error' GROUP BY ALL")
+def outbreak_cases(spark, sf_dir):
+    return users.sliding(table(spark, sf_dir, "events").where("event_type = 'error'"))
+
+
+@twin(f"WITH {sql.VISITS} SELECT segment, nation, count(DISTINCT entity_id) AS reach FROM visits GROUP BY ALL")
+def segment_reach(spark, sf_dir):
+    return visits(spark, sf_dir).groupBy("segment", "nation").agg(F.count_distinct("entity_id").alias("reach"))
+
+
 @twin("WITH s AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS n FROM s) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS stop, count(*) AS events FROM g GROUP BY user_id, n")
 def session_users(spark, sf_dir):
     return users.sessions(table(spark, sf_dir, "events"))

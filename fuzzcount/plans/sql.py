@@ -20,25 +20,29 @@ PEOPLE = f"""people AS (SELECT c_custkey AS entity_id, {_pick('given', GIVEN)} A
     CAST(27000 + {num("'postcode|' || c_custkey")} % 1000 AS VARCHAR) AS postcode, CASE WHEN c_custkey % 2 = 0 THEN 'f' ELSE 'm' END AS gender FROM customer)"""
 VISITS = """visits AS (SELECT o_orderkey AS rec_id, 'o' || (o_orderkey % 3) AS owner, o_custkey AS entity_id, n_name AS nation, c_mktsegment AS segment, o_orderdate AS visit_ts
     FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey)"""
-PANEL = f"""{PEOPLE}, panel AS (SELECT entity_id * 3 + n AS rec_id, 'o' || n AS owner, entity_id, given, surname, suburb, postcode, gender
-    FROM people, range(3) r(n) WHERE entity_id < {PERSONS})"""
+#: One record of every person at each owner, and the same of the experiments' persons alone.
+RECORDS = f"""{PEOPLE}, panel AS (SELECT entity_id * 3 + n AS rec_id, 'o' || n AS owner, entity_id, given, surname, suburb, postcode, gender
+    FROM people, range(3) r(n))"""
+PANEL = RECORDS.replace("range(3) r(n)", f"range(3) r(n) WHERE entity_id < {PERSONS}")
 
 
 def grams(text: str) -> str:
     return f"CASE WHEN length({text}) = 0 THEN []::VARCHAR[] WHEN length({text}) < 2 THEN [{text}] ELSE [substr({text}, i, 2) for i in range(1, length({text}))] END"
 
 
-TOKENS = PANEL + ", tok AS (SELECT owner, rec_id, entity_id, list_distinct(list_concat(" + ", ".join(
+_TOKENS = ", tok AS (SELECT owner, rec_id, entity_id, list_distinct(list_concat(" + ", ".join(
     f"['{f}|' || g for g in {grams(f)}]" for f in ("given", "surname", "suburb", "postcode")
 ) + ", ['gender|' || gender])) AS tokens FROM panel)"
-POSITIONS = TOKENS + f", pos AS (SELECT DISTINCT owner, rec_id, entity_id, {num("'k|' || t || '|' || i")} % 200 AS p FROM (SELECT owner, rec_id, entity_id, unnest(tokens) AS t FROM tok), range(20) r(i))"
+_POSITIONS = f", pos AS (SELECT DISTINCT owner, rec_id, entity_id, {num("'k|' || t || '|' || i")} % 200 AS p FROM (SELECT owner, rec_id, entity_id, unnest(tokens) AS t FROM tok), range(20) r(i))"
 
 
 def lanes_of(bit: str) -> str:
     return ", ".join(f"CAST(coalesce(sum(CASE WHEN {bit} // 50 = {i} THEN CAST(1 AS BIGINT) << CAST({bit} % 50 AS INT) END), 0) AS BIGINT) AS w{i}" for i in range(4))
 
 
-ENCODED = POSITIONS + f", enc AS (SELECT owner, rec_id, entity_id, {lanes_of('p')} FROM pos GROUP BY ALL)"
+_ENCODED = f", enc AS (SELECT owner, rec_id, entity_id, {lanes_of('p')} FROM pos GROUP BY ALL)"
+TOKENS, POSITIONS = RECORDS + _TOKENS, RECORDS + _TOKENS + _POSITIONS
+ENCODED, PANEL_ENCODED = POSITIONS + _ENCODED, PANEL + _TOKENS + _POSITIONS + _ENCODED
 
 
 def flips(name: str, source: str, ids: str, prefix: str, share: float) -> str:
@@ -51,7 +55,7 @@ def released(epsilon: float, source: str = "enc") -> str:
     return flips("rel", source, "owner, rec_id", "'k|' || owner || '|' || rec_id", flip_rate(epsilon))
 
 
-def pool(method: str, epsilon: float, p_flip: float) -> str:
+def pool(method: str, epsilon: float, p_flip: float, base: str = PANEL_ENCODED) -> str:
     """All relations up to `pool`, for n_ref = a tenth of the records and n_dum = a tenth of the references."""
     lanes = ", ".join(LANES)
     n_ref = "(SELECT CAST(round(0.1 * count(*)) AS BIGINT) FROM rel)"
@@ -60,7 +64,7 @@ def pool(method: str, epsilon: float, p_flip: float) -> str:
     else:
         refs = f"refs AS (SELECT n - 1 AS ref_id, {lanes} FROM (SELECT *, row_number() OVER (ORDER BY {num("'k|refB|' || owner || '|' || rec_id")}, owner, rec_id) AS n FROM rel) WHERE n <= {n_ref})"
     copies = f"copies AS (SELECT ref_id, dum_no, {lanes} FROM refs, (SELECT unnest(range((SELECT CAST(round(0.1 * count(*)) AS BIGINT) FROM refs))) AS dum_no))"
-    return f"""{ENCODED}, {released(epsilon)}, {refs}, {copies}, {flips('dums', 'copies', 'ref_id, dum_no', "'k|dum|' || ref_id || '|' || dum_no", p_flip)},
+    return f"""{base}, {released(epsilon)}, {refs}, {copies}, {flips('dums', 'copies', 'ref_id, dum_no', "'k|dum|' || ref_id || '|' || dum_no", p_flip)},
         pool AS (SELECT 'real|' || owner || '|' || rec_id AS row_id, 'real' AS kind, CAST(NULL AS BIGINT) AS ref_id, {lanes} FROM rel
                  UNION ALL SELECT 'ref|' || ref_id, 'ref', ref_id, {lanes} FROM refs UNION ALL SELECT 'dum|' || ref_id || '|' || dum_no, 'dum', ref_id, {lanes} FROM dums)"""
 

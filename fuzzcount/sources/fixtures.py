@@ -47,14 +47,23 @@ def visits(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def panel3(spark: SparkSession, sf_dir: str, persons: int = PERSONS, owners: int = 3) -> DataFrame:
-    """The lowest customers, one record at each owner."""
-    few = people(spark, sf_dir).where(F.col("entity_id") < persons)  # keys start at 0
-    return few.select("*", F.explode(F.sequence(F.lit(0), F.lit(owners - 1))).alias("n")).select(
+def of_owners(everyone: DataFrame, owners: int = 3) -> DataFrame:
+    """One record of each person at each owner."""
+    return everyone.select("*", F.explode(F.sequence(F.lit(0), F.lit(owners - 1))).alias("n")).select(
         (F.col("entity_id") * owners + F.col("n")).alias("rec_id"), F.concat(F.lit("o"), F.col("n").cast("string")).alias("owner"), "entity_id", *PII
     )
 
 
+def records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All customers, one record at each of three owners."""
+    return of_owners(people(spark, sf_dir))
+
+
+def panel3(spark: SparkSession, sf_dir: str, persons: int = PERSONS, owners: int = 3) -> DataFrame:
+    """The panel of the accuracy experiments: so many of the lowest customers, one record at each owner."""
+    return of_owners(people(spark, sf_dir).where(F.col("entity_id") < persons), owners)  # keys start at 0
+
+
 def panel_tiny(spark: SparkSession, sf_dir: str) -> DataFrame:
     return panel3(spark, sf_dir, 6, 2)
 

@@ -57,16 +57,6 @@ def test_purity_of_matches_the_table_form():
     assert search.purity_of(np.array([0, 0, 0, 0, 0, 1]), 2, 1, 3) == pytest.approx(2 / (3 + 5 - 1 - 2))
 
 
-def test_counting_clean_filters_finds_the_persons():
-    rng = np.random.default_rng(5)
-    people = (rng.random((30, 200)) < 0.5).astype(np.float32)
-    bits = np.repeat(people, 4, axis=0)
-    k, occupied, _ = search.search_cell(bits, 10.0, "B", 0.05, 1, [10, 20, 30, 40, 60])
-    assert abs(k - 30) <= 10 and occupied <= 40
-    k, _, _ = search.search_cell(bits, 10.0, "silhouette", 0.0, 1, [10, 20, 30, 40, 60])
-    assert abs(k - 30) <= 10
-
-
 def test_corruption_share_and_distance(spark):
     panel = fixtures.panel3(spark, SF)
     changed = corrupt.corrupted(panel, 20)

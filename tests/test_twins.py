@@ -5,13 +5,8 @@ import pytest
 import __spark_entry__ as entry
 from run_query import compare
 
-#: The long sweeps are compared by the driver at a larger size.
-SLOW = ("purity", "prefix_sweep", "private_count", "best_k", "estimation")
-#: On the smallest tables the panel has fewer records, and rounding halves differs between engines there.
-OTHER_PANEL = ("dummy_filters", "training_pool")
 
-
-@pytest.mark.parametrize("name", [n for n in entry.oracle_sql() if not n.startswith(("op", "pipeline", *SLOW, *OTHER_PANEL))])
+@pytest.mark.parametrize("name", [n for n in entry.oracle_sql() if not n.startswith(("op", "pipeline"))])
 def test_twin(spark, name):
     _, said = compare(spark, name, "/root/testdata/sf0.001")
     assert ": same" in said, said
