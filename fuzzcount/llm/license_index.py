@@ -8,8 +8,8 @@ cannot score enough, so none is left out, whatever the length of a text or the n
 Alignments are scored in full, the share of the template's weight whose words agree, and a template's label
 counts only if its mandatory key phrase stands in the text.  A base label scores 1.
 
-Only DataFrame operations are used.  Texts are read twice: for base places and word frequencies, and for the
-texts with a posting.
+Only DataFrame operations are used.  Texts are read twice: for base places and word frequencies, and those that
+have a posting once more.
 
 Edge cases: a null text counts as empty; a text without words has no place and no label and scores 0; rows that share
 an id are scanned each for itself; overlapping places all count; an empty table gives no rows.
@@ -76,9 +76,9 @@ def starts_of(words: Column, phrase: str) -> Column:
 
 
 def worded(docs: DataFrame) -> DataFrame:
-    """`docs` (doc_id, text) as (doc_id, text_key, normal, words); rows that are equal in id and text have equal keys."""
+    """`docs` (doc_id, text, text_key) as (doc_id, text_key, normal, words)."""
     # One element exploded: the plan then computes it once, not in each expression, or each step of a lambda, that uses it.
-    rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
+    rows = docs.select("doc_id", "text_key", F.explode(F.array(trimmed_words(F.col("text")))).alias("normal"))
     return rows.select("doc_id", "text_key", "normal", F.explode(F.array(F.split(F.trim("normal"), " "))).alias("words"))
 
 
@@ -94,10 +94,11 @@ def scanned(docs: DataFrame, templates: list[Template]) -> DataFrame:
     )
 
 
-def rarities(rows: DataFrame, total: int) -> dict[str, float]:
-    """Inverse document frequency of each licence word that occurs (a row per word of the templates at most)."""
-    seen = rows.select(F.explode("licence_words").alias("word")).groupBy("word").agg(F.count("*").alias("n")).collect()
-    return {r["word"]: math.log((total + 1) / (r["n"] + 0.5)) for r in seen}
+def rarities(rows: DataFrame, templates: list[Template], total: int) -> dict[str, float]:
+    """Inverse document frequency of each word of the templates, those that no text has included."""
+    seen = rows.select(F.explode("licence_words").alias("word")).groupBy("word").agg(F.count("*").alias("n")).collect()  # the words of the templates at most
+    n = {r["word"]: r["n"] for r in seen}
+    return {w: math.log((total + 1) / (n.get(w, 0) + 0.5)) for t in templates for w in t.words.split(" ")}
 
 
 def rarest_places(weights: list[float]) -> list[int]:
@@ -134,13 +135,15 @@ def key_of() -> Column:
 def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFrame:
     """One row per row of `docs` (doc_id, text); see the module's text and the columns below."""
     spark = docs.sparkSession
-    docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("text_key", F.xxhash64("text"))
     rows = cut(scanned(docs, templates))
-    idf = rarities(rows, rows.count())
+    idf = rarities(rows, templates, rows.count())
     postings = postings_of(templates, idf)
     index = F.broadcast(spark.createDataFrame(postings, "word string, template int, at int"))  # the words of the templates at most
 
-    with_posting = worded(docs).where(F.arrays_overlap("words", F.array(*map(F.lit, sorted({word for word, _, _ in postings})))))
+    rare = F.array(*map(F.lit, sorted({word for word, _, _ in postings})))
+    met = cut(rows.where(F.arrays_overlap("licence_words", rare)).select(key_of().alias("key")).distinct())
+    with_posting = worded(docs.join(met, key_of() == F.col("key"), "left_semi"))
     named = F.array_compact(F.array(*(F.when(F.contains("normal", F.lit(f" {t.mandatory} ")), number) for number, t in enumerate(templates))))
     held = cut(with_posting.select(F.monotonically_increasing_id().alias("row"), key_of().alias("key"), "words", named.alias("named")))
     tokens = held.select("row", F.posexplode("words").alias("place", "word"))
@@ -152,7 +155,7 @@ def licences(docs: DataFrame, templates: list[Template] = TEMPLATES) -> DataFram
     scored = pairs.select("key", "named", "template", "label", score.alias("score")).where(F.col("score") >= ACCEPT)
     verified = scored.where(F.array_contains("named", F.col("template")))
     found = cut(verified.groupBy("key").agg(F.collect_set("label").alias("own_labels"), F.max("score").alias("own_score")))
-    drop(held, aligned)
+    drop(met, held, aligned)
 
     places = F.concat(*(F.col(f"base_{i}") for i in range(len(BASE))))
     base = F.filter(F.array(*(F.when(F.size(f"base_{i}") > 0, label) for i, label in enumerate(BASE.values()))), lambda x: x.isNotNull())
