@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 from itertools import count
 from weakref import WeakKeyDictionary
 
@@ -15,6 +17,7 @@ CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 _RUN, _STEPS = uuid.uuid4().hex, count(1)
 _FOLDERS: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+_LIVE: dict[str, None] = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -45,6 +48,7 @@ def new_folder(spark: SparkSession, name: str) -> str:
     files, path = _place(spark, folder)
     files.mkdirs(path)
     files.deleteOnExit(path)
+    _LIVE[folder] = None
     return folder
 
 
@@ -52,6 +56,7 @@ def remove_folder(spark: SparkSession, folder: str) -> None:
     files, path = _place(spark, folder)
     files.delete(path, True)
     files.cancelDeleteOnExit(path)
+    _LIVE.pop(folder, None)
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -79,5 +84,10 @@ def drop(*tables: DataFrame) -> None:
             remove_folder(df.sparkSession, folder)
 
 
-def tidy(spark: SparkSession) -> None:
-    """Nothing: `cut` leaves no garbage."""
+@contextmanager
+def passing_steps(spark: SparkSession) -> Iterator[None]:
+    """Remove at the end what was written inside and not dropped: for results that are written elsewhere before."""
+    before = set(_LIVE)
+    yield
+    for folder in [f for f in _LIVE if f not in before]:
+        remove_folder(spark, folder)
