@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
 from fuzzcount.llm.cuckoo import drop_exact_copies
@@ -11,7 +9,7 @@ from fuzzcount.llm.near_copies import drop_near_copies
 from fuzzcount.llm.phrase_index import drop_contaminated
 from fuzzcount.llm.queries import packed
 from fuzzcount.llm.toxic_segments import drop_toxic, train
-from fuzzcount.sources.tables import shared_folder, table
+from fuzzcount.sources.tables import new_folder, passing_steps, remove_folder, table
 
 
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,10 +44,17 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over `documents`; what each returns is written to the shared folder and read again."""
-    folder = f"{shared_folder(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
-    docs = table(spark, sf_dir, "documents")
+    """All stages over `documents`; what each returns is written to the shared folder and read again.
+
+    A stage's own steps go when it is written, its result when the next one is, the last when the driver ends.
+    """
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
+        folder = new_folder(spark, f"pipeline-{name}")
+        with passing_steps(spark):
+            stage(spark, docs, sf_dir).write.mode("overwrite").parquet(folder)
+        docs = spark.read.parquet(folder)
+        if before:
+            remove_folder(spark, before)
+        before = folder
     return docs
