@@ -26,7 +26,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzcount.sources.tables import cut, shared_folder
+from fuzzcount.sources.tables import cut, drop, new_folder
 
 MIN_SHARED = 100
 ROLL_BYTES = 128 << 20
@@ -168,6 +168,7 @@ def with_revisits(pages: DataFrame) -> DataFrame:
     rows = cut(pages.where(F.octet_length("html") >= MIN_SHARED).where("page_id IS NOT NULL").select("page_id", key.alias("digest")))
     shared = cut(rows.groupBy("digest").agg(F.min("page_id").alias("refers_to"), F.max("page_id").alias("last")).where("refers_to < last").select("digest", "refers_to"))
     later = cut(rows.join(shared, "digest").where("page_id > refers_to").select("page_id", "digest", "refers_to").distinct())
+    drop(rows, shared)
     return pages.withColumn("digest", key).join(later, ["page_id", "digest"], "left").select("page_id", "url", "html", "refers_to")
 
 
@@ -207,6 +208,6 @@ def read_archives(manifest: DataFrame) -> DataFrame:
 
 
 def round_trip(pages: DataFrame, folder: str | None = None) -> DataFrame:
-    """Write the pages to a fresh folder below `folder` (default: the shared one) and read the archives back."""
-    folder = f"{(folder or shared_folder(pages.sparkSession)).rstrip('/')}/warc-{uuid.uuid4().hex}"
+    """Write the pages to a fresh folder below `folder` (default: one in the shared folder, which goes when the driver ends) and read the archives back."""
+    folder = f"{folder.rstrip('/')}/warc-{uuid.uuid4().hex}" if folder else new_folder(pages.sparkSession, "warc")
     return read_archives(write_archives(pages, folder))
