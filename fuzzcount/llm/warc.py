@@ -4,8 +4,8 @@
 machines share, under a name of its own per attempt, so a repeated task leaves whole files only.
 Of records with equal payloads of at least `MIN_SHARED` bytes the one with the smallest page id is a
 response and the others are revisits that name it; smaller payloads are always responses.
-`read_archives` walks such files in order: it inflates one member at a time from a bounded buffer,
-frames the record by its content length, and verifies block and payload digests as it goes.
+`read_archives` walks such files in order: it inflates a member piece by piece, frames the record by its
+content length, and verifies block and payload digests as the pieces come, so a long record is never held whole.
 
 Edge cases: a null payload counts as empty; a page with a null id is a response; rows that repeat both
 id and payload are each written, with the same type; an empty table leaves no archive and gives no rows.
@@ -102,23 +102,28 @@ class ArchiveWriter:
         return {"path": self.name, "records": self.records, "bytes": size}
 
 
-def read_members(stream) -> Iterator[tuple[int, bytes]]:
-    """(number, content) of each gzip member, inflated piece by piece."""
+def read_members(stream) -> Iterator[tuple[int, Iterator[bytes]]]:
+    """(number, pieces) of each gzip member: pieces of `CHUNK` bytes at most, which are to be taken before the next member."""
     waiting, number = b"", 0
-    while True:
-        if not waiting:
-            waiting = stream.read(CHUNK)
-            if not waiting:
-                return
-        inflate, parts = zlib.decompressobj(31), []
+
+    def pieces(inflate, number: int) -> Iterator[bytes]:
+        nonlocal waiting
         while not inflate.eof:
             if not waiting:
                 waiting = stream.read(CHUNK)
                 if not waiting:
                     raise ValueError(f"gzip member {number} is cut off")
-            parts.append(inflate.decompress(waiting))
-            waiting = inflate.unused_data if inflate.eof else b""
-        yield number, b"".join(parts)
+            piece = inflate.decompress(waiting, CHUNK)
+            waiting = inflate.unused_data if inflate.eof else inflate.unconsumed_tail
+            if piece:
+                yield piece
+
+    while True:
+        if not waiting:
+            waiting = stream.read(CHUNK)
+            if not waiting:
+                return
+        yield number, pieces(zlib.decompressobj(31), number)
         number += 1
 
 
@@ -127,36 +132,70 @@ def _fields(head: bytes) -> tuple[str, dict[str, str]]:
     return first, {k.strip().lower(): v.strip() for k, _, v in (line.partition(":") for line in lines)}
 
 
-def parse_record(data: bytes) -> dict:
-    """The fields of one record, framed by its content length and checked against its digests."""
-    head, found, rest = data.partition(b"\r\n\r\n")
-    version, fields = _fields(head)
-    if not found or not version.startswith("WARC/"):
+END = b"\r\n\r\n"
+
+
+def parse_record(pieces: Iterator[bytes], keep_payload: bool = True) -> dict:
+    """The fields of one record, framed by its content length and checked against its digests as its pieces come.
+
+    Without its payload no more than the headers and a piece are held at a time.
+    """
+    held, pieces = bytearray(), iter(pieces)
+
+    def more() -> bool:
+        piece = next(pieces, None)
+        held.extend(piece or b"")
+        return piece is not None
+
+    while (at := held.find(END)) < 0:
+        if not more():
+            raise ValueError("no WARC header")
+    version, fields = _fields(bytes(held[:at]))
+    del held[: at + len(END)]
+    if not version.startswith("WARC/"):
         raise ValueError("no WARC header")
-    length = int(fields["content-length"])
-    block = rest[:length]
-    if len(block) != length or rest[length:] != b"\r\n\r\n":
-        raise ValueError(f"block of {len(rest) - 4} bytes, content length {length}")
-    if fields["warc-block-digest"] != "sha256:" + hashlib.sha256(block).hexdigest():
+    left, head, in_head = int(fields["content-length"]), bytearray(), True
+    block, body, size, payload = hashlib.sha256(), hashlib.sha256(), 0, []
+    while left:
+        if not held and not more():
+            raise ValueError(f"the block ends {left} bytes before its content length")
+        part = bytes(held[:left])
+        del held[: len(part)]
+        left -= len(part)
+        block.update(part)
+        if in_head:
+            head += part
+            if (at := head.find(END)) < 0:
+                continue
+            part, in_head = bytes(head[at + len(END) :]), False
+            del head[at:]
+        body.update(part)
+        size += len(part)
+        if keep_payload:
+            payload.append(part)
+    while len(held) <= len(END) and more():
+        pass
+    if held != END:
+        raise ValueError("the record goes on after its content length")
+    if fields["warc-block-digest"] != "sha256:" + block.hexdigest():
         raise ValueError("block digest differs")
-    http, _, payload = block.partition(b"\r\n\r\n")
-    stated, kind = int(_fields(http)[1]["content-length"]), fields["warc-type"]
+    stated, kind = int(_fields(bytes(head))[1]["content-length"]), fields["warc-type"]
     digest = fields["warc-payload-digest"].removeprefix("sha256:")
-    if kind == "response" and (len(payload) != stated or digest != hashlib.sha256(payload).hexdigest()):
+    if kind == "response" and (size != stated or digest != body.hexdigest()):
         raise ValueError("payload differs from its length or digest")
     number = lambda name: int(fields[name]) if name in fields else None
     return {
         "page_id": number("page-id"), "url": fields.get("warc-target-uri"), "payload_bytes": stated, "payload_digest": digest,
-        "record_type": kind, "refers_to": number("refers-to-page-id"), "payload": payload,
+        "record_type": kind, "refers_to": number("refers-to-page-id"), "payload": b"".join(payload) if keep_payload else None,
     }
 
 
-def read_archive(path: str) -> Iterator[dict]:
+def read_archive(path: str, keep_payload: bool = True) -> Iterator[dict]:
     store, name = open_store(path)
     with store.open_input_stream(name, compression=None) as stream:
         try:
-            for number, data in read_members(stream):
-                yield parse_record(data) | {"path": path, "at": number}
+            for number, pieces in read_members(stream):
+                yield parse_record(pieces, keep_payload) | {"path": path, "at": number}
         except (ValueError, KeyError, zlib.error) as error:
             raise ValueError(f"{path}: {error}") from error
 
@@ -195,7 +234,7 @@ def read_archives(manifest: DataFrame) -> DataFrame:
         for batch in batches:
             for path in batch.column(0).to_pylist():
                 rows = []
-                for found in read_archive(path):
+                for found in read_archive(path, keep_payload=False):
                     found.pop("payload")
                     rows.append(found)
                     if len(rows) == 2000:

@@ -82,6 +82,26 @@ def test_archives_roll_and_damage_is_told(spark, tmp_path):
         list(read_archive(files[0]))
 
 
+def test_long_records_are_read_in_pieces(tmp_path, monkeypatch):
+    """Members longer than a piece, payloads that look like ends of records, and wrong lengths."""
+    import gzip
+
+    from fuzzcount.llm import warc
+
+    monkeypatch.setattr(warc, "CHUNK", 97)
+    payloads = [random.Random(i).randbytes(5000) + b"\r\n\r\n" * 3 for i in range(4)] + [b"", b"x"]
+    records = [warc.record(i, "http://u/", p, None) for i, p in enumerate(payloads)]
+    path = tmp_path / "a.warc.gz"
+    path.write_bytes(b"".join(r if r[:2] == b"\x1f\x8b" else gzip.compress(r) for r in records))
+    found = list(warc.read_archive(str(path)))
+    assert [f["payload"] for f in found] == payloads and [f["at"] for f in found] == list(range(6))
+    assert [f["payload"] for f in warc.read_archive(str(path), keep_payload=False)] == [None] * 6
+    plain = records[0] if records[0][:5] == b"WARC/" else gzip.decompress(records[0])
+    for broken in (plain[:-4], plain + b"more", plain.replace(b"WARC/1.1", b"nothing", 1), plain.replace(payloads[0][:9], b"123456789", 1)):
+        with pytest.raises(ValueError):
+            warc.parse_record(iter([broken[i : i + 50] for i in range(0, len(broken), 50)]))
+
+
 def test_crowded_bins_equal_brute_force(spark, monkeypatch):
     """Many distinct texts around one passage meet in one bin, which is split by the next least hashes and then counted."""
     rng = random.Random(5)
