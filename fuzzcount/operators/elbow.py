@@ -2,23 +2,45 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 #: The exact silhouette compares all pairs of a cell; larger tables take the cluster-moment form.
 MOST_COMPARED = 20_000
+#: Rows whose distances to all others are held at a time: 160 MB at most.
+COMPARED_AT_ONCE = 1_000
 
 
 def silhouette(rows: DataFrame) -> DataFrame:
-    """(silhouette) of (id, v array, label), exact, by Euclidean distance; a row alone counts 0."""
+    """(silhouette) of (id, v array, label), exact, by Euclidean distance; a row alone counts 0, a single label gives null."""
     if rows.count() > MOST_COMPARED:
         raise ValueError(f"more than {MOST_COMPARED} rows: use silhouette_moments")
-    x, y = rows.alias("x"), F.broadcast(rows).alias("y")  # the rows of one cell, checked above
-    gap = F.sqrt(F.aggregate(F.zip_with("x.v", "y.v", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda t, d: t + d))
-    sums = x.join(y, F.col("x.id") != F.col("y.id")).groupBy("x.id", F.col("x.label").alias("own"), F.col("y.label").alias("other")).agg(F.avg(gap).alias("mean"))
-    parts = sums.groupBy("id", "own").agg(F.max(F.when(F.col("own") == F.col("other"), F.col("mean"))).alias("a"), F.min(F.when(F.col("own") != F.col("other"), F.col("mean"))).alias("b"))
-    score = F.when(F.col("a").isNull(), 0.0).otherwise((F.col("b") - F.col("a")) / F.greatest("a", "b"))
-    return parts.select(F.avg(score).alias("silhouette"))
+    found = rows.select("v", "label").toArrow()  # the rows of one cell, checked above
+    labels, own = np.unique(found.column("label").to_numpy(), return_inverse=True)
+    every = np.array(found.column("v").to_pylist(), np.float64).reshape(len(own), -1)
+    shared = rows.sparkSession.sparkContext.broadcast((every, labels, np.eye(len(labels))[own]))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        every, labels, member = shared.value
+        squares, sizes = (every * every).sum(1), member.sum(0)
+        for batch in batches:
+            for at in range(0, batch.num_rows, COMPARED_AT_ONCE):
+                part = batch.slice(at, COMPARED_AT_ONCE)
+                x, own = np.array(part.column(0).to_pylist(), np.float64), np.searchsorted(labels, part.column(1).to_numpy(zero_copy_only=False))
+                sums = np.sqrt(np.maximum((x * x).sum(1)[:, None] + squares - 2 * x @ every.T, 0)) @ member
+                line = np.arange(len(x))
+                a = sums[line, own] / np.maximum(sizes[own] - 1, 1)
+                means = sums / sizes
+                means[line, own] = np.inf
+                b = means.min(1)
+                score = np.where(sizes[own] > 1, (b - a) / np.maximum(np.maximum(a, b), 1e-300), 0.0)
+                yield pa.RecordBatch.from_arrays([pa.array(score if len(labels) > 1 else [None] * len(x), pa.float64())], names=["score"])
+
+    return rows.select("v", "label").mapInArrow(compare, "score double").agg(F.avg("score").alias("silhouette"))
 
 
 def silhouette_moments(rows: DataFrame) -> float:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fuzzcount.functions.bloom import LANES
+from fuzzcount.functions.bloom import LANE, LANES
 from fuzzcount.functions.similarity import dice, hamming, size
 
 
@@ -20,20 +20,23 @@ def match_pairs(rows: DataFrame, threshold: float, block: str) -> DataFrame:
 
 def bands(rows: DataFrame, ids: list[str], width: int = 10) -> DataFrame:
     """(ids, band, value): bit samples of each lane, so that filters within a small distance share some band."""
-    per_lane = 50 // width
+    per_lane = LANE // width
     parts = [F.struct(F.lit(i * per_lane + j).alias("band"), F.shiftright(F.col(w), j * width).bitwiseAND(F.lit(2**width - 1).cast("bigint")).alias("value")) for i, w in enumerate(LANES) for j in range(per_lane)]
     return rows.select(*ids, *LANES, F.inline(F.array(*parts)))
 
 
-def blocked_pairs(rows: DataFrame, radius: int, width: int = 10) -> DataFrame:
+def blocked_pairs(rows: DataFrame, radius: int, width: int | None = None) -> DataFrame:
     """(a, b, d) within a Hamming radius that share a band: all such pairs if the radius is below the number of bands.
 
-    A pair is formed in the first band that it shares, so none comes twice.
+    By default bands are as wide as the radius allows.  A pair is formed in the first band that it shares, so
+    none comes twice.  Dense filters share the band of ones alone, so large radii over many of them stay
+    quadratic: give those a block (`match_pairs`).
     """
+    width = width or LANE // -(-(radius + 1) // len(LANES))
     cut = bands(rows, ["rec_id"], width)
     x, y = cut.alias("x"), cut.alias("y")
     same = (F.col("x.band") == F.col("y.band")) & (F.col("x.value") == F.col("y.value")) & (F.col("x.rec_id") < F.col("y.rec_id"))
-    per_lane, all_ones = 50 // width, 2**width - 1
+    per_lane, all_ones = LANE // width, 2**width - 1
     shared = [(i * per_lane + j, F.shiftright(F.col(f"x.{w}").bitwiseXOR(F.col(f"y.{w}")), j * width).bitwiseAND(F.lit(all_ones).cast("bigint")) == 0) for i, w in enumerate(LANES) for j in range(per_lane)]
     first = F.coalesce(*(F.when(equal, F.lit(band)) for band, equal in shared))
     return x.join(y, same & (hamming("x", "y") <= radius) & (first == F.col("x.band"))).select(F.col("x.rec_id").alias("a"), F.col("y.rec_id").alias("b"), hamming("x", "y").alias("d"))

@@ -146,9 +146,9 @@ def fuzzy_match_pairs(spark, sf_dir):
     return linkage.match_pairs(rows, 0.95, "suburb")
 
 
-@twin(f"WITH {sql.ENCODED}, {sql.released(10.0)} SELECT a.rec_id AS a, b.rec_id AS b, {sql.hamming('a', 'b')} AS d FROM rel a JOIN rel b ON a.rec_id < b.rec_id WHERE {sql.hamming('a', 'b')} <= 12")
+@twin(f"WITH {sql.ENCODED}, {sql.released(10.0)} SELECT a.rec_id AS a, b.rec_id AS b, {sql.hamming('a', 'b')} AS d FROM rel a JOIN rel b ON a.rec_id < b.rec_id WHERE {sql.hamming('a', 'b')} <= 7")
 def blocked_pairs(spark, sf_dir):
-    return linkage.blocked_pairs(release(encoded(spark, sf_dir), 10.0), 12).withColumn("d", F.col("d").cast("bigint"))
+    return linkage.blocked_pairs(release(encoded(spark, sf_dir), 10.0), 7).withColumn("d", F.col("d").cast("bigint"))
 
 
 @twin(f"WITH {sql.PANEL_ENCODED} SELECT a.rec_id AS a, b.rec_id AS b, {sql.hamming('a', 'b')} AS d FROM enc a JOIN enc b ON a.rec_id < b.rec_id WHERE {sql.hamming('a', 'b')} BETWEEN 1 AND 14")
