@@ -46,10 +46,20 @@ def flip_audit(before: DataFrame, after: DataFrame, epsilon: float, ell: int = 2
     return found.select("owner", "bits", "flips", F.round(F.col("flips") / F.col("bits"), 6).alias("rate"), F.round(q - band, 6).alias("low"), F.round(q + band, 6).alias("high"))
 
 
+#: Measures of all pairs take the records of one cell.
+MOST_PAIRED = 20_000
+
+
+def _of_one_cell(rows: DataFrame) -> None:
+    if rows.count() > MOST_PAIRED:
+        raise ValueError(f"all pairs of more than {MOST_PAIRED} records: measure a cell")
+
+
 def min_inter_distance(rows: DataFrame) -> DataFrame:
     """(d): least distance of records of different individuals, all pairs of one cell."""
     from fuzzcount.functions.similarity import hamming
 
+    _of_one_cell(rows)
     x, y = rows.alias("x"), rows.alias("y")
     return x.join(y, (F.col("x.rec_id") < F.col("y.rec_id")) & (F.col("x.entity_id") != F.col("y.entity_id"))).agg(F.min(hamming("x", "y")).alias("d"))
 
@@ -58,6 +68,7 @@ def distance_histogram(rows: DataFrame) -> DataFrame:
     """(same, d, n): how many pairs of one cell lie so far apart, those of one individual and the others."""
     from fuzzcount.functions.similarity import hamming
 
+    _of_one_cell(rows)
     x, y = rows.alias("x"), rows.alias("y")
     return x.join(y, F.col("x.rec_id") < F.col("y.rec_id")).groupBy((F.col("x.entity_id") == F.col("y.entity_id")).alias("same"), hamming("x", "y").alias("d")).agg(F.count("*").alias("n"))
 
@@ -66,6 +77,7 @@ def radius_constraints(rows: DataFrame, radius: int) -> DataFrame:
     """(same_within, different_beyond): shares of pairs that keep the two constraints of a good radius."""
     from fuzzcount.functions.similarity import hamming
 
+    _of_one_cell(rows)
     x, y = rows.alias("x"), rows.alias("y")
     pairs = x.join(y, F.col("x.rec_id") < F.col("y.rec_id")).select((F.col("x.entity_id") == F.col("y.entity_id")).alias("same"), hamming("x", "y").alias("d"))
     return pairs.agg(

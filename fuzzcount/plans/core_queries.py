@@ -4,13 +4,14 @@ from __future__ import annotations
 
 from functools import reduce
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fuzzcount.functions import bloom, grams, noise, similarity, theory
 from fuzzcount.functions.bloom import LANES
 from fuzzcount.functions.digest import num
-from fuzzcount.operators import clustering, decoys, elbow, linkage, measures, purity, search, sketches
+from fuzzcount.operators import clustering, decoys, elbow, hierarchical, linkage, measures, purity, search, sketches
 from fuzzcount.plans import sql
 from fuzzcount.sources import corrupt, fixtures
 from fuzzcount.sources.tables import cut, table
@@ -647,3 +648,40 @@ def numeric_dice(spark, sf_dir):
     sets = 2 * F.size(F.array_intersect("x.tokens", "y.tokens")) / 10
     pairs = x.join(y, F.col("x.v") < F.col("y.v")).select((F.col("y.v") - F.col("x.v")).alias("gap"), similarity.dice("x", "y").alias("f"), sets.alias("s"))
     return pairs.groupBy("gap").agg(F.count("*").alias("pairs"), F.round(F.avg("f"), 6).alias("filter_dice"), F.round(F.avg("s"), 6).alias("set_dice"))
+
+
+def hll_union_distinct(spark, sf_dir):
+    """All owners' individuals from the union of one sketch of each owner."""
+    return sketches.hll_union(fixtures.visits(spark, sf_dir), "entity_id", "owner")
+
+
+def silhouette_squared(spark, sf_dir):
+    """The silhouette by squared distances, linear in the rows, beside the exact one of `silhouette_by_label`."""
+    return spark.createDataFrame([(elbow.silhouette_moments(vectors(spark, sf_dir)),)], "silhouette double")
+
+
+def kmeans_purity(spark, sf_dir):
+    """Purity of k-means of the machine-learning library on the pool, at the true number of persons."""
+    pool, _ = pooled(spark, sf_dir, "B")
+    k = panel(spark, sf_dir).select("entity_id").distinct().count()
+    labels = pool.select("row_id", "kind", "ref_id").join(clustering.ml_labels(pool, k), "row_id").withColumn("k", F.lit(k))
+    return purity.curve(labels)
+
+
+def hierarchical_purity(spark, sf_dir):
+    """Purity of single, complete and average link on the pool of one cell, cut at the true number of persons."""
+    pool, _ = pooled(spark, sf_dir, "B")
+    k = panel(spark, sf_dir).select("entity_id").distinct().count()
+    links = spark.createDataFrame([(x,) for x in ("single", "complete", "average")], "link string")
+    rows = pool.join(F.broadcast(links), F.lit(True))  # three rows
+
+    def cluster(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values("row_id")
+        return frame[["link", "row_id", "kind", "ref_id"]].assign(label=hierarchical.labels(clustering.unpack(frame), key[0], k), ref_id=frame["ref_id"].astype("Int64"))
+
+    labels = rows.groupBy("link").applyInPandas(cluster, "link string, row_id string, kind string, ref_id bigint, label bigint")
+    parts = [purity.curve(labels.where(F.col("link") == x).withColumn("k", F.lit(k))).select(F.lit(x).alias("link"), "*") for x in ("single", "complete", "average")]
+    return reduce(DataFrame.unionByName, parts)
+
+
+FOUND |= {f.__name__: (f, None) for f in (hll_union_distinct, silhouette_squared, kmeans_purity, hierarchical_purity)}
