@@ -287,7 +287,7 @@ def near_groups(docs: DataFrame, size: int, percent: int, id_col: str = "doc_id"
     buckets = cut(keys.groupBy("key").agg(F.min("id").alias("hub"), F.max("id").alias("last")).where("hub < last").select("key", "hub"))
     members = cut(keys.join(buckets, "key"))
     stars = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
-    stars = stars.join(nodes.alias("x"), F.col("a") == F.col("x.id")).join(nodes.alias("y"), F.col("b") == F.col("y.id")).where(could_be_linked("x", "y", percent)).select("a", "b").distinct()
+    stars = stars.join(nodes.alias("x"), F.col("a") == F.col("x.id")).join(nodes.alias("y"), F.col("b") == F.col("y.id")).where(could_be_linked("x", "y", percent)).select("a", "b")
     needed = members.select(F.col("id").alias("doc_id")).distinct()
     sets = cut(shingle_sets(docs.join(needed, "doc_id", "left_semi"), size).withColumn("row", F.monotonically_increasing_id()))
     found = cut(links(stars, sets, percent))
