@@ -66,8 +66,8 @@ def silhouette_of(x: np.ndarray, labels: np.ndarray, distance: np.ndarray) -> fl
     k = labels.max() + 1
     if k < 2 or k >= len(x):
         return 0.0
-    onehot = np.eye(k, dtype=np.float32)[labels]
-    sums, sizes = distance @ onehot, onehot.sum(0)
+    order, sizes = np.argsort(labels, kind="stable"), np.bincount(labels)
+    sums = np.add.reduceat(distance[:, order], np.r_[0, np.cumsum(sizes)[:-1]], axis=1)
     rows = np.arange(len(x))
     own = sizes[labels]
     a = sums[rows, labels] / np.maximum(own - 1, 1)
@@ -161,6 +161,17 @@ def search_cell(bits: np.ndarray, eps: float, method: str, p_flip: float, seed:
     return k, occupied, round(score, 9)
 
 
+def search_vectors(x: np.ndarray, method: str, sigma: float, seed: int, rounds: int = 1) -> tuple[int, int, float]:
+    """(k_star, k_occupied, score) for real vectors: decoys are references with Gaussian noise of `sigma` deviations of each coordinate."""
+    rng, n, spread = np.random.default_rng(seed), len(x), x.std(0)
+    n_ref, n_dum = (0, 0) if method in BASELINES else decoys.counts_for(n)
+    refs = x.mean(0) + rng.normal(size=(n_ref, x.shape[1])) * spread if method == "A" else x[rng.choice(n, n_ref, replace=False)]
+    dums = np.repeat(refs, n_dum, axis=0) + rng.normal(size=(n_ref * n_dum, x.shape[1])) * sigma * spread
+    cell = Cell(x.astype(np.float32), np.vstack([x, refs, dums]).astype(np.float32), n_ref, n_dum)
+    k, score, occupied = max((f for f in scores_of(cell, method, rng, rounds) if f[0] > 1 or method not in BASELINES), key=lambda f: (round(f[1], 9), -f[0]))
+    return k, occupied, round(score, 9)
+
+
 def search_coarse(bits: np.ndarray, eps: float, method: str, p_flip: float, seed: int, ks: list[int], rounds: int = 8) -> tuple[int, int, float]:
     """The same from a grid of k and a second one around its best: a cheaper search, which can miss a narrow peak."""
     rng = np.random.default_rng(seed)
@@ -210,6 +221,22 @@ def sweep(spark: SparkSession, fixtures: dict[str, DataFrame], configs: list[tup
     return table.repartition(tasks, "id").groupBy("id").applyInPandas(one, RESULTS)
 
 
+def sweep_vectors(rows: DataFrame, configs: list[tuple[str, float, int]], rounds: int = 1) -> DataFrame:
+    """(method, sigma, seed, k_star, k_occupied, score) of (id, v array) for each configuration, each in a group of its own."""
+    spark = rows.sparkSession
+    found = rows.select("id", "v").limit(MOST_SEARCHED + 1).toPandas().sort_values("id")
+    if len(found) > MOST_SEARCHED:
+        raise ValueError(f"more than {MOST_SEARCHED} vectors: split into cells first")
+    shared = spark.sparkContext.broadcast(np.stack(found["v"]).astype(np.float64))
+    table = spark.createDataFrame([(i, *c) for i, c in enumerate(configs)], "id int, method string, sigma double, seed bigint")
+
+    def one(group: pd.DataFrame) -> pd.DataFrame:
+        out = [(c.method, c.sigma, c.seed, *search_vectors(shared.value, c.method, c.sigma, int(c.seed), rounds)) for c in group.itertuples()]
+        return pd.DataFrame(out, columns=["method", "sigma", "seed", "k_star", "k_occupied", "score"])
+
+    return table.repartition(len(configs), "id").groupBy("id").applyInPandas(one, "method string, sigma double, seed bigint, k_star bigint, k_occupied bigint, score double")
+
+
 def summary(results: DataFrame) -> DataFrame:
     """Per panel, budget, method and flip probability: the spread of K* and of its error over the seeds."""
     return results.groupBy("fixture", "eps", "method", "p_flip").agg(

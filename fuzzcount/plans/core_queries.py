@@ -685,3 +685,17 @@ def hierarchical_purity(spark, sf_dir):
 
 
 FOUND |= {f.__name__: (f, None) for f in (hll_union_distinct, silhouette_squared, kmeans_purity, hierarchical_purity)}
+
+
+def embedding_jitter_k(spark, sf_dir):
+    """K* of both methods on the vectors themselves, with decoys of little, some and much noise."""
+    return search.sweep_vectors(vectors(spark, sf_dir), [(m, sigma, 1) for m in "AB" for sigma in (0.1, 0.3, 0.6)])
+
+
+def uninformative_budget(spark, sf_dir):
+    """All methods at a budget of a tenth, where nearly half the bits flip."""
+    cells = panels(spark, sf_dir, (0,))
+    return search.sweep(spark, cells, configurations(cells, (0.1,), (0.1, 0.2, 0.3), range(3)))
+
+
+FOUND |= {f.__name__: (f, None) for f in (embedding_jitter_k, uninformative_budget)}

@@ -119,3 +119,12 @@ def test_bends_equal_numpy(spark):
     assert curve == {k: sum(min(gap(x, seeds[s]) for s in range(1, k + 1)) for x in rows) for k in range(1, 16)}
     bends = elbow.knee(clustering.prefix_inertia(pool, clustering.seeds(pool, 15))).where("bend IS NOT NULL").count()
     assert bends == 13
+
+
+def test_vectors_in_clear_groups():
+    rng = np.random.default_rng(4)
+    x = np.repeat(rng.normal(size=(12, 8)) * 10, 10, axis=0) + rng.normal(size=(120, 8)) * 0.1
+    # Decoys spread wider than the groups themselves; invented references have clusters of their own.
+    assert search.search_vectors(x, "B", 0.1, 1)[0] == search.search_vectors(x, "silhouette", 0.0, 1)[0] == 12
+    k, occupied, _ = search.search_vectors(x, "A", 0.1, 1)
+    assert k - 12 <= 13 and occupied == 12
