@@ -40,3 +40,20 @@ def test_odd_rows(odd_docs, no_docs):
     kept = drop_exact_copies(odd_docs)
     assert kept.columns == odd_docs.columns and sorted(r["doc_id"] for r in kept.collect()) == [2, 3, 5, 7, 8, 9]
     assert drop_exact_copies(no_docs).count() == 0
+
+
+def test_small_indexes_equal_brute_force(spark, monkeypatch):
+    """Indexes that are passed on early, and more tasks than partitions, change nothing."""
+    from fuzzcount.llm import cuckoo
+
+    monkeypatch.setattr(cuckoo, "MOST_LIVE", 7)
+    rng = random.Random(6)
+    rows = [(i, rng.choice(["Same text", "sAME TEXT", "", None, f"own {i}", f"shared {i % 40}"])) for i in range(600)]
+    found = {r["doc_id"]: r for r in exact_groups(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(5)).collect()}
+    groups = {}
+    for i, text in rows:
+        groups.setdefault((text or "").lower(), []).append(i)
+    for text, ids in groups.items():
+        for i in ids:
+            assert (found[i]["keep_id"], found[i]["group_size"], found[i]["kept"]) == (max(ids), len(ids), i == max(ids))
+            assert found[i]["text_sha256"] == hashlib.sha256(text.encode()).hexdigest()
