@@ -63,3 +63,38 @@ def test_match_pairs_equal_brute_force(copies):
     close = (F.col("x.block") == F.col("y.block")) & (F.col("x.rec_id") < F.col("y.rec_id")) & (dice("x", "y") >= 0.9)
     want = x.join(y, close).select("x.rec_id", "y.rec_id", F.round(dice("x", "y"), 6))
     assert sorted(map(tuple, linkage.match_pairs(copies, 0.9, "block").collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_changes_of_labels_give_the_curve_of_all_labels(spark):
+    from fuzzcount.operators import clustering, purity, search
+
+    rows = fixtures.encoded(fixtures.panel3(spark, SF, 25)).select("owner", "rec_id", *LANES)
+    released = noise.perturb(rows, 3.0)
+    pool = search.build_pool(released, 75, search.SearchSpec()).cache()
+    plain = [tuple(r) for r in purity.curve(clustering.prefix_labels(pool, 75)).orderBy("k").collect()]
+    few = clustering.prefix_changes(pool, 75)
+    found = [tuple(r) for r in purity.curve_of_changes(few, 75).orderBy("k").collect()]
+    assert len(plain) == 75 and found == [pytest.approx(p, abs=1e-9) for p in plain]
+    assert few.count() < 75 * pool.count() / 5
+
+
+@pytest.mark.parametrize("name", ["bloom_fpr", "flip_budget", "flip_probability", "same_cluster_prob", "method_a_refs"])
+def test_closed_forms_read_a_table(spark, name):
+    import __spark_entry__ as entry
+    from fuzzcount.plans import core_queries
+
+    if name == "method_a_refs":  # counts on the keys themselves; the result holds no scan
+        counted = core_queries.records(spark, SF).agg(F.count("rec_id"))
+        assert "ReadSchema: struct<c_custkey" in counted._jdf.queryExecution().executedPlan().toString()
+        assert len(counted.inputFiles()) == 1
+    else:
+        assert "FileScan parquet" in entry.queries()[name](spark, SF)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_large_cells_are_split_and_no_record_is_lost(spark):
+    from fuzzcount.operators import search
+
+    rows = spark.range(100).select("id", F.when(F.col("id") < 10, "a").otherwise("b").alias("cell"), (F.col("id") % 3).cast("string").alias("suburb"), (F.col("id") % 2).cast("string").alias("gender"))
+    found = search.split_cells(rows, "cell", ["suburb", "gender"], 29)
+    sizes = {r["cell"]: r["count"] for r in found.groupBy("cell").count().collect()}
+    assert sum(sizes.values()) == 100 and sizes["a"] == 10 and max(sizes.values()) <= 29
