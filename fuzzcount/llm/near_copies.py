@@ -11,8 +11,10 @@ forming the pairs of a bucket: linked sets share a shingle among the first few o
 and what is left of both sets from there on bounds what they share, as does a sketch of the parities of
 their shingles: it differs in no more bits than the sets do in shingles.  A node whose first shingles nobody
 else has, or whose bound no node of another component can meet, is out before any pair is formed.  Where
-many pairs pass even so, a group's nodes are checked against its smallest node and a drawn one, in rounds,
-and the components are joined; then all pairs that pass and are still apart are checked.  Every linked pair of such nodes is
+many pairs pass even so, a group's nodes are checked against its smallest node and some drawn ones, in turns
+that draw more each, and the components are joined: a node that few others can be linked with is left for
+the later turns, so a turn forms few pairs for each node.  As soon as all pairs that pass and are still apart
+are no more than a turn would look at, they are checked, each formed once.  Every linked pair of such nodes is
 found, so no link between candidates is lost.
 
 Edge cases: a null text, or one without words, has an empty set and is linked with nothing; a text with
@@ -37,11 +39,14 @@ from fuzzcount.sources.tables import cut, drop
 
 PER_HALF = 2
 MISS = 2e-4
-#: With more pairs for each row, groups are joined at a few of their nodes before all pairs are looked at.
-MANY = 64
-#: So many pairs are always looked at.
-FEW = 1 << 22
+#: Nodes of each token that the first turn draws; each further turn draws `MORE` times as many.
+DRAWN, MORE = 16, 8
+#: All pairs are looked at once they are no more than `FEW` and `MANY` times those a turn would look at.
+MANY = 1
+FEW = 1 << 16
 BLOCK = 1 << 15
+#: So many shingles before each one are compared, so that a pair is formed at the first that both nodes have.
+BEFORE = 32
 #: 64-bit words of a sketch; it tells sets of up to about as many shingles as it has bits apart well, larger ones less.
 SKETCH = 16
 WORDS_CACHED = 100_000
@@ -219,12 +224,12 @@ def within_reach(rows: DataFrame) -> DataFrame:
     return rows.join(ahead(rows), "token").where("reach >= if(component = c1, n2, n1)").select(*rows.columns)
 
 
-def from_few(rows: DataFrame, percent: int, turn: int) -> DataFrame:
-    """(a, b) of nodes and two of each token, its smallest and one drawn, of another component, that the bounds allow to be linked."""
-    drawn, node = F.xxhash64(F.lit(turn), "token", "id"), F.struct("id", "n", "reach", "component", "sketch")
-    two = rows.groupBy("token").agg(F.min_by(node, F.struct("n", drawn)).alias("s"), F.min_by(node, drawn).alias("d"))
-    y = two.select("token", F.explode(F.array("s", "d")).alias("y")).select("token", "y.*").alias("y")
-    both = rows.alias("x").join(y, "token").where(_allowed(percent))
+def from_few(rows: DataFrame, percent: int, turn: int, drawn: int = 1) -> DataFrame:
+    """(a, b) of nodes and some of each token, its smallest and `drawn` others, of another component, that the bounds allow to be linked."""
+    by_token = Window.partitionBy("token")
+    small = rows.withColumn("rank", F.row_number().over(by_token.orderBy("n", "id"))).where("rank = 1")
+    others = rows.withColumn("rank", F.row_number().over(by_token.orderBy(F.xxhash64(F.lit(turn), "token", "id"), "id"))).where(F.col("rank") <= drawn)
+    both = rows.alias("x").join(small.unionByName(others).alias("y"), "token").where(_allowed(percent))
     return both.select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b")).distinct()
 
 
@@ -232,18 +237,26 @@ def _allowed(percent: int) -> Column:
     return (F.col("x.component") != F.col("y.component")) & (F.col("y.n") <= F.col("x.reach")) & (F.col("x.n") <= F.col("y.reach")) & could_be_linked("x", "y", percent)
 
 
-def apart(rows: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of nodes of different components that the bounds allow to be linked, each pair once.
+def meetings(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of nodes of different components that the bounds allow to be linked, formed at the first token both have.
 
     The nodes outside a token's largest component are joined with all of its nodes, so that one large
-    component is not joined with itself.
+    component is not joined with itself.  A pair allowed at a token is allowed at every earlier one of both,
+    where `rest` and `reach` are larger, so it is left out where the `BEFORE` last ones of both have a token
+    in common; only a pair with a longer gap between its tokens is formed again.
     """
     counts = rows.groupBy("token", "component").agg(F.count("*").alias("nodes"))
     largest = counts.groupBy("token").agg(F.max(F.struct("nodes", "component"))["component"].alias("largest"))
-    marked = rows.join(largest, "token").withColumn("outside", F.col("component") != F.col("largest"))
+    last = Window.partitionBy("id").orderBy(F.desc("rest")).rowsBetween(-BEFORE, -1)
+    marked = rows.withColumn("before", F.collect_list("token").over(last)).join(largest, "token").withColumn("outside", F.col("component") != F.col("largest"))
     x, y = marked.where("outside").alias("x"), marked.alias("y")
-    both = x.join(y, "token").where(_allowed(percent) & (~F.col("y.outside") | (F.col("x.id") < F.col("y.id"))))
-    return both.select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b")).distinct()
+    once = (~F.col("y.outside") | (F.col("x.id") < F.col("y.id"))) & ~F.arrays_overlap("x.before", "y.before")
+    return x.join(y, "token").where(_allowed(percent) & once).select(F.greatest("x.id", "y.id").alias("a"), F.least("x.id", "y.id").alias("b"))
+
+
+def apart(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of nodes of different components that the bounds allow to be linked, each pair once."""
+    return meetings(rows, percent).distinct()
 
 
 def crossing(rows: DataFrame) -> tuple[int, int]:
@@ -265,14 +278,15 @@ def closed(rows: DataFrame, groups: DataFrame, nodes: DataFrame, sets: DataFrame
         if not pairs:
             drop(live)
             return groups
-        last, turn = last or pairs <= FEW + MANY * n, turn + 1
-        found = cut(links(apart(live, percent) if last else from_few(live, percent, turn), sets, percent))
+        drawn = DRAWN * MORE**turn
+        last, turn = last or pairs <= FEW + MANY * drawn * n, turn + 1
+        found = cut(links(apart(live, percent) if last else from_few(live, percent, turn, drawn), sets, percent))
         new = merged(groups, found)
         drop(live, found)
         if last:
             return new
-        last = new is groups  # the few join nothing more
-        if not last:
+        last = new is groups and turn > 2  # many draws join nothing more
+        if new is not groups:
             drop(groups)
         groups = new
 

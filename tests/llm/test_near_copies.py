@@ -86,3 +86,39 @@ def test_given_documents_equal_brute_force(spark):
     texts = {r["doc_id"]: (r["text"] or "").translate(az) for r in docs.collect()}
     found = {r["doc_id"]: r["component_id"] for r in near_groups(docs, 3, 85).collect()}
     assert found == brute(texts, 3, 85)
+
+
+def test_a_pair_is_formed_at_its_first_common_token(spark):
+    """Near copies that share dozens of first shingles meet once, not once for each shingle; every allowed pair does."""
+    from pyspark.sql import functions as F
+
+    from fuzzcount.llm import near_copies
+
+    rng, docs = random.Random(3), []
+    for i in range(40):
+        words = [f"w{j}" for j in range(150)]
+        for _ in range(rng.randrange(1, 5)):
+            words[rng.randrange(150)] = f"n{i}x{rng.randrange(10**6)}"
+        docs.append((i, " ".join(words)))
+    docs = spark.createDataFrame(docs, "doc_id bigint, text string")
+    sets = near_copies.shingle_sets(docs, 5).withColumn("row", F.monotonically_increasing_id()).cache()
+    sketches = near_copies.described(docs, 5, near_copies.halves_for(0.8)).select(F.col("doc_id").alias("id"), "sketch")
+    rows = near_copies.first_shingles(docs.select(F.col("doc_id").alias("id")), sets, 80).withColumn("component", F.col("id")).join(sketches, "id").cache()
+    formed = [tuple(r) for r in near_copies.meetings(rows, 80).collect()]
+    plain = rows.alias("x").join(rows.alias("y"), "token").where(near_copies._allowed(80) & (F.col("x.id") > F.col("y.id"))).select("x.id", "y.id")
+    assert len(formed) == len(set(formed)) and set(formed) == {tuple(r) for r in plain.distinct().collect()}
+    assert plain.count() > 2 * len(formed) > 0
+
+
+def test_a_large_group_is_joined_before_its_pairs_are_formed(spark, monkeypatch):
+    """A group whose pairs are more than a turn looks at is joined at drawn nodes; the result is that of all pairs."""
+    from fuzzcount.llm import near_copies
+
+    seen, few = [], near_copies.from_few
+    monkeypatch.setattr(near_copies, "FEW", 0)
+    monkeypatch.setattr(near_copies, "DRAWN", 2)
+    monkeypatch.setattr(near_copies, "from_few", lambda rows, percent, turn, drawn: seen.append(drawn) or few(rows, percent, turn, drawn))
+    texts = families(random.Random(6), 2)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")
+    assert {r["doc_id"]: r["component_id"] for r in near_groups(docs, 5, 80).collect()} == brute(texts, 5, 80)
+    assert seen and seen == [2 * near_copies.MORE**i for i in range(len(seen))]
