@@ -128,3 +128,26 @@ def test_vectors_in_clear_groups():
     assert search.search_vectors(x, "B", 0.1, 1)[0] == search.search_vectors(x, "silhouette", 0.0, 1)[0] == 12
     k, occupied, _ = search.search_vectors(x, "A", 0.1, 1)
     assert k - 12 <= 13 and occupied == 12
+
+
+def test_one_round_by_changes_equals_rounds_made_anew():
+    """For every k, with rows that occur twice, each row gets a centre as near as in a Lloyd round of its own."""
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(300, 16)).astype(np.float32)
+    x = np.vstack([x, x[:40]])
+    norms, seeds = (x * x).sum(1), rng.permutation(340)
+    gaps, one = ((x[:, None] - x[seeds][None]) ** 2).sum(2), clustering.OneRound(x, norms, 340)
+    for k in range(1, 341):
+        labels = gaps[:, :k].argmin(1)
+        centre = x[seeds[:k]].copy()
+        want, got = clustering.lloyd(x, centre, 1, labels, norms), one.after(labels, seeds[k - 1])
+        far = ((x[:, None] - centre[None]) ** 2).sum(2)
+        assert np.allclose(far[np.arange(340), got], far[np.arange(340), want], atol=1e-4), k
+
+
+def test_more_vectors_than_a_cell_are_searched(spark, monkeypatch):
+    monkeypatch.setattr(search, "MOST_SEARCHED", 50)
+    rng = np.random.default_rng(4)
+    x = np.repeat(rng.normal(size=(12, 8)) * 10, 10, axis=0) + rng.normal(size=(120, 8)) * 0.1
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id bigint, v array<double>")
+    assert [r["k_star"] for r in search.sweep_vectors(rows, [("B", 0.1, 1)]).collect()] == [12]
