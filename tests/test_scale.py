@@ -98,3 +98,35 @@ def test_large_cells_are_split_and_no_record_is_lost(spark):
     found = search.split_cells(rows, "cell", ["suburb", "gender"], 29)
     sizes = {r["cell"]: r["count"] for r in found.groupBy("cell").count().collect()}
     assert sum(sizes.values()) == 100 and sizes["a"] == 10 and max(sizes.values()) <= 29
+
+
+def test_more_seeds_than_a_full_sweep_takes(spark, monkeypatch):
+    """Every k of a pool beyond `MOST_SWEPT`, from rows of counts for each reference, equals the curve of all labels."""
+    from fuzzcount.operators import clustering, purity, search
+
+    rows = fixtures.encoded(fixtures.panel3(spark, SF, 40)).select("owner", "rec_id", *LANES)
+    pool = search.build_pool(noise.perturb(rows, 4.0), 120, search.SearchSpec(p_flip=0.05, dummy_base="records")).cache()
+    plain = [tuple(r) for r in purity.curve(clustering.prefix_labels(pool, 120)).orderBy("k").collect()]
+    monkeypatch.setattr(clustering, "MOST_SWEPT", 50)
+    few = clustering.prefix_changes(pool, 120)
+    found = [tuple(r) for r in purity.curve_of_changes(few, 120).orderBy("k").collect()]
+    assert len(plain) == 120 and found == [pytest.approx(p, abs=1e-9) for p in plain]
+    assert few.count() <= 12 + 2
+
+
+def test_nearer_seeds_equal_brute_force():
+    import numpy as np
+    import pandas as pd
+
+    from fuzzcount.operators import clustering
+
+    rng = np.random.default_rng(5)
+    centre = rng.random(200) < 0.5
+    rows, seeds = centre ^ (rng.random((90, 200)) < 0.05), rng.random((700, 200)) < 0.5
+    rows[0], seeds[300:320] = centre, centre ^ (rng.random((20, 200)) < 0.05)
+    packed = [clustering.dense_words(pd.DataFrame({w: x[:, 50 * i : 50 * i + 50] @ (np.int64(1) << np.arange(50)) for i, w in enumerate(LANES)})) for x in (rows, seeds)]
+    apart = (rows[:, None] != seeds[None]).sum(2)
+    want = [(i, j) for i in range(90) for j in range(700) if j == 0 or apart[i, j] < apart[i, :j].min()]
+    for near in (None, packed[0][:, 0]):
+        found = clustering.nearer_seeds(*packed, near)
+        assert list(zip(*(x.tolist() for x in found), strict=True)) == want
